@@ -44,4 +44,32 @@ SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, coalesce(n_hit, 0) AS n_hit, c
 FROM words LEFT JOIN hit USING (doc_id) LEFT JOIN who USING (doc_id)
 """
 
-ORACLES = {"op1_secrets": OP1, "op9_decontamination": OP9}
+#: A link by all pairs of distinct sets that share a shingle; components by label spreading.
+OP2 = f"""
+WITH RECURSIVE words AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '[^\\x20\\x09-\\x0D]+') AS w FROM documents),
+sets AS (SELECT doc_id, list_sort(list_distinct(CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
+  ELSE list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) END)) AS s FROM words),
+classes AS (SELECT s, min(doc_id) AS id, len(s) AS n FROM sets WHERE len(s) > 0 GROUP BY s),
+grams AS (SELECT id, n, unnest(s) AS g FROM classes),
+common AS (SELECT a.id AS u, b.id AS v, a.n AS n, b.n AS m, count(*) AS c FROM grams a JOIN grams b ON a.g = b.g AND a.id < b.id GROUP BY ALL),
+edges AS (SELECT u, v FROM common WHERE 100 * c >= 75 * (n + m - c) UNION SELECT v, u FROM common WHERE 100 * c >= 75 * (n + m - c)),
+reach(id, other) AS (SELECT id, id FROM classes UNION SELECT r.id, e.v FROM reach r JOIN edges e ON r.other = e.u),
+named AS (SELECT id, min(other) AS component_id FROM reach GROUP BY id)
+SELECT d.doc_id, CAST(len(d.s) AS BIGINT) AS n_shingles, coalesce(m.component_id, d.doc_id) AS component_id, coalesce(m.component_id, d.doc_id) = d.doc_id AS kept
+FROM sets d LEFT JOIN classes c ON d.s = c.s LEFT JOIN named m ON m.id = c.id
+"""
+
+#: Fixed value: the alphabet of base32.
+_BASE32 = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
+
+OP7 = f"""
+WITH p AS (SELECT page_id, coalesce(html, '') AS html FROM pages),
+d AS (SELECT page_id, html, CAST(octet_length(encode(html)) AS BIGINT) AS payload_bytes, sha1(html) || '0' AS h FROM p),
+f AS (SELECT html, min(page_id) AS original FROM p GROUP BY html)
+SELECT page_id, payload_bytes,
+  array_to_string(list_transform(range(0, 32), lambda i: substr('{_BASE32}', 1 + CAST(((CAST('0x' || substr(h, 1 + (5 * i) // 4, 2) AS INTEGER) >> (3 - (5 * i) % 4)) & 31) AS INTEGER), 1)), '') AS payload_digest,
+  CASE WHEN page_id > original THEN 'revisit' ELSE 'response' END AS record_type, CASE WHEN page_id > original THEN original END AS refers_to
+FROM d JOIN f USING (html)
+"""
+
+ORACLES = {"op1_secrets": OP1, "op2_near_duplicates": OP2, "op7_warc": OP7, "op9_decontamination": OP9}

@@ -8,7 +8,7 @@ import numpy as np
 import pyarrow as pa
 
 CHUNK_BYTES = 1 << 20
-GOLDEN = np.uint64(0x9E3779B97F4A7C15)
+GOLDEN = 0x9E3779B97F4A7C15
 #: ASCII letters (lower-cased), digits and all bytes beyond ASCII make words; the rest parts them.
 ALNUM = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 
@@ -65,7 +65,7 @@ def windows(hashes: np.ndarray, k: int) -> np.ndarray:
     n = len(hashes) - k + 1
     out = np.zeros(max(n, 0), np.uint64)
     for i in range(k if n > 0 else 0):
-        out = (out ^ (hashes[i : i + n] + np.uint64(i + 1) * GOLDEN)) * np.uint64(0xD6E8FEB86659FD93)
+        out = (out ^ (hashes[i : i + n] + np.uint64((i + 1) * GOLDEN % (1 << 64)))) * np.uint64(0xD6E8FEB86659FD93)
         out ^= out >> np.uint64(32)
     return out
 
