@@ -72,4 +72,37 @@ SELECT page_id, payload_bytes,
 FROM d JOIN f USING (html)
 """
 
-ORACLES = {"op1_secrets": OP1, "op2_near_duplicates": OP2, "op7_warc": OP7, "op9_decontamination": OP9}
+def _level(name: str, parent: str, keys: list[str], node: str, weight: str) -> str:
+    """Budgets of the children of each node of ``parent``, capped and spread over siblings."""
+    by = f"PARTITION BY {', '.join(keys)}" if keys else ""
+    on = f"JOIN {parent} USING ({', '.join(keys)})" if keys else f", {parent}"
+    path = ", ".join([*keys, node])
+    return f"""
+{name}_c AS (SELECT {path}, w, CASE WHEN w > 0 THEN cap ELSE 0 END AS cap, have FROM (SELECT {path}, {weight} AS w, CAST(sum(cap) AS BIGINT) AS cap FROM leaves GROUP BY {path}) {on}),
+{name}_o AS (SELECT *, row_number() OVER ({by} ORDER BY cap * 1000 // greatest(w, 1), {node}) AS i,
+  have - coalesce(sum(cap) OVER ({by} ORDER BY cap * 1000 // greatest(w, 1), {node} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS rem,
+  sum(w) OVER ({by} ORDER BY cap * 1000 // greatest(w, 1), {node} ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS rest FROM {name}_c),
+{name}_f AS (SELECT *, min(CASE WHEN cap * rest > rem * w THEN i END) OVER ({by}) AS f FROM {name}_o),
+{name} AS (SELECT {path}, CAST(CASE WHEN f IS NULL OR i < f THEN cap ELSE least(cap, greatest(0, (max(CASE WHEN i = f THEN rem END) OVER ({by}) * w) // greatest(1, max(CASE WHEN i = f THEN rest END) OVER ({by})))) END AS BIGINT) AS have FROM {name}_f)"""
+
+
+def mixing_sql(documents: str, share: tuple[int, int], epochs: int, seed: int, weights: dict[str, int], domains: int) -> str:
+    """CTEs ending in ``mixed``: doc_id, domain, n, epochs, more (tokens of the partial epoch)."""
+    lang = "CASE lang " + " ".join(f"WHEN '{k}' THEN {v}" for k, v in weights.items()) + " ELSE 1 END"
+    return f"""docs AS (SELECT doc_id, coalesce(lang, '?') AS lang, coalesce(source, '?') AS source, 'domain' || CAST(CAST('0x' || substr(md5(coalesce(source, '?')), 1, 1) AS INTEGER) % {domains} AS VARCHAR) AS domain,
+  CAST(len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')) AS BIGINT) AS n FROM {documents}),
+leaves AS (SELECT domain, lang, source, CAST(sum(n) AS BIGINT) AS held, CAST(sum(n) * {epochs} AS BIGINT) AS cap FROM docs GROUP BY ALL),
+root AS (SELECT CAST(coalesce(sum(held), 0) * {share[0]} // {share[1]} AS BIGINT) AS have FROM leaves),
+{_level("d1", "root", [], "domain", "1")},
+{_level("d2", "d1", ["domain"], "lang", lang)},
+{_level("d3", "d2", ["domain", "lang"], "source", "1")},
+plan AS (SELECT domain, lang, source, coalesce(have // nullif(held, 0), 0) AS epochs, have - coalesce(have // nullif(held, 0), 0) * held AS more FROM d3 JOIN leaves USING (domain, lang, source)),
+placed AS (SELECT doc_id, domain, n, epochs, more, sum(n) OVER (PARTITION BY domain, lang, source ORDER BY md5('{seed}:' || epochs || ':' || coalesce(CAST(doc_id AS VARCHAR), '?')), doc_id) - n AS before FROM docs JOIN plan USING (domain, lang, source)),
+mixed AS (SELECT doc_id, domain, n, CAST(epochs AS BIGINT) AS epochs, CAST(least(n, greatest(0, more - before)) AS BIGINT) AS more FROM placed)"""
+
+
+OP5 = "WITH " + mixing_sql("documents", (6, 10), 2, 17, {"en": 4, "fr": 2, "de": 2, "es": 2}, 4) + """
+SELECT doc_id, domain, n AS n_tokens, epochs, epochs * n + more AS tokens_taken FROM mixed
+"""
+
+ORACLES = {"op5_mixing": OP5, "op1_secrets": OP1, "op2_near_duplicates": OP2, "op7_warc": OP7, "op9_decontamination": OP9}
