@@ -21,11 +21,11 @@ def lag1(df: DataFrame, width: int, keys: tuple[str, ...] = ("series_id",)) -> D
     return df.withColumn("residual", wrap(F.col("x") - F.coalesce(F.lag("x").over(_order(keys)), F.lit(0)), width))
 
 
-def fixed(df: DataFrame, width: int, coef_num: int, keys: tuple[str, ...] = ("series_id",)) -> DataFrame:
+def fixed(df: DataFrame, width: int, coef_num: int | Column, keys: tuple[str, ...] = ("series_id",)) -> DataFrame:
     """``residual`` against the sample before plus ``coef_num``/2^width of the last difference."""
     one, two = (F.coalesce(F.lag("x", i).over(_order(keys)), F.lit(0)) for i in (1, 2))
     step, last = wrap(F.col("x") - one, width), wrap(one - two, width)
-    return df.withColumn("residual", wrap(step - F.shiftright(last * F.lit(coef_num), width), width))
+    return df.withColumn("residual", wrap(step - F.shiftright(last * (F.lit(coef_num) if isinstance(coef_num, int) else coef_num), width), width))
 
 
 def double_delta(df: DataFrame, width: int, keys: tuple[str, ...] = ("series_id",)) -> DataFrame:

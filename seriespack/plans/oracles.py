@@ -201,7 +201,7 @@ ORACLES = {
     "q44_signed_ranks": f"WITH {_RATIOS}, {_PAIRED}, d AS (SELECT width_bits, round(a - b, 12) AS d FROM pairs WHERE round(a - b, 12) <> 0), r AS (SELECT width_bits, d, rank() OVER (PARTITION BY width_bits ORDER BY abs(d)) + (count(*) OVER (PARTITION BY width_bits, abs(d)) - 1) / 2.0 AS r FROM d) SELECT width_bits, count(*) AS n, CAST(sum(CASE WHEN d > 0 THEN r ELSE 0 END) AS DOUBLE) AS plus, CAST(sum(CASE WHEN d < 0 THEN r ELSE 0 END) AS DOUBLE) AS minus FROM r GROUP BY width_bits",
     "q45_noise_floor": " UNION ALL ".join(f"SELECT * FROM (WITH {prep(UNIVARIATE, w)}, {fixed(w, '0')} SELECT series_id, round(avg({bits(zig('residual'))}), 6) AS mean_bits, count(*) AS n, CAST({w} AS BIGINT) AS width_bits FROM r GROUP BY series_id)" for w in (8, 16)),
     "q46_bayes_error": f"WITH {prep(UNIVARIATE, 8)}, {fixed(8, '0')}, p AS (SELECT series_id, residual, lag(residual) {_BY} AS a FROM r), c AS (SELECT series_id, a, residual, count(*) AS c FROM p WHERE a BETWEEN -1 AND 1 AND residual BETWEEN -1 AND 1 GROUP BY ALL), m AS (SELECT series_id, a, max(c) AS best, sum(c) AS total FROM c GROUP BY ALL) SELECT series_id, CAST(sum(total) AS BIGINT) AS pairs, round(1 - sum(best) / sum(total), 6) AS bayes_error FROM m GROUP BY series_id",
-    "q47_size_breakdown": "WITH a AS (" + " UNION ALL ".join(f"SELECT *, CAST({w} AS BIGINT) AS width_bits FROM (WITH {lag1_sizes(UNIVARIATE, w)} SELECT series_id, header_bytes, payload_bytes, run_bytes, tail_bytes, zero_blocks FROM z)" for w in (8, 16)) + ") SELECT series_id, width_bits, " + ", ".join(f"CAST(sum({c}) AS BIGINT) AS {c}" for c in ("header_bytes", "payload_bytes", "run_bytes", "tail_bytes", "zero_blocks")) + " FROM a GROUP BY CUBE (series_id, width_bits)",
+    "q47_size_breakdown": "WITH a AS (" + " UNION ALL ".join(f"SELECT *, CAST({w} AS BIGINT) AS width_bits FROM (WITH {lag1_sizes(UNIVARIATE, w)} SELECT series_id, header_bytes, payload_bytes, run_bytes, tail_bytes, zero_blocks FROM z)" for w in (8, 16)) + ") SELECT coalesce(series_id, 'all') AS series_id, coalesce(CAST(width_bits AS VARCHAR), 'all') AS width_bits, " + ", ".join(f"CAST(sum({c}) AS BIGINT) AS {c}" for c in ("header_bytes", "payload_bytes", "run_bytes", "tail_bytes", "zero_blocks")) + " FROM a GROUP BY CUBE (series_id, width_bits)",
     "q49_spike_example": "SELECT * FROM (VALUES ('raw', CAST(1 AS BIGINT)), ('lag1', CAST(2 AS BIGINT)), ('double_delta', CAST(3 AS BIGINT))) AS v(kind, bits)",
     "q50_widths_worked_example": "SELECT z, CAST(length(bin(z)) AS BIGINT) AS bits, 8 - CAST(length(bin(z)) AS BIGINT) AS leading_zeros, CASE WHEN length(bin(z)) >= 7 THEN CAST(8 AS BIGINT) ELSE CAST(length(bin(z)) AS BIGINT) END AS stored FROM (VALUES (CAST(16 AS BIGINT)), (CAST(127 AS BIGINT)), (CAST(255 AS BIGINT)), (CAST(1 AS BIGINT)), (CAST(63 AS BIGINT))) AS v(z)",
     "q51_buffer_latency": "SELECT CAST(10000 AS BIGINT) AS buffer_bytes, CAST(9 AS BIGINT) AS dims, CAST(8 AS BIGINT) AS width_bits, 20.0::DOUBLE AS hertz, round(10000 / (9 * 1 * 20.0), 6)::DOUBLE AS seconds UNION ALL SELECT 8, 1, 8, 20.0, round(8 / 20.0, 6)",

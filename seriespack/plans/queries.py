@@ -32,8 +32,24 @@ def query(f):
     return f
 
 
+def values(spark: SparkSession, d: str, names: list[str]) -> DataFrame:
+    """Raw values of some series.  Several are built once into a table in the shared folder, so what follows plans over one scan."""
+    made = S.corpus(spark, d, names)
+    if len(names) < 4:
+        return made
+    path = fresh(spark, "values")
+    made.write.parquet(path)
+    return spark.read.schema(made.schema).parquet(path)
+
+
 def series(spark: SparkSession, d: str, names: list[str], width: int) -> DataFrame:
-    return Q.quantize(S.corpus(spark, d, names), width).select("series_id", "t", "x")
+    return Q.quantize(values(spark, d, names), width).select("series_id", "t", "x")
+
+
+def at_both(spark: SparkSession, d: str, names: list[str], make) -> DataFrame:
+    """``make(series at w bits, w)`` for 8 and 16 bits, over one table of values."""
+    raw = values(spark, d, names)
+    return both(lambda w: make(Q.quantize(raw, w).select("series_id", "t", "x"), w))
 
 
 def typed(spark: SparkSession, d: str, width: int = 16) -> DataFrame:
@@ -182,7 +198,7 @@ def q15_zero_runs(spark, d):
 
 @query
 def q16_encoded_size_speed(spark, d):
-    return both(lambda w: codec.encode(wide(series(spark, d, UNIVARIATE, w)), "speed", w, segment_length=WHOLE).select("series_id", F.lit(w).cast("bigint").alias("width_bits"), "body_bytes"))
+    return at_both(spark, d, UNIVARIATE, lambda q, w: codec.encode(wide(q), "speed", w, segment_length=WHOLE).select("series_id", F.lit(w).cast("bigint").alias("width_bits"), "body_bytes"))
 
 
 @query
@@ -192,7 +208,7 @@ def q17_encoded_size_balanced(spark, d):
 
 @query
 def q18_encoded_size_ratio(spark, d):
-    return both(lambda w: codec.encode(wide(series(spark, d, UNIVARIATE, w)), "ratio", w, segment_length=WHOLE).select("series_id", F.lit(w).cast("bigint").alias("width_bits"), "body_bytes"))
+    return at_both(spark, d, UNIVARIATE, lambda q, w: codec.encode(wide(q), "ratio", w, segment_length=WHOLE).select("series_id", F.lit(w).cast("bigint").alias("width_bits"), "body_bytes"))
 
 
 def _roundtrip(spark, d, name, width, kind, length=4096):
@@ -331,7 +347,7 @@ def all_methods(df: DataFrame, width: int, level: int = 9) -> DataFrame:
 
 @query
 def q37_all_codecs_size(spark, d):
-    return both(lambda w: all_methods(series(spark, d, RANKED, w), w))
+    return at_both(spark, d, RANKED, all_methods)
 
 
 @query
@@ -340,22 +356,21 @@ def q38_byte_entropy(spark, d):
 
 
 def sized(spark, d) -> DataFrame:
-    """Sizes of the methods that need no kernel."""
+    """Sizes of the methods that need no kernel, as a table in the shared folder."""
 
-    def make(w):
-        q = series(spark, d, RANKED, w)
+    def make(q, w):
         raw = q.groupBy(F.col("series_id").alias("dataset_id")).agg((F.count(F.lit(1)) * (w // 8)).alias("raw_bytes"))
-        parts = []
-        for name, coef in (("lag1", 0), ("double_delta", 1 << w), ("two_point_mean", -(1 << (w - 1)))):
-            parts.append(blocks.body_sizes(forecast.fixed(q, w, coef), Options(width_bits=w)).select(F.col("series_id").alias("dataset_id"), F.lit(name).alias("method"), F.col("body_bytes").alias("enc_bytes")))
-        parts.append(baselines.bp128_sizes(q).select(F.col("series_id").alias("dataset_id"), F.lit("bp128").alias("method"), "enc_bytes"))
-        parts.append(raw.select("dataset_id", F.lit("raw").alias("method"), F.col("raw_bytes").alias("enc_bytes")))
-        out = parts[0]
-        for p in parts[1:]:
-            out = out.unionByName(p)
-        return out.join(raw, "dataset_id").select("dataset_id", "method", F.lit(w).cast("bigint").alias("width_bits"), "raw_bytes", "enc_bytes")
+        coefs = F.array(*[F.struct(F.lit(name).alias("method"), F.lit(c).cast("bigint").alias("coef")) for name, c in (("lag1", 0), ("double_delta", 1 << w), ("two_point_mean", -(1 << (w - 1))))])
+        each = q.withColumn("m", F.explode(coefs)).select("series_id", "t", "x", "m.method", "m.coef")
+        keys = ("series_id", "method")
+        ours = blocks.body_sizes(forecast.fixed(each, w, F.col("coef"), keys), Options(width_bits=w), keys).select(F.col("series_id").alias("dataset_id"), "method", F.col("body_bytes").alias("enc_bytes"))
+        packed = baselines.bp128_sizes(q).select(F.col("series_id").alias("dataset_id"), F.lit("bp128").alias("method"), "enc_bytes")
+        plain = raw.select("dataset_id", F.lit("raw").alias("method"), F.col("raw_bytes").alias("enc_bytes"))
+        return ours.unionByName(packed).unionByName(plain).join(raw, "dataset_id").select("dataset_id", "method", F.lit(w).cast("bigint").alias("width_bits"), "raw_bytes", "enc_bytes")
 
-    return both(make)
+    made, path = at_both(spark, d, RANKED, make), fresh(spark, "sizes")
+    made.write.parquet(path)
+    return spark.read.schema(made.schema).parquet(path)
 
 
 @query
@@ -395,13 +410,13 @@ def q44_signed_ranks(spark, d):
 
 @query
 def q44_wilcoxon_adaptive(spark, d):
-    sizes = both(lambda w: all_methods(series(spark, d, RANKED, w), w))
+    sizes = at_both(spark, d, RANKED, all_methods)
     return M.wilcoxon(M.paired(sizes, "balanced", "speed"))
 
 
 @query
 def q45_noise_floor(spark, d):
-    return both(lambda w: M.noise_floor(forecast.lag1(series(spark, d, UNIVARIATE, w), w), w).select("series_id", *r6("mean_bits"), "n", "width_bits"))
+    return at_both(spark, d, UNIVARIATE, lambda q, w: M.noise_floor(forecast.lag1(q, w), w).select("series_id", *r6("mean_bits"), "n", "width_bits"))
 
 
 @query
@@ -412,8 +427,9 @@ def q46_bayes_error(spark, d):
 @query
 def q47_size_breakdown(spark, d):
     parts = ("header_bytes", "payload_bytes", "run_bytes", "tail_bytes", "zero_blocks")
-    sizes = both(lambda w: blocks.body_sizes(forecast.lag1(series(spark, d, UNIVARIATE, w), w), Options(width_bits=w)).withColumn("width_bits", F.lit(w).cast("bigint")))
-    return sizes.cube("series_id", "width_bits").agg(*[F.sum(c).cast("bigint").alias(c) for c in parts])
+    sizes = at_both(spark, d, UNIVARIATE, lambda q, w: blocks.body_sizes(forecast.lag1(q, w), Options(width_bits=w)).withColumn("width_bits", F.lit(w).cast("bigint")))
+    out = sizes.cube("series_id", "width_bits").agg(*[F.sum(c).cast("bigint").alias(c) for c in parts])
+    return out.select(*[F.coalesce(F.col(c).cast("string"), F.lit("all")).alias(c) for c in ("series_id", "width_bits")], *parts)
 
 
 @query
@@ -510,7 +526,9 @@ def q62_prefix_reconstruct(spark, d):
 
 def wide_roundtrip(spark, d, name: str, width: int = 16) -> DataFrame:
     """For a wide dataset and each preset: sizes and mismatches after decoding."""
-    x = S.WIDE[name](spark, d, width)
+    made, path = S.WIDE[name](spark, d, width), fresh(spark, name)
+    made.write.parquet(path)
+    x = spark.read.schema(made.schema).parquet(path)
     out = None
     for p in ("speed", "balanced", "ratio", "speed_huffman"):
         segments = codec.encode(x, p, width)
@@ -553,6 +571,7 @@ def q66_datasource_read(spark, d):
 
     path = fresh(spark, "q66")
     write_segments(codec.encode(wide(series(spark, d, ["ev_walk"], 16)), "ratio", 16, segment_length=1024), path)
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
     spark.dataSource.register(EncodedSeries)
     return spark.read.format("encoded_series").option("path", path).load().where("t >= 2000 and t < 4000").select("t", F.col("x")[0].alias("x"))
 
