@@ -36,7 +36,7 @@ def pack_segment(x: np.ndarray, z: np.ndarray, o: Options) -> tuple[bytes, int]:
     whole = len(z) * o.block
     item = f"<u{o.width_bits // 8}"
     if o.entropy == "huffman" and o.entropy_order == "before":
-        return huffman.encode(z.reshape(whole, -1).astype(item).tobytes() + (x[whole:] & ((1 << o.width_bits) - 1)).astype(item).tobytes()), len(z)
+        return huffman.encode(z.astype(item).tobytes() + (x[whole:] & ((1 << o.width_bits) - 1)).astype(item).tobytes()), len(z)
     body, slots = K.pack(z, o)
     body += (x[whole:] & ((1 << o.width_bits) - 1)).astype(item).tobytes()
     return (huffman.encode(body) if o.entropy == "huffman" else body), slots
