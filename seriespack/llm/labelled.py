@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -21,8 +22,8 @@ def sample(labels: DataFrame, column: str, most: int) -> DataFrame:
     return known.orderBy(F.xxhash64("doc_id"), "doc_id", "label").limit(most)
 
 
-def training_set(docs: DataFrame, labels: DataFrame, column: str, features: Features, most: int, passes: Callable[[DataFrame], DataFrame] = lambda x: x) -> list[tuple[int, int, np.ndarray, np.ndarray]]:
-    """(doc_id, label, indexes, values) of the sample, made on the executors and brought to the driver.
+def training_set(docs: DataFrame, labels: DataFrame, column: str, features: Features, most: int, passes: Callable[[DataFrame], DataFrame] = lambda x: x) -> DataFrame:
+    """(doc_id, label, indexes, values) of the sample, made where the texts lie.
 
     The sample is at most ``most`` rows of two numbers, so it is broadcast; texts stay where they are.
     """
@@ -37,9 +38,18 @@ def training_set(docs: DataFrame, labels: DataFrame, column: str, features: Feat
                     ["doc_id", "label", "indexes", "values"],
                 )
 
-    rows = docs.select("doc_id", "text").join(chosen, "doc_id").select("doc_id", "text", "label").mapInArrow(make, "doc_id bigint, label int, indexes binary, values binary").toArrow()
-    found = zip(*(rows.column(c).to_pylist() for c in rows.column_names), strict=True)
-    return sorted(((d, y, np.frombuffer(i, "<i4"), np.frombuffer(v, "<f4")) for d, y, i, v in found), key=lambda r: (r[0], r[1], len(r[2])))
+    return docs.select("doc_id", "text").join(chosen, "doc_id").select("doc_id", "text", "label").mapInArrow(make, "doc_id bigint, label int, indexes binary, values binary")
+
+
+def fitted(rows: DataFrame, fit: Callable[[list[tuple[int, int, np.ndarray, np.ndarray]]], dict]) -> dict:
+    """What ``fit`` makes of a bounded training set, in one task of an executor; only the model comes to the driver."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        found = [r for b in batches for r in zip(*(b.column(c).to_pylist() for c in ("doc_id", "label", "indexes", "values")), strict=True)]
+        rows = sorted(((d, y, np.frombuffer(i, "<i4"), np.frombuffer(v, "<f4")) for d, y, i, v in found), key=lambda r: (r[0], r[1], len(r[2])))
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(fit(rows))], pa.binary())], ["model"])
+
+    return pickle.loads(rows.repartition(1).mapInArrow(run, "model binary").first()[0])
 
 
 def mixed(key: int) -> int:

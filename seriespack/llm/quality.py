@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .labelled import BUCKET_BITS, mixed, training_set
+from .labelled import BUCKET_BITS, fitted, mixed, training_set
 from .store import worker_cache
 from .text import as_bytes, pieces
 
@@ -101,12 +101,14 @@ class FollowTheLeader:
 
 def train(docs: DataFrame, labels: DataFrame, column: str = "quality", most: int = MOST, epochs: int = EPOCHS, passes=lambda x: x) -> np.ndarray:
     """Weights of all places and, last, the bias."""
-    rows = training_set(docs, labels, column, features, most, passes)
-    model = FollowTheLeader()
-    for epoch in range(epochs):
-        for _, y, at, x in sorted(rows, key=lambda r: mixed(r[0] * 31 + epoch)):
-            model.learn(at, x, y)
-    return model.weights().astype(np.float32)
+    def fit(rows) -> dict:
+        model = FollowTheLeader()
+        for epoch in range(epochs):
+            for _, y, at, x in sorted(rows, key=lambda r: mixed(r[0] * 31 + epoch)):
+                model.learn(at, x, y)
+        return {"weights": model.weights().astype(np.float32)}
+
+    return fitted(training_set(docs, labels, column, features, most, passes), fit)["weights"]
 
 
 def score(docs: DataFrame, weights: np.ndarray, column: str = "score") -> DataFrame:

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .labelled import training_set
+from .labelled import fitted, training_set
 from .store import worker_cache
 from .text import WordHashes, alnum_words, as_bytes, pieces
 
@@ -141,7 +141,9 @@ class OrdinalModel:
 
 
 def train(docs: DataFrame, labels: DataFrame, column: str = "toxic", most: int = MOST, passes=lambda x: x) -> OrdinalModel:
-    return OrdinalModel().fit(training_set(docs, labels, column, features, most, passes))
+    model = OrdinalModel()
+    vars(model).update(fitted(training_set(docs, labels, column, features, most, passes), lambda rows: vars(OrdinalModel().fit(rows))))
+    return model
 
 
 def score(docs: DataFrame, model: OrdinalModel) -> DataFrame:
