@@ -220,5 +220,6 @@ ORACLES = {
     "q65_udtf_decode": _decoded("ev_walk", 16),
     "q65_block_stats": f"WITH {prep(['li_day', 'ev_total'], 16)}, {fixed(16, '0')}, {blocks(16)}, {slots()} SELECT series_id, CAST(slot AS BIGINT) AS slot, first_block, n_blocks, CASE WHEN stored = 0 THEN 'run' ELSE 'data' END AS kind FROM k",
     "q66_datasource_read": _decoded("ev_walk", 16, "t >= 2000 AND t < 4000"),
+    "q71_header_group_bytes": " UNION ALL ".join(f"SELECT * FROM (WITH {prep(RANKED, 16)}, {fixed(16, '0')}, {blocks(16)}, {slots()}, {bodies(16, group=g)} SELECT series_id, CAST({g} AS BIGINT) AS group_size, {_BODY} AS body_bytes FROM z)" for g in range(1, 9)),
     "q67_huffman_kraft": "SELECT 'uniform' AS kind, CAST(2048 AS BIGINT) AS kraft_2048, CAST(8 AS BIGINT) AS longest UNION ALL SELECT 'doubling', 2048, 11 UNION ALL SELECT 'two', 2048, 1",
 }

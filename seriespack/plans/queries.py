@@ -586,6 +586,139 @@ def q67_huffman_kraft(spark, d):
     return spark.createDataFrame(rows, "kind string, kraft_2048 bigint, longest bigint")
 
 
+@query
+def q68_entropy_ablation(spark, d):
+    """Bytes without an entropy stage, with one after packing, one before, and the order-0 bound after packing."""
+
+    def make(key, x):
+        for name, o in (("none", preset("balanced", 16)), ("after", preset("ratio", 16)), ("before", preset("ratio", 16, entropy_order="before"))):
+            yield key, name, len(codec.pack_many([x], o)[0][0])
+        body = np.frombuffer(codec.pack_many([x], preset("balanced", 16))[0][0], np.uint8)
+        p = np.bincount(body) / max(len(body), 1)
+        yield key, "bound", int(np.ceil(-(p[p > 0] * np.log2(p[p > 0])).sum() * len(body) / 8))
+
+    return by_kernel(series(spark, d, RANKED, 16), make, "series_id string, stage string, bytes bigint")
+
+
+LEARNING = {
+    "block, every other": {},
+    "block, every sample": {"grad_stride": 1},
+    "sample": {"update": "sample", "grad_stride": 1},
+    "rate 1": {"rate_shift": 0},
+    "rate 1/4": {"rate_shift": 2},
+    "rate 1/16": {"rate_shift": 4},
+    "clamped": {"clamp": True},
+    "rounded product": {"round_product": True},
+    "case rule": {"zero_rule": "case"},
+    "floor mean": {"mean_rounding": "floor"},
+}
+
+
+@query
+def q69_learning_ablation(spark, d):
+    def make(key, x):
+        for name, change in LEARNING.items():
+            yield key, name, len(codec.pack_many([x], preset("balanced", 16, **change))[0][0])
+
+    return by_kernel(series(spark, d, RANKED, 16), make, "series_id string, variant string, bytes bigint")
+
+
+@query
+def q70_buffer_ablation(spark, d):
+    """General codecs on buffers of 1, 10 and 64 KB and on all, and how long a buffer takes to fill at 20 Hz."""
+
+    def make(key, x):
+        raw = x.astype("<u2").tobytes()
+        for size in (1000, 10_000, 64_000, len(raw)):
+            for name in baselines.GENERAL:
+                yield key, name, size, sum(len(baselines.general_encode(name, raw[i : i + size])) for i in range(0, len(raw), size)), models.fill_seconds(size, 1, 16, 20.0)
+
+    return by_kernel(series(spark, d, RANKED, 16), make, "series_id string, method string, buffer_bytes bigint, enc_bytes bigint, fill_seconds double")
+
+
+@query
+def q71_header_group_bytes(spark, d):
+    q = series(spark, d, RANKED, 16)
+
+    def make(key, x):
+        for g in range(1, 9):
+            yield key, g, len(codec.pack_many([x], preset("speed", 16, group=g))[0][0])
+
+    return by_kernel(q, make, "series_id string, group_size bigint, body_bytes bigint")
+
+
+@query
+def q72_speed_by_columns(spark, d):
+    """Rates of kernels on incompressible samples, a task for each width and number of columns (best of three)."""
+    grid = spark.createDataFrame([(w, n) for w in (8, 16) for n in (1, 2, 4, 5, 8, 16, 31, 80)], "width_bits bigint, dims bigint").repartition(16)
+
+    def run(frames):
+        import time
+
+        for frame in frames:
+            rows = []
+            for w, n in frame.itertuples(index=False):
+                x = np.random.default_rng(7).integers(0, 1 << w, (160_000 // n // 8 * 8, n)).astype(np.int64)
+                for name in ("speed", "balanced", "ratio"):
+                    o, best = preset(name, int(w)), [1e9] * 4
+                    for _ in range(3):
+                        t = [time.perf_counter()]
+                        made = codec.pack_many([x], o)
+                        t.append(time.perf_counter())
+                        codec.unpack_many([(*made[0], len(x), int(n))], o)
+                        t.append(time.perf_counter())
+                        e = K.residuals(x, o)
+                        t.append(time.perf_counter())
+                        K.reconstruct(e, o)
+                        t.append(time.perf_counter())
+                        best = [min(b, float(c)) for b, c in zip(best, np.diff(t), strict=True)]
+                    mb = x.size * w / 8e6
+                    rows.append((name, w, n, *[mb / b for b in best], x.size * w / 8 / len(made[0][0])))
+            yield pd.DataFrame(rows, columns=["method", "width_bits", "dims", "encode_mb_s", "decode_mb_s", "forecast_mb_s", "reconstruct_mb_s", "ratio"])
+
+    return grid.mapInPandas(run, "method string, width_bits bigint, dims bigint, encode_mb_s double, decode_mb_s double, forecast_mb_s double, reconstruct_mb_s double, ratio double")
+
+
+def _wide_methods(spark, d, names: list[str], width: int) -> DataFrame:
+    """Sizes and rates of presets and general codecs on wide datasets; general codecs see columns, one after the other."""
+    made = None
+    for n in names:
+        x = S.WIDE[n](spark, d, width)
+        made = x if made is None else made.unionByName(x)
+    path = fresh(spark, "wide")
+    made.write.parquet(path)
+    rows = spark.read.schema(made.schema).parquet(path)
+
+    def run(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
+        import time
+
+        x, out = np.stack(frame.sort_values("t").x.to_numpy()).astype(np.int64), []
+        raw = np.ascontiguousarray(x.T).astype(f"<u{width // 8}").tobytes()
+        for name in ("speed", "balanced", "ratio"):
+            o = preset(name, width)
+            made = codec.pack_many([x], o)
+            t0 = time.perf_counter()
+            codec.unpack_many([(*made[0], len(x), x.shape[1])], o)
+            out.append((key[0], name, width, len(raw), len(made[0][0]), len(raw) / 1e6 / (time.perf_counter() - t0)))
+        for name in baselines.GENERAL:
+            packed = baselines.general_encode(name, raw)
+            t0 = time.perf_counter()
+            baselines.general_decode(name, packed, len(raw))
+            out.append((key[0], name, width, len(raw), len(packed), len(raw) / 1e6 / (time.perf_counter() - t0)))
+        return pd.DataFrame(out, columns=["dataset_id", "method", "width_bits", "raw_bytes", "enc_bytes", "speed"])
+
+    return rows.groupBy("series_id").applyInPandas(run, "dataset_id string, method string, width_bits bigint, raw_bytes bigint, enc_bytes bigint, speed double")
+
+
+@query
+def q48_pareto_wide(spark, d):
+    """Where it wins and where it loses: ratio against decoding rate, and who is on the front."""
+    sizes = _wide_methods(spark, d, ["wide18", "state3", "state2"], 16).withColumn("ratio", F.col("raw_bytes") / F.col("enc_bytes"))
+    path = fresh(spark, "pareto")
+    sizes.write.parquet(path)
+    return M.pareto(spark.read.schema(sizes.schema).parquet(path))
+
+
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The flagship: the wide dataset and a running total, encoded for ratio, decoded, compared."""
     return wide_roundtrip(spark, sf_dir, "wide18")
