@@ -8,10 +8,10 @@ probability of 3e-4, at 0.8 of 2e-5.  A pair key can only be shared if both of i
 are counted first and only classes whose parts recur form pair keys.
 
 Buckets are linked by stars, not by all pairs: members are compared with one hub.  Where a bucket's
-members are not all in one component after that, two more rounds take other hubs; only the pairs across
-components that still share a bucket then are compared one by one.  Links are confirmed on full sets, a
-hub's rows being salted.  A size test and the bound that equal members of a component need no further
-link keep the work near the number of classes.
+members are not all in one component after that, three other hubs are tried.  What is still split
+then is decided in full: pairs across components in buckets of up to ``SMALL`` members, and larger buckets
+block against block, where only documents outside the commonest component are looked up and only links
+leave a task.  Links are confirmed on full sets, a hub's rows being salted.
 
 Defined cases: null and empty texts have an empty set and link with nothing; a text of fewer than five
 words is one shingle; rows with a null id take part, and their component is the least id among its
@@ -38,6 +38,8 @@ ROWS = 3
 SEED = 20
 ALIKE = (75, 100)
 SALTS = 8
+SMALL = 32
+BLOCK = 1024
 
 
 def word_hashes() -> WordHashes:
@@ -164,23 +166,95 @@ def links(docs: DataFrame, signed: DataFrame, alike: tuple[int, int] = ALIKE) ->
     done = confirm(stars, sets, alike)
     roots = components(done.where("linked").select("u", "v"))
     members = members.where("c > 2").select("key", "rid")
-    for turn in (1, 2, None):
-        members = _split(members, roots)
-        if members.isEmpty():
-            break
-        if turn:
-            hub = members.groupBy("key").agg(F.min_by("rid", F.xxhash64("rid", F.lit(turn))).alias("u"), F.min_by("root", F.xxhash64("rid", F.lit(turn))).alias("hub_root"))
-            pairs = members.join(hub, "key").where("root <> hub_root").select("u", F.col("rid").alias("v"))
-        else:
-            other = members.select("key", F.col("rid").alias("v"), F.col("root").alias("other"))
-            pairs = members.join(other, "key").where("root < other").select(F.col("rid").alias("u"), "v")
-        pairs = pairs.distinct()
-        known = done.select("u", "v").unionAll(done.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        pairs = written(pairs.join(known, ["u", "v"], "left_anti"), "more-pairs")
-        done = done.unionAll(confirm(pairs, sets, alike))
-        roots = components(done.where("linked").select("u", "v"))
-        members = members.select("key", "rid")
-    return roots
+    members = _split(members, roots)
+    if members.isEmpty():
+        return roots
+    hubs = members.groupBy("key").agg(F.array(*[F.min_by(F.struct("rid", "root"), F.xxhash64("rid", F.lit(turn))) for turn in (1, 2, 3)]).alias("hubs"))
+    pairs = members.join(hubs, "key").select("rid", "root", F.explode("hubs").alias("h")).where("root <> h.root").select(F.col("h.rid").alias("u"), F.col("rid").alias("v")).distinct()
+    known = done.select("u", "v").unionAll(done.select(F.col("v").alias("u"), F.col("u").alias("v")))
+    done = written(done.unionAll(confirm(written(pairs.join(known, ["u", "v"], "left_anti"), "more-pairs"), sets, alike)), "confirmed-so-far")
+    roots = components(done.where("linked").select("u", "v"))
+    members = members.select("key", "rid")
+    members = _split(members, roots)
+    if members.isEmpty():
+        return roots
+    counts = members.groupBy("key").agg(F.count(F.lit(1)).alias("c"), F.min("rid").alias("lo"))
+    sized = written(members.join(counts, "key"), "sized-buckets")
+    small = sized.where(F.col("c") <= SMALL).select("key", "rid", "root")
+    pairs = small.join(small.select("key", F.col("rid").alias("v"), F.col("root").alias("other")), "key").where("root < other").select(F.col("rid").alias("u"), "v").distinct()
+    known = done.select("u", "v").unionAll(done.select(F.col("v").alias("u"), F.col("u").alias("v")))
+    done = done.unionAll(confirm(written(pairs.join(known, ["u", "v"], "left_anti"), "more-pairs"), sets, alike))
+    large = sized.where(F.col("c") > SMALL)
+    if not large.isEmpty():
+        done = done.unionAll(block_links(large, sets, alike))
+    return components(done.where("linked").select("u", "v"))
+
+
+def _overlaps(x: np.ndarray, keys: np.ndarray, owners: np.ndarray, n: int) -> np.ndarray:
+    """How many shingles of ``x`` each of ``n`` owners has; ``keys`` are their shingles, sorted."""
+    lo, hi = np.searchsorted(keys, x, "left"), np.searchsorted(keys, x, "right")
+    count = hi - lo
+    at = np.repeat(lo - np.cumsum(count) + count, count) + np.arange(int(count.sum()))
+    return np.bincount(owners[at], minlength=n)
+
+
+def _linked_in(a: list[tuple], b: list[tuple], same: bool, alike: tuple[int, int]) -> list[tuple[int, int]]:
+    """Links across components between two blocks of (rid, root, set); at most one for a document and component.
+
+    Only documents outside the blocks' commonest component are looked up: one end of a link across components always is.
+    """
+    roots, counts = np.unique([r for _, r, _ in a + b], return_counts=True)
+    common = roots[counts.argmax()]
+    out = []
+    for left, right in ((a, b),) if same else ((a, b), (b, a)):
+        flat = np.concatenate([s for _, _, s in right])
+        owners = np.repeat(np.arange(len(right)), [len(s) for _, _, s in right])
+        order = np.argsort(flat, kind="stable")
+        keys, owners = flat[order], owners[order]
+        sizes, root_of = np.array([len(s) for _, _, s in right]), np.array([r for _, r, _ in right])
+        for rid, root, s in left:
+            if root == common:
+                continue
+            shared = _overlaps(s, keys, owners, len(right))
+            hit = np.flatnonzero((root_of != root) & (shared * alike[1] >= (sizes + len(s) - shared) * alike[0]))
+            if len(hit):
+                out += [(rid, right[i][0]) for i in hit[np.unique(root_of[hit], return_index=True)[1]].tolist()]
+    return out
+
+
+def block_links(members: DataFrame, sets: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFrame:
+    """(u, v, linked): links across components within large buckets, decided block against block.
+
+    Buckets that share members form a cluster, dealt into blocks of about ``BLOCK`` documents.  A task sees
+    two blocks at a time and emits links only, so neither pairs nor a cluster ever are rows of one task.
+    """
+    clusters = components(members.where("rid <> lo").select(F.col("lo").alias("u"), F.col("rid").alias("v")))
+    docs = members.select("rid", "root").distinct().join(clusters.withColumnRenamed("root", "cluster"), F.col("rid") == F.col("node")).drop("node")
+    sizes = docs.groupBy("cluster").agg(F.ceil(F.count(F.lit(1)) / F.lit(BLOCK)).alias("blocks"))
+    dealt = docs.join(sizes, "cluster").withColumn("block", F.pmod(F.xxhash64("rid", F.lit(3)), F.col("blocks")))
+    dealt = dealt.withColumn("with", F.explode(F.expr("sequence(0L, blocks - 1)")))
+    dealt = dealt.select("cluster", F.least("block", "with").alias("i"), F.greatest("block", "with").alias("j"), (F.col("block") > F.col("with")).alias("second"), "rid", "root")
+    dealt = dealt.join(sets.dropDuplicates(["rid"]), "rid").repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j")
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, a, b = None, [], []
+
+        def close() -> pa.RecordBatch:
+            same = key is None or key[1] == key[2]
+            found = _linked_in(a, a if same else b, same, alike) if a and (same or b) else []
+            return pa.RecordBatch.from_arrays([pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int64()), pa.array([True] * len(found), pa.bool_())], ["u", "v", "linked"])
+
+        for batch in batches:
+            for cluster, i, j, second, rid, root, body in zip(*(batch.column(c).to_pylist() for c in ("cluster", "i", "j", "second", "rid", "root", "shingles")), strict=True):
+                if (cluster, i, j) != key:
+                    if key is not None:
+                        yield close()
+                    key, a, b = (cluster, i, j), [], []
+                (b if second else a).append((rid, root, np.frombuffer(body, np.uint64)))
+        if key is not None:
+            yield close()
+
+    return written(dealt.mapInArrow(compare, "u bigint, v bigint, linked boolean"), "block-links")
 
 
 def groups(docs: DataFrame, text: str = "text") -> DataFrame:
