@@ -85,35 +85,55 @@ class Templates:
                 low[(keys >> np.uint64(20)).astype(np.int64) & 0xFFFF] = True
                 self.tables[size].append((keys, low, at))
 
-    def candidates(self, text: np.ndarray) -> set[tuple[int, int, int]]:
-        """(start, end, template) of windows that share a band with a template."""
-        out: set[tuple[int, int, int]] = set()
+    def candidates(self, texts: list[np.ndarray]) -> list[set[tuple[int, int, int]]]:
+        """For each text (start, end, template) of the windows that share a band with a template.
+
+        Texts lie in one array, each from a multiple of the largest class on and followed by a whole empty
+        block, so no window reaches from one into the next.
+        """
+        out: list[set[tuple[int, int, int]]] = [set() for _ in texts]
+        pad, lengths = self.sizes[-1], np.array([len(t) for t in texts], np.int64)
+        room = (-(-lengths // pad) + 1) * pad
+        starts = np.cumsum(room) - room
+        flat, empty = np.zeros(int(room.sum()), np.uint64), np.ones(int(room.sum()), bool)
+        for at, t in zip(starts.tolist(), texts, strict=True):
+            flat[at : at + len(t)] = t
+            empty[at : at + len(t)] = False
+        none = np.flatnonzero(empty)
         for b, f in enumerate(self.factors):
-            blocks, size = text * f, 1
+            blocks, size = flat * f, 1
+            blocks[none] = np.uint64(0xFFFFFFFFFFFFFFFF)
             for s in self.sizes:
-                if b >= len(self.tables[s]):
-                    continue
                 while size < s:
-                    blocks = np.minimum.reduceat(blocks, np.arange(0, len(blocks), 2))
+                    blocks = np.minimum(blocks[::2], blocks[1::2])
                     size *= 2
-                least = np.minimum(blocks[:-1], blocks[1:]) if len(blocks) > 1 else blocks
-                keys, low, at = self.tables[s][b]
+                if b >= len(self.tables[s]):
+                    continue
+                least = np.minimum(blocks[:-1], blocks[1:])
+                _, low, at = self.tables[s][b]
                 for w in np.flatnonzero(low[(least >> np.uint64(20)).astype(np.int64) & 0xFFFF]).tolist():
                     for i in at.get(int(least[w]), ()):
-                        out.add((w * s, min(w * s + 2 * s, len(text)), i))
+                        doc = int(np.searchsorted(starts, w * s, "right")) - 1
+                        start = w * s - int(starts[doc])
+                        if start < lengths[doc]:
+                            out[doc].add((start, min(start + 2 * s, int(lengths[doc])), i))
         return out
 
-    def find(self, text: np.ndarray) -> list[tuple[str, int, int, float]]:
-        """(name, start, end, containment) of confirmed windows, in shingles; the best window of each template and place."""
-        best: dict[tuple[int, int], tuple[float, int, int]] = {}
-        for start, end, i in sorted(self.candidates(text)) if len(text) else ():
-            part = float(np.isin(self.sets[i], text[start:end]).mean())
-            if part >= self.contained:
-                last = best.get((i, start - (end - start) // 2))
-                if last is None or part > last[0]:
-                    best.pop((i, start - (end - start) // 2), None)
-                    best[i, start] = (part, start, end)
-        return [(self.names[i], a, b, p) for (i, _), (p, a, b) in sorted(best.items())]
+    def find(self, texts: list[np.ndarray]) -> list[list[tuple[str, int, int, float]]]:
+        """For each text (name, start, end, containment) of confirmed windows, in shingles; of neighbouring windows with the same template the better one."""
+        out = []
+        for text, windows_ in zip(texts, self.candidates(texts), strict=True):
+            best: dict[tuple[int, int], tuple[float, int, int]] = {}
+            for start, end, i in sorted(windows_):
+                part = float(np.isin(self.sets[i], text[start:end]).mean())
+                if part >= self.contained:
+                    half = 1 << (len(self.sets[i]) - 1).bit_length()
+                    last = best.get((i, start - half))
+                    if last is None or part > last[0]:
+                        best.pop((i, start - half), None)
+                        best[i, start] = (part, start, end)
+            out.append([(self.names[i], a, b, p) for (i, _), (p, a, b) in sorted(best.items())])
+        return out
 
 
 def scan(docs: DataFrame, templates: dict[str, str] | None = None, contained: float = CONTAINED, text: str = "text") -> DataFrame:
@@ -126,7 +146,7 @@ def scan(docs: DataFrame, templates: dict[str, str] | None = None, contained: fl
         for batch in batches:
             for piece in pieces(batch, text):
                 all_ = [shingles(t) for t in as_bytes(piece.column(text))]
-                found = [[dict(zip(("name", "start", "end", "containment"), m, strict=True)) for m in known.find(s)] for s in all_]
+                found = [[dict(zip(("name", "start", "end", "containment"), m, strict=True)) for m in one] for one in known.find(all_)]
                 yield pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(map(len, all_), pa.int64()), pa.array(found, kind)], ["doc_id", "n_shingles", "licenses"])
 
     id_kind = docs.schema["doc_id"].dataType.simpleString()
