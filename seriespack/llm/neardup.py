@@ -39,6 +39,7 @@ SEED = 20
 ALIKE = (75, 100)
 SALTS = 8
 SMALL = 32
+HUB_KEYS = 8
 BLOCK = 1024
 
 
@@ -165,28 +166,21 @@ def links(docs: DataFrame, signed: DataFrame, alike: tuple[int, int] = ALIKE) ->
     sets = full_sets(docs, classes.join(involved, "rid", "left_semi"))
     done = confirm(stars, sets, alike)
     roots = components(done.where("linked").select("u", "v"))
-    members = members.where("c > 2").select("key", "rid")
-    members = _split(members, roots)
-    if members.isEmpty():
-        return roots
+    large = members.where(F.col("c") > SMALL)
+    small = members.where((F.col("c") > 2) & (F.col("c") <= SMALL)).select("key", "rid")
+    sample = large.where(F.pmod(F.xxhash64("key"), F.lit(HUB_KEYS)) == 0).select("key", "rid")
+    members = _split(small.unionAll(sample), roots)
     hubs = members.groupBy("key").agg(F.array(*[F.min_by(F.struct("rid", "root"), F.xxhash64("rid", F.lit(turn))) for turn in (1, 2, 3)]).alias("hubs"))
     pairs = members.join(hubs, "key").select("rid", "root", F.explode("hubs").alias("h")).where("root <> h.root").select(F.col("h.rid").alias("u"), F.col("rid").alias("v")).distinct()
     known = done.select("u", "v").unionAll(done.select(F.col("v").alias("u"), F.col("u").alias("v")))
     done = written(done.unionAll(confirm(written(pairs.join(known, ["u", "v"], "left_anti"), "more-pairs"), sets, alike)), "confirmed-so-far")
     roots = components(done.where("linked").select("u", "v"))
-    members = members.select("key", "rid")
-    members = _split(members, roots)
-    if members.isEmpty():
-        return roots
-    counts = members.groupBy("key").agg(F.count(F.lit(1)).alias("c"), F.min("rid").alias("lo"))
-    sized = written(members.join(counts, "key"), "sized-buckets")
-    small = sized.where(F.col("c") <= SMALL).select("key", "rid", "root")
+    small = _split(small, roots)
     pairs = small.join(small.select("key", F.col("rid").alias("v"), F.col("root").alias("other")), "key").where("root < other").select(F.col("rid").alias("u"), "v").distinct()
     known = done.select("u", "v").unionAll(done.select(F.col("v").alias("u"), F.col("u").alias("v")))
     done = done.unionAll(confirm(written(pairs.join(known, ["u", "v"], "left_anti"), "more-pairs"), sets, alike))
-    large = sized.where(F.col("c") > SMALL)
     if not large.isEmpty():
-        done = done.unionAll(block_links(large, sets, alike))
+        done = done.unionAll(block_links(large.select("lo", "rid").distinct(), roots, sets, alike))
     return components(done.where("linked").select("u", "v"))
 
 
@@ -222,14 +216,17 @@ def _linked_in(a: list[tuple], b: list[tuple], same: bool, alike: tuple[int, int
     return out
 
 
-def block_links(members: DataFrame, sets: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFrame:
+def block_links(edges: DataFrame, roots: DataFrame, sets: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFrame:
     """(u, v, linked): links across components within large buckets, decided block against block.
 
-    Buckets that share members form a cluster, dealt into blocks of about ``BLOCK`` documents.  A task sees
+    ``edges`` (lo, rid) tie the members of each bucket to its least.  Buckets that share members form a cluster;
+    those of more than one component are dealt into blocks of about ``BLOCK`` documents.  A task sees
     two blocks at a time and emits links only, so neither pairs nor a cluster ever are rows of one task.
     """
-    clusters = components(members.where("rid <> lo").select(F.col("lo").alias("u"), F.col("rid").alias("v")))
-    docs = members.select("rid", "root").distinct().join(clusters.withColumnRenamed("root", "cluster"), F.col("rid") == F.col("node")).drop("node")
+    clusters = components(edges.select(F.col("lo").alias("u"), F.col("rid").alias("v")))
+    docs = clusters.select(F.col("node").alias("rid"), F.col("root").alias("cluster")).join(roots, F.col("rid") == F.col("node"), "left").select("rid", "cluster", F.coalesce("root", "rid").alias("root"))
+    split = docs.groupBy("cluster").agg(F.min("root").alias("a"), F.max("root").alias("b")).where("a < b").select("cluster")
+    docs = written(docs.join(split, "cluster", "left_semi"), "clusters")
     sizes = docs.groupBy("cluster").agg(F.ceil(F.count(F.lit(1)) / F.lit(BLOCK)).alias("blocks"))
     dealt = docs.join(sizes, "cluster").withColumn("block", F.pmod(F.xxhash64("rid", F.lit(3)), F.col("blocks")))
     dealt = dealt.withColumn("with", F.explode(F.expr("sequence(0L, blocks - 1)")))
