@@ -6,9 +6,10 @@ number of sequences (``input_ids`` and ``mask``, both fixed-size lists), so batc
 is computed, and a mapped file gives its sequences without a copy.  Only a file's last sequence is padded,
 where ``mask`` is false.  The index (document, file, start, length) is a table beside the files.
 
-Words are looked up in a bounded memory of chunks that the tokenizer has encoded: a text may be cut
-before a single space that follows another character, as no token reaches across such a place in
-byte-level BPE.  Texts with doubled, leading or trailing spaces are encoded whole.
+Chunks that the tokenizer has encoded are remembered, up to a bound: no token of byte-level BPE reaches
+across a single space or line break between two other characters, nor from letters to the sign after
+them, so texts are cut there and most chunks looked up.  A text with white space doubled, or at a line's
+ends, is encoded whole.
 
 Defined cases: a null or empty text is the end id alone; null ids come first; rows with equal ids are
 ordered by text and all kept; an empty table writes no file; other columns are ignored.
@@ -16,8 +17,12 @@ ordered by text and all kept; an empty table writes no file; other columns are i
 
 from __future__ import annotations
 
+import re
+import sys
 import zlib
+from array import array
 from collections.abc import Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -30,7 +35,16 @@ from .store import AtomicFile, new_path, opened, worker_cache, written
 END = 2
 LENGTH = 2048
 BATCH = 64
-CACHE = 200_000
+CACHE = 700_000
+#: Letters only, then a sign that is neither a letter, a digit, white space nor an apostrophe.
+WORD = re.compile(r"[^\W\d_]+(?=[!-&(-/:-@\[-`{-~])")
+
+
+def forget_oldest(known: dict, most: int) -> None:
+    """Drops the older half of what is remembered once there is more than ``most``."""
+    if len(known) > most:
+        for key in list(islice(known, len(known) // 2)):
+            del known[key]
 
 
 class Encoder:
@@ -45,6 +59,9 @@ class Encoder:
         if self.tokenizer.get_vocab_size() > np.iinfo(dtype).max + 1:
             raise ValueError(f"{dtype} can't hold the ids")
         self.known: dict[str, bytes] = {}
+        self.first: dict[str, bytes] = {}
+        self.signs: dict[str, bytes] = {}
+        self.newline = self.whole(["\n"])[0]
 
     @classmethod
     def shared(cls, path: str, dtype: str) -> "Encoder":
@@ -54,20 +71,54 @@ class Encoder:
         return cache["encoder", path, dtype]
 
     def whole(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, self.dtype).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        code = {"<u2": "H", "<u4": "I"}[self.dtype]
+        out = [array(code, e.ids) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        if sys.byteorder != "little":
+            for a in out:
+                a.byteswap()
+        return [a.tobytes() for a in out]
+
+    def _learn(self, known: dict[str, bytes], before: str, chunks: list[str]) -> None:
+        """Encodes new chunks; the word and the signs after it, which the tokenizer always parts, are remembered apart."""
+        new, joined = [], []
+        for c in chunks:
+            if not c.isalpha() and (m := WORD.match(c)):
+                joined.append((c, c[: m.end()], c[m.end() :]))
+            else:
+                new.append(c)
+        new += {w for _, w, _ in joined}.difference(known, new)
+        known.update(zip(new, self.whole([before + c for c in new]), strict=True))
+        if signs := list({s for _, _, s in joined}.difference(self.signs)):
+            self.signs.update(zip(signs, self.whole(signs), strict=True))
+        signs = self.signs
+        known.update([(c, known[w] + signs[s]) for c, w, s in joined])
 
     def ids(self, text: str) -> bytes:
-        chunks = text.split(" ")
-        if "" in chunks or len(chunks) < 3:
+        for held, most in ((self.known, CACHE), (self.first, CACHE // 8), (self.signs, CACHE // 8)):
+            forget_oldest(held, most)
+        lines = text.split("\n")
+        if "" in lines:
             return self.whole([text])[0] if text else b""
-        chunks[1:] = [" " + c for c in chunks[1:]]
-        known = self.known
-        if new := [c for c in dict.fromkeys(chunks) if c not in known]:
-            if len(known) + len(new) > CACHE:
-                known.clear()
-                new = list(dict.fromkeys(chunks))
-            known.update(zip(new, self.whole(new), strict=True))
-        return b"".join(map(known.__getitem__, chunks))
+        firsts, rest, counts = [], [], []
+        for line in lines:
+            first, *others = line.split(" ")
+            firsts.append(first)
+            rest += others
+            counts.append(len(others))
+        if "" in firsts or (distinct := set(rest)) and "" in distinct:
+            return self.whole([text])[0]
+        if new := distinct.difference(self.known):
+            self._learn(self.known, " ", list(new))
+        if new := set(firsts).difference(self.first):
+            self._learn(self.first, "", list(new))
+        known, out, at = self.known.__getitem__, [], 0
+        for first, n in zip(firsts, counts, strict=True):
+            out.append(self.first[first])
+            out += map(known, rest[at : at + n])
+            out.append(self.newline)
+            at += n
+        out.pop()
+        return b"".join(out)
 
 
 def sequence_schema(length: int, dtype: str) -> pa.Schema:
