@@ -1,7 +1,7 @@
 """Forecasters as Column expressions over ``(series_id, t, x)``, all in generated code.
 
 Each segment starts from zeros.  Windows are partitioned by series (and segment, where there is one); the
-adaptive forecaster, sequential by nature, folds a bounded segment's samples with a state of four numbers.
+adaptive forecaster, sequential by nature, folds a group's samples with a state of a few numbers.
 """
 
 from __future__ import annotations
@@ -11,6 +11,9 @@ from pyspark.sql import functions as F
 
 from ..functions.bits import unsigned, wrap
 
+#: Samples folded into one array before it is put away: appending copies the array it appends to.
+CHUNK = 512
+
 
 def _order(keys: tuple[str, ...]) -> Window:
     return Window.partitionBy(*keys).orderBy("t")
@@ -41,13 +44,16 @@ def two_point_mean(df: DataFrame, width: int, keys: tuple[str, ...] = ("series_i
 def adaptive(df: DataFrame, width: int, keys: tuple[str, ...] = ("series_id",), update: str = "block", rate_shift: int = 1) -> DataFrame:
     """(keys, t, residual, coef) of the learning forecaster by a fold over each group's samples.
 
-    ``coef`` is what the sample was predicted with.  Groups must be bounded (segments): a group's samples are one array.
+    ``coef`` is what the sample was predicted with.  A group may be a whole series: it is folded chunk by chunk, the
+    state going on from one to the next.  A group's samples still are one row's array, so a group must fit in a task.
     """
     mod, half = 1 << width, 1 << (width - 1)
     gain_top = 1 << (2 * width - 1)
-    grouped = df.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("t", "x"))).alias("s"))
+    grouped = df.groupBy(*keys).agg(F.sort_array(F.collect_list(F.struct("t", "x"))).alias("s"))
     zero = F.lit(0).cast("bigint")
-    start = F.struct(zero.alias("prev"), zero.alias("step"), zero.alias("gain"), zero.alias("coef"), zero.alias("total"), zero.alias("i"), F.expr("cast(array() as array<struct<t: bigint, residual: bigint, coef: bigint>>)").alias("out"))
+    none = F.expr("cast(array() as array<struct<t: bigint, residual: bigint, coef: bigint>>)")
+    numbers = ("prev", "step", "gain", "coef", "total", "i")
+    start = F.struct(*[zero.alias(c) for c in numbers], F.array(none).alias("done"), none.alias("out"))
 
     def clipped(v: Column) -> Column:
         return F.least(F.greatest(v, F.lit(-gain_top)), F.lit(gain_top - 1))
@@ -63,9 +69,15 @@ def adaptive(df: DataFrame, width: int, keys: tuple[str, ...] = ("series_id",),
             total = F.when(a["i"] % 8 == 0, zero).otherwise(a["total"]) + F.when(a["i"] % 2 == 1, push).otherwise(zero)
             gain = F.when(a["i"] % 8 == 7, clipped(a["gain"] + F.call_function("div", total, F.lit(4).cast("bigint")))).otherwise(a["gain"])
         row = F.struct(s["t"].alias("t"), residual.alias("residual"), coef.alias("coef"))
-        return F.struct(s["x"].alias("prev"), now.alias("step"), gain.alias("gain"), coef.alias("coef"), total.alias("total"), (a["i"] + 1).alias("i"), F.concat(a["out"], F.array(row)).alias("out"))
+        return F.struct(s["x"].alias("prev"), now.alias("step"), gain.alias("gain"), coef.alias("coef"), total.alias("total"), (a["i"] + 1).alias("i"), a["done"].alias("done"), F.concat(a["out"], F.array(row)).alias("out"))
+
+    def next_chunk(a: Column, chunk: Column) -> Column:
+        put_away = F.struct(*[a[c].alias(c) for c in numbers], F.concat(a["done"], F.array(a["out"])).alias("done"), none.alias("out"))
+        return F.aggregate(chunk, put_away, next_state)
 
-    folded = grouped.select(*keys, F.aggregate("s", start, next_state, lambda a: a["out"]).alias("out"))
+    chunks = F.expr(f"transform(sequence(0, (size(s) - 1) div {CHUNK}), i -> slice(s, cast(i * {CHUNK} + 1 as int), {CHUNK}))")
+    all_rows = lambda a: F.flatten(F.concat(a["done"], F.array(a["out"])))
+    folded = grouped.select(*keys, F.aggregate(chunks, start, next_chunk, all_rows).alias("out"))
     return folded.select(*keys, F.explode("out").alias("r")).select(*keys, "r.t", "r.residual", "r.coef")
 
 

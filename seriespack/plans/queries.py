@@ -104,7 +104,7 @@ def q04_fixed_alpha_grid(spark, d):
 
 @query
 def q05_adaptive_sample_residuals(spark, d):
-    return forecast.adaptive(typed(spark, d).where("t < 400"), 16, update="sample").select("series_id", "t", "residual")
+    return forecast.adaptive(typed(spark, d), 16, update="sample").select("series_id", "t", "residual")
 
 
 def _residual_rows(o: Options):
@@ -130,7 +130,7 @@ def q07_adaptive_final_alpha(spark, d):
 
 @query
 def q08_adaptive_native_vs_kernel(spark, d):
-    q = typed(spark, d).where("t < 800")
+    q = typed(spark, d)
     native = forecast.adaptive(q, 16).select("series_id", "t", F.col("residual").alias("native"))
     kernel = by_kernel(q, _residual_rows(Options(width_bits=16, forecaster="adaptive")), "series_id string, t bigint, residual bigint")
     both_ = native.join(kernel, ["series_id", "t"], "full_outer")

@@ -40,6 +40,18 @@ def test_parity(spark, small, duck, name):
         assert got == sorted(map(tuple, want[sorted(want.columns)].astype(object).itertuples(index=False)))
 
 
+def test_adaptive_queries_take_whole_series(spark, duck):
+    """Every sample of every series against the recursion without its limit; the registered SQL stops at 400 and 800."""
+    sf, own = "/root/testdata/sf0.01", "s.series_id"
+    assert min(n for _, n in duck(sf).execute(f"SELECT series_id, count(*) FROM ({oracles.TYPED}) s GROUP BY {own}").fetchall()) > 800
+    sql = f"WITH RECURSIVE s AS ({oracles.TYPED}), {oracles.quant(16)}, {{}} SELECT series_id, {{}} FROM f WHERE t >= 0 {{}}"
+    got = queries.q05_adaptive_sample_residuals(spark, sf)
+    assert sorted(map(tuple, got.collect())) == sorted(duck(sf).execute(sql.format(oracles.adaptive(16, "sample"), "t, residual", "")).fetchall())
+    assert sorted(map(tuple, got.where("t < 400").collect())) == sorted(duck(sf).execute(oracles.ORACLES["q05_adaptive_sample_residuals"]).fetchall())
+    want = duck(sf).execute(sql.format(oracles.adaptive(16), "count(*), CAST(sum(abs(residual)) AS BIGINT), 0", "GROUP BY series_id")).fetchall()
+    assert sorted(map(tuple, queries.q08_adaptive_native_vs_kernel(spark, sf).collect())) == sorted(want)
+
+
 def test_encode_is_one_exchange_and_decode_none(spark, small):
     path = queries.fresh(spark, "plan")
     queries.write_segments(codec.encode(wide(queries.series(spark, small, ["ev_walk"], 16)), "speed", 16), path)
