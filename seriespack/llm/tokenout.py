@@ -7,9 +7,10 @@ is computed, and a mapped file gives its sequences without a copy.  Only a file'
 where ``mask`` is false.  The index (document, file, start, length) is a table beside the files.
 
 Chunks that the tokenizer has encoded are remembered, up to a bound: no token of byte-level BPE reaches
-across a single space or line break between two other characters, nor from letters to the sign after
-them, so texts are cut there and most chunks looked up.  A text with white space doubled, or at a line's
-ends, is encoded whole.
+across a single space or line break between two characters that are not white space, nor from letters to
+the sign after them, so texts are cut there and most chunks looked up.  A text where a space or line break
+touches other white space of any kind (the vocabulary has a token for line feed and no-break space), or an
+end of the text, is encoded whole, and so is one that holds the text of an added token.
 
 Defined cases: a null or empty text is the end id alone; null ids come first; rows with equal ids are
 ordered by text and all kept; an empty table writes no file; other columns are ignored.
@@ -47,6 +48,11 @@ def forget_oldest(known: dict, most: int) -> None:
             del known[key]
 
 
+def touching(chunk: str) -> bool:
+    """Whether the chunk has Unicode white space at an end, so next to the space or line break it was cut at."""
+    return chunk[:1].isspace() or chunk[-1:].isspace()
+
+
 class Encoder:
     """A tokenizer of byte-level BPE with a bounded memory of chunks."""
 
@@ -62,6 +68,7 @@ class Encoder:
         self.first: dict[str, bytes] = {}
         self.signs: dict[str, bytes] = {}
         self.newline = self.whole(["\n"])[0]
+        self.added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
 
     @classmethod
     def shared(cls, path: str, dtype: str) -> "Encoder":
@@ -97,7 +104,7 @@ class Encoder:
         for held, most in ((self.known, CACHE), (self.first, CACHE // 8), (self.signs, CACHE // 8)):
             forget_oldest(held, most)
         lines = text.split("\n")
-        if "" in lines:
+        if "" in lines or any(t in text for t in self.added):
             return self.whole([text])[0] if text else b""
         firsts, rest, counts = [], [], []
         for line in lines:
@@ -107,10 +114,13 @@ class Encoder:
             counts.append(len(others))
         if "" in firsts or (distinct := set(rest)) and "" in distinct:
             return self.whole([text])[0]
-        if new := distinct.difference(self.known):
+        new, new_firsts = distinct.difference(self.known), set(firsts).difference(self.first)
+        if any(map(touching, new)) or any(map(touching, new_firsts)):  # such chunks are never remembered, so always new
+            return self.whole([text])[0]
+        if new:
             self._learn(self.known, " ", list(new))
-        if new := set(firsts).difference(self.first):
-            self._learn(self.first, "", list(new))
+        if new_firsts:
+            self._learn(self.first, "", list(new_firsts))
         known, out, at = self.known.__getitem__, [], 0
         for first, n in zip(firsts, counts, strict=True):
             out.append(self.first[first])

@@ -124,6 +124,25 @@ def test_tokens_round_trip(spark, edges):
         assert np.frombuffer(e.ids(t), "<u2").tolist() == tokenizer.encode(t, add_special_tokens=False).ids
 
 
+def test_tokens_equal_an_unmodified_tokenizer(tmp_path):
+    from tokenizers import AddedToken, Tokenizer
+
+    plain = Tokenizer.from_file(queries.tokenizer_path())
+    plain.encode_special_tokens = True
+    e = tokenout.Encoder(queries.tokenizer_path())
+    of = lambda t: np.frombuffer(e.ids(t), "<u2").tolist()
+    assert of("oui\n\u00a0 non") == [280, 72, 44320, 1729]
+    atoms = ["a", "oui", " ", "\n", "\u00a0", "\t", "\r", "\u3000", "\u2028", "\x85", "\x1c", "\u200b", "'s", ".", "é", "\u0301", "1", "²", "日本", "<|endoftext|>"]
+    rng = np.random.default_rng(5)
+    texts = ["oui\n\u00a0\u00a0non", "a\u00a0\nb", "a \u00a0b"] + ["".join(atoms[i] for i in rng.integers(0, len(atoms), rng.integers(1, 9))) for _ in range(20_000)]
+    texts += ["".join(("oui", sep, "\n", more, "non")) for sep in ("", "\u00a0", "\t") for more in ("\u00a0", "\u00a0 ", "\u00a0\u00a0", "\t\u00a0")]
+    assert [t for t, b in zip(texts, plain.encode_batch(texts, add_special_tokens=False), strict=True) if of(t) != b.ids] == []
+    plain.add_tokens([AddedToken("x y", normalized=False)])
+    plain.save(str(tmp_path / "t.json"))
+    e = tokenout.Encoder(str(tmp_path / "t.json"))
+    assert of("a x y b") == plain.encode("a x y b", add_special_tokens=False).ids
+
+
 def test_media_is_lossless(spark, edges):
     for r in media.report(edges.where("doc_id is not null")).collect():
         payload = media.padded((TEXTS[r.doc_id] or "").encode())
