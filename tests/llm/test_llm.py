@@ -208,6 +208,24 @@ def test_classifiers_on_held_out_rows(spark):
     assert r.hit >= 0.97 and r.wrong <= 5
 
 
+def test_toxic_texts_are_found_on_the_small_scale(spark, small):
+    """11 labelled texts are toxic, 7 of them by their words; the other 4 hold no word of abuse."""
+    docs, known = queries.table(spark, small, "documents"), queries.table(spark, small, "labels")
+    got = toxicity.report(docs, known).join(known.select("doc_id", F.col("toxic").alias("label")), "doc_id").where("label is not null")
+    r = got.agg(F.sum((F.col("toxic") & (F.col("label") == 1)).cast("int")).alias("found"), F.sum((F.col("toxic") & (F.col("label") == 0)).cast("int")).alias("wrong")).first()
+    assert r.found >= 7 and r.wrong == 0
+    assert docs.count() - toxicity.keep_civil(docs, known).count() >= 7
+
+
+def test_toxicity_cut_follows_the_sample():
+    common, rare = np.arange(3), np.arange(100, 104)
+    rows = [(i, int(i % 8 == 0), np.concatenate([common, rare[[i // 8 % 4]] if i % 8 == 0 else [], [200 + i]]).astype("<i4"), None) for i in range(120)]
+    model = toxicity.OrdinalModel().fit([(d, y, at, np.ones(len(at), "<f4")) for d, y, at, _ in rows])
+    # each of the four words occurs in 3 or 4 toxic texts only
+    assert all(model.severity(np.array([model.dot(np.array([*common, w], "<i4"))]))[1][0] >= 0.5 for w in rare)
+    assert model.severity(np.array([model.dot(common.astype("<i4"))]))[1][0] < 0.5
+
+
 def test_pipeline_stages(spark, small):
     import corpus_pipeline as p
 
