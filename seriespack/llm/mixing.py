@@ -15,12 +15,15 @@ themselves with it where they lie, so texts are not moved.
 
 Defined cases: null texts and texts without words hold no tokens and are not taken by a budget that ends;
 null languages and sources are nodes named ``?``; null ids take the name ``?``; documents with equal ids
-share a place in the order; leaves of weight 0 get nothing; an empty table gives an empty result; a column
+share a place in the order; leaves below a node of weight 0 get nothing and hold no capacity; an empty table gives an empty result; a column
 that clashes with a name used here is refused by Spark's own check, names used here start with ``_``.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import or_
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -29,7 +32,7 @@ from .store import written
 LEVELS = ("_domain", "_lang", "_source")
 SEED = 17
 DOMAINS = 4
-#: Target weights: languages as listed, others 1; domains and sources count alike.
+#: Target weights of the queries: languages as listed, others 1; domains and sources count alike unless weights are given.
 LANG_WEIGHTS = {"en": 4, "fr": 2, "de": 2, "es": 2}
 MAX_EPOCHS = 2
 SHARE = (6, 10)
@@ -41,9 +44,15 @@ def tokens(text: str = "text") -> Column:
     return F.coalesce(F.regexp_count(F.col(text), F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)).cast("bigint")
 
 
-def domain(source: Column, domains: int = DOMAINS) -> Column:
-    """The domain of a source, where no table of domains is at hand: one of at most 16, by the first digit of its MD5."""
-    return F.concat(F.lit("domain"), (F.conv(F.substring(F.md5(source.cast("binary")), 1, 1), 16, 10).cast("int") % domains).cast("string"))
+def listed(values: dict, key: Column) -> Column:
+    """What ``values`` lists for a key; null for others."""
+    return F.create_map(*[F.lit(x) for kv in values.items() for x in kv])[key] if values else F.lit(None)
+
+
+def domain(source: Column, domains: int = DOMAINS, given: dict[str, str] | None = None) -> Column:
+    """The domain ``given`` for a source; where none is, one of at most 16 by the first digit of the source's MD5."""
+    made = F.concat(F.lit("domain"), (F.conv(F.substring(F.md5(source.cast("binary")), 1, 1), 16, 10).cast("int") % domains).cast("string"))
+    return F.coalesce(listed(given, source), made) if given else made
 
 
 def place(seed: int, epoch: Column, doc_id: Column) -> Column:
@@ -72,36 +81,41 @@ def _share(children: DataFrame, parent: list[str], node: str) -> DataFrame:
     return out.withColumn("_budget", budget.cast("bigint")).drop("_left", "_rest", "_full", "_rate", "_ratio")
 
 
-def budgets(leaves: DataFrame, total: Column, lang_weights: dict[str, int], max_epochs: int) -> DataFrame:
-    """``leaves`` (levels, ``_tokens``) with ``_budget``, of a total that is an aggregate of ``_tokens``."""
-    weight = F.coalesce(F.create_map(*[F.lit(x) for kv in lang_weights.items() for x in kv])[F.col("_lang")], F.lit(1)) if lang_weights else F.lit(1)
-    leaves = leaves.withColumn("_capacity", F.col("_tokens") * max_epochs)
+def budgets(leaves: DataFrame, total: Column, lang_weights: dict[str, int], max_epochs: int, domain_weights: dict[str, int] | None = None, source_weights: dict[str, int] | None = None) -> DataFrame:
+    """``leaves`` (levels, ``_tokens``) with ``_budget``, of a total that is an aggregate of ``_tokens``.
+
+    Weights are by the node's name, 1 for names not listed.  A leaf below any node of weight 0 holds no capacity.
+    """
+    given = dict(zip(LEVELS, (domain_weights, lang_weights, source_weights), strict=True))
+    weights = {level: F.coalesce(listed(given[level], F.col(level)), F.lit(1)).cast("bigint") if given[level] else F.lit(1).cast("bigint") for level in LEVELS}
+    barred = reduce(or_, (weights[level] <= 0 for level in LEVELS))
+    leaves = leaves.withColumn("_capacity", F.when(barred, F.lit(0)).otherwise(F.col("_tokens") * max_epochs).cast("bigint"))
     nodes = [leaves]
     for depth in (2, 1):
         nodes.insert(0, leaves.groupBy(*LEVELS[:depth]).agg(F.sum("_capacity").alias("_capacity")))
-    given = leaves.agg(total.cast("bigint").alias("_parent_budget"))
+    passed = leaves.agg(total.cast("bigint").alias("_parent_budget"))
     for depth, level in enumerate(nodes):
         keys = list(LEVELS[:depth])
-        children = level.withColumn("_weight", (weight if LEVELS[depth] == "_lang" else F.lit(1)).cast("bigint"))
-        children = children.crossJoin(given) if not keys else children.join(given, keys)
+        children = level.withColumn("_weight", weights[LEVELS[depth]])
+        children = children.crossJoin(passed) if not keys else children.join(passed, keys)
         shared = _share(children, keys or [F.lit(0)], LEVELS[depth])
-        given = shared.select(*LEVELS[: depth + 1], F.col("_budget").alias("_parent_budget"))
+        passed = shared.select(*LEVELS[: depth + 1], F.col("_budget").alias("_parent_budget"))
     return shared.select(*LEVELS, "_tokens", "_capacity", "_budget")
 
 
-def _measured(docs: DataFrame, text: str) -> DataFrame:
+def _measured(docs: DataFrame, text: str, domains: dict[str, str] | None) -> DataFrame:
     source = F.coalesce(F.col("source").cast("string"), F.lit("?"))
-    return docs.select(F.col("doc_id").alias("_id"), domain(source).alias("_domain"), F.coalesce(F.col("lang").cast("string"), F.lit("?")).alias("_lang"), source.alias("_source"), tokens(text).alias("_n"))
+    return docs.select(F.col("doc_id").alias("_id"), domain(source, given=domains).alias("_domain"), F.coalesce(F.col("lang").cast("string"), F.lit("?")).alias("_lang"), source.alias("_source"), tokens(text).alias("_n"))
 
 
-def cuts(measured: DataFrame, total: Column, seed: int = SEED, lang_weights: dict[str, int] | None = None, max_epochs: int = MAX_EPOCHS, range_rows: int = RANGE_ROWS) -> DataFrame:
+def cuts(measured: DataFrame, total: Column, seed: int = SEED, lang_weights: dict[str, int] | None = None, max_epochs: int = MAX_EPOCHS, range_rows: int = RANGE_ROWS, domain_weights: dict[str, int] | None = None, source_weights: dict[str, int] | None = None) -> DataFrame:
     """A row for each leaf: its budget, whole epochs, and where the last epoch's prefix ends.
 
     ``_epochs`` whole epochs are taken; of the next, documents before (``_cut``, ``_cut_id``), and ``_cut_tokens`` of those there.
     """
     levels = list(LEVELS)
     leaves = measured.groupBy(*levels).agg(F.sum("_n").alias("_tokens"), F.count("*").alias("_rows"))
-    planned = budgets(leaves.drop("_rows"), total, LANG_WEIGHTS if lang_weights is None else lang_weights, max_epochs)
+    planned = budgets(leaves.drop("_rows"), total, LANG_WEIGHTS if lang_weights is None else lang_weights, max_epochs, domain_weights, source_weights)
     planned = planned.withColumn("_epochs", F.expr("coalesce(_budget div nullif(_tokens, 0), 0)")).withColumn("_remainder", F.col("_budget") - F.col("_epochs") * F.col("_tokens"))
     planned = written(planned, "mixing-leaves")
     ranges = measured.agg(F.ceil(F.count("*") / F.lit(range_rows)).alias("_ranges"))
@@ -118,13 +132,16 @@ def cuts(measured: DataFrame, total: Column, seed: int = SEED, lang_weights: dic
     return written(planned.join(ends, levels, "left"), "mixing-cuts")
 
 
-def taken(docs: DataFrame, share: tuple[int, int] = SHARE, seed: int = SEED, lang_weights: dict[str, int] | None = None, max_epochs: int = MAX_EPOCHS, text: str = "text") -> DataFrame:
-    """``docs`` with ``_n`` (tokens), ``_epochs`` (whole times taken) and ``_tokens_more`` (of the last, partial epoch)."""
-    measured = written(_measured(docs, text), "mixing-tokens")
+def taken(docs: DataFrame, share: tuple[int, int] = SHARE, seed: int = SEED, lang_weights: dict[str, int] | None = None, max_epochs: int = MAX_EPOCHS, text: str = "text", domain_weights: dict[str, int] | None = None, source_weights: dict[str, int] | None = None, domains: dict[str, str] | None = None) -> DataFrame:
+    """``docs`` with ``_n`` (tokens), ``_epochs`` (whole times taken) and ``_tokens_more`` (of the last, partial epoch).
+
+    ``domains`` maps sources to domains; the weights of each level are by name.
+    """
+    measured = written(_measured(docs, text, domains), "mixing-tokens")
     total = F.expr(f"coalesce(sum(_tokens), 0) * {share[0]} div {share[1]}")
-    leaves = cuts(measured, total, seed, lang_weights, max_epochs)
+    leaves = cuts(measured, total, seed, lang_weights, max_epochs, domain_weights=domain_weights, source_weights=source_weights)
     source = F.coalesce(F.col("source").cast("string"), F.lit("?"))
-    placed = docs.withColumns({"_domain": domain(source), "_lang": F.coalesce(F.col("lang").cast("string"), F.lit("?")), "_source": source, "_n": tokens(text)})
+    placed = docs.withColumns({"_domain": domain(source, given=domains), "_lang": F.coalesce(F.col("lang").cast("string"), F.lit("?")), "_source": source, "_n": tokens(text)})
     known = placed.join(leaves.select(*LEVELS, "_epochs", "_cut", "_cut_tokens"), list(LEVELS), "left").withColumn("_place", place(seed, F.col("_epochs"), F.col("doc_id")))
     more = F.when(F.col("_place") < F.col("_cut"), F.col("_n")).when(F.col("_place") == F.col("_cut"), F.least("_n", "_cut_tokens")).otherwise(F.lit(0))
     return known.withColumn("_tokens_more", F.when(F.col("_cut").isNull(), F.lit(0)).otherwise(more).cast("bigint")).select(*docs.columns, "_domain", "_n", "_epochs", "_tokens_more")

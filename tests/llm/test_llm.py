@@ -196,6 +196,19 @@ def test_mixing_budgets(spark):
     assert got == {"a": 100, "b": 10, "c": 240, "e": 50}
 
 
+def test_mixing_weights_of_every_level(spark):
+    leaves = spark.createDataFrame([("d0", "en", "a", 100), ("d0", "fr", "b", 300), ("d1", "en", "c", 400), ("d1", "en", "d", 400)], "_domain string, _lang string, _source string, _tokens bigint")
+    of = lambda total, *w: {r._source: r._budget for r in mixing.budgets(leaves, F.lit(total) + F.sum("_tokens") * 0, *w).collect()}
+    assert of(400, {}, 1, {"d0": 1, "d1": 3}, {"d": 2}) == {"a": 50, "b": 50, "c": 100, "d": 200}
+    # what fr may not take goes to the other domain
+    assert of(400, {"fr": 0}, 1) == {"a": 100, "b": 0, "c": 150, "d": 150}
+    assert of(400, {}, 1, {"d1": 0}, {"b": 0}) == {"a": 100, "b": 0, "c": 0, "d": 0}
+    docs = spark.createDataFrame([(i, "w " * 10, "en", s) for i, s in enumerate("xxxxyyyyzzzz")], "doc_id bigint, text string, lang string, source string")
+    out = mixing.report(docs, share=(4, 12), lang_weights={}, max_epochs=1, domains={"x": "web", "y": "web", "z": "books"}, domain_weights={"web": 3}, source_weights={"y": 2})
+    got = {r["source"]: (r["domain"], r["n"]) for r in out.join(docs, "doc_id").groupBy("source", "domain").agg(F.sum("tokens_taken").alias("n")).collect()}
+    assert got == {"x": ("web", 10), "y": ("web", 20), "z": ("books", 10)}
+
+
 def test_classifiers_on_held_out_rows(spark):
     sf = "/root/testdata/sf0.1"
     docs, known = queries.table(spark, sf, "documents"), queries.table(spark, sf, "labels")
