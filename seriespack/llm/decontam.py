@@ -7,7 +7,8 @@ benchmark is cut into blocks, each scanned in a pass of its own).  Document wind
 hash, each hit is verified word for word, and words inside an occurrence are marked.
 
 Defined cases: a null or empty text has no words and is clean; items without words are ignored; equal
-items all count; repeated documents are each scanned; other columns pass untouched.
+items all count; the words of an item with a null id are marked, but it is not listed among the items of
+a document; repeated documents are each scanned; other columns pass untouched.
 """
 
 from __future__ import annotations
@@ -34,9 +35,9 @@ HITS = "_hit_words array<int>, _hit_items array<string>, _n_words bigint"
 class WindowSet:
     """Windows of benchmark items, found by hash and confirmed word by word."""
 
-    def __init__(self, items: Iterable[tuple[str, bytes]], width: int = WIDTH):
+    def __init__(self, items: Iterable[tuple[str | None, bytes]], width: int = WIDTH):
         self.ids: dict[bytes, int] = {}
-        found: dict[int, dict[tuple[int, ...], set[str]]] = defaultdict(lambda: defaultdict(set))
+        found: dict[int, dict[tuple[int, ...], set[str | None]]] = defaultdict(lambda: defaultdict(set))
         for item, text in items:
             words = [self.ids.setdefault(w, len(self.ids) + 1) for w in alnum_words(text)]
             n = min(width, len(words))
@@ -48,7 +49,7 @@ class WindowSet:
             keys = self.keys(grams.T)
             at = defaultdict(list)
             for key, gram in zip(keys.tolist(), by, strict=True):
-                at[key].append((gram, tuple(sorted(by[gram]))))
+                at[key].append((gram, tuple(sorted(i for i in by[gram] if i is not None))))
             self.tables.append((n, np.unique(keys), dict(at)))
 
     @staticmethod
@@ -80,11 +81,11 @@ class WindowSet:
 
 def _blocks(benchmark: DataFrame, width: int, item: str, text: str, block_bytes: int) -> list[WindowSet]:
     """The benchmark in blocks of a bounded size; the driver holds one block's texts at a time."""
-    rows = benchmark.select(F.col(item).cast("string").alias("item"), F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8").alias("text")).where("item is not null")
+    rows = benchmark.select(F.col(item).cast("string").alias("item"), F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8").alias("text"))
     size = rows.agg(F.sum(F.length("text"))).first()[0] or 0
     n = int(size // block_bytes) + 1
     for b in range(n):
-        part = rows if n == 1 else rows.where(F.pmod(F.xxhash64("item"), F.lit(n)) == b)
+        part = rows if n == 1 else rows.where(F.pmod(F.xxhash64("item", "text"), F.lit(n)) == b)
         yield WindowSet(((r.item, bytes(r.text)) for r in part.toLocalIterator()), width)
 
 

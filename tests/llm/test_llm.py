@@ -176,6 +176,15 @@ def test_decontamination_modes(spark):
     assert {r.doc_id: list(r._hit_items) for r in split.collect()} == {0: ["i"], 1: ["s"], 2: [], 3: []}
 
 
+def test_decontamination_by_items_without_id(spark):
+    bench = spark.createDataFrame([(None, "secret passage here"), (None, "other one"), ("i", "secret passage here")], "item_id string, text string")
+    docs = spark.createDataFrame([(0, "a secret passage here"), (1, "that other one"), (2, "clean")], "doc_id bigint, text string")
+    for block_bytes in (decontam.BLOCK_BYTES, 16):
+        got = {r.doc_id: (list(r._hit_words), list(r._hit_items)) for r in decontam.hits(docs, bench, block_bytes=block_bytes).collect()}
+        assert got == {0: ([1, 2, 3], ["i"]), 1: ([1, 2], []), 2: ([], [])}
+    assert [r.doc_id for r in decontam.decontaminate(docs, bench).collect()] == [2]
+
+
 def test_licenses_against_brute_force(spark, small):
     docs = queries.table(spark, small, "documents")
     known = licenses.Templates(licenses.TEMPLATES)
