@@ -67,8 +67,8 @@ def _fingerprint(s: np.ndarray) -> bytes:
     return xxhash.xxh3_128_digest(s.tobytes())
 
 
-def signatures(docs: DataFrame, text: str = "text", shingle: int = SHINGLE) -> DataFrame:
-    """(rid, doc_id, n, print, keys): a number of its own, the set's size and fingerprint, and the keys of each row."""
+def signatures(docs: DataFrame, text: str = "text", shingle: int = SHINGLE, number: str | None = None) -> DataFrame:
+    """(rid, doc_id, n, print, keys): a number of its own (that in column ``number`` if given), the set's size and fingerprint, and the keys of each row."""
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes, rid = word_hashes(), TaskContext.get().partitionId() << 40
@@ -80,7 +80,7 @@ def signatures(docs: DataFrame, text: str = "text", shingle: int = SHINGLE) -> D
                 of = iter(keys)
                 yield pa.RecordBatch.from_arrays(
                     [
-                        pa.array(np.arange(rid, rid + len(sets)), pa.int64()),
+                        piece.column(number) if number else pa.array(np.arange(rid, rid + len(sets)), pa.int64()),
                         piece.column("doc_id"),
                         pa.array([len(s) for s in sets], pa.int64()),
                         pa.array([_fingerprint(s) if len(s) else None for s in sets], pa.binary()),
@@ -91,7 +91,7 @@ def signatures(docs: DataFrame, text: str = "text", shingle: int = SHINGLE) -> D
                 rid += len(sets)
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return written(docs.select("doc_id", text).mapInArrow(sign, f"rid bigint, doc_id {kind}, n bigint, print binary, keys array<bigint>"), "signatures")
+    return written(docs.select("doc_id", text, *([number] if number else [])).mapInArrow(sign, f"rid bigint, doc_id {kind}, n bigint, print binary, keys array<bigint>"), "signatures")
 
 
 def buckets(classes: DataFrame, collection: int = COLLECTION) -> DataFrame:
@@ -268,7 +268,15 @@ def groups(docs: DataFrame, text: str = "text") -> DataFrame:
 
 
 def deduplicate(docs: DataFrame, text: str = "text") -> DataFrame:
-    """One document of each group, with the columns of ``docs``: that with the least id."""
-    kept = groups(docs, text).where("kept").select(F.col("doc_id").alias("_kept")).distinct().hint("shuffle_hash")
-    unique = docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_kept")), "left_semi")
-    return unique.select(*docs.columns)
+    """One row of each group, with the columns of ``docs``: one with the least id (null only if none has an id).
+
+    Rows are numbered, as ids may repeat or be null.  Rows without words are in no group and all stay.
+    """
+    numbered = written(docs.withColumn("_row", F.monotonically_increasing_id()), "numbered")
+    signed = signatures(numbered, text, number="_row")
+    roots = links(numbered, signed)
+    classes = signed.where("n > 0").groupBy("print").agg(F.min("rid").alias("rid"), F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", F.col("rid").alias("row"))).alias("first"))
+    rooted = classes.join(roots, classes["rid"] == roots["node"], "left").select(F.coalesce("root", "rid").alias("root"), "first")
+    kept = rooted.groupBy("root").agg(F.min("first").alias("first")).select(F.col("first.row").alias("_kept"))
+    kept = kept.unionByName(signed.where("n = 0").select(F.col("rid").alias("_kept"))).hint("shuffle_hash")
+    return numbered.join(kept, F.col("_row") == F.col("_kept"), "left_semi").select(*docs.columns)

@@ -98,6 +98,15 @@ def test_near_duplicates_against_brute_force(spark):
     assert sorted(r.doc_id for r in neardup.deduplicate(docs).collect()) == [i for i, r in enumerate(root) if r == i]
 
 
+def test_one_row_of_each_group_stays(spark):
+    long = " ".join(f"w{i}" for i in range(60))
+    near, other, third = long + " end", " ".join(f"v{i}" for i in range(30)), " ".join(f"u{i}" for i in range(30))
+    rows = [(1, long), (1, long), (2, near), (1, other), (0, other), (None, third), (None, third), (None, long), (None, ""), (None, None), (7, "")]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string").repartition(3)
+    got = sorted(neardup.deduplicate(docs).collect(), key=str)
+    assert sorted(map(tuple, got), key=str) == sorted([(1, long), (0, other), (None, third), (None, ""), (None, None), (7, "")], key=str)
+
+
 def test_large_buckets_are_decided_in_blocks(spark, monkeypatch):
     monkeypatch.setattr(neardup, "SMALL", 2)
     monkeypatch.setattr(neardup, "BLOCK", 20)
