@@ -414,6 +414,49 @@ def q44_wilcoxon_adaptive(spark, d):
     return M.wilcoxon(M.paired(sizes, "balanced", "speed"))
 
 
+def compared(spark, d) -> DataFrame:
+    """Sizes of the ten methods (three presets, seven codecs) on every univariate series, as a table in the shared folder."""
+    made = at_both(spark, d, list(S.UNIVARIATE), all_methods).where("method <> 'speed_huffman'")
+    path = fresh(spark, "compared")
+    made.write.parquet(path)
+    return spark.read.schema(made.schema).parquet(path)
+
+
+@query
+def q39_ratio_table_ten(spark, d):
+    return M.compression_ratio(compared(spark, d)).select("dataset_id", "method", "width_bits", "raw_bytes", "enc_bytes", *r6("ratio"))
+
+
+@query
+def q40_ratio_boxplot_ten(spark, d):
+    return M.ratio_boxplot(M.compression_ratio(compared(spark, d))).select("method", "width_bits", "n", *r6("least", "q1", "median", "q3", "most"))
+
+
+@query
+def q41_mean_ranks_ten(spark, d):
+    return M.mean_ranks(M.compression_ratio(compared(spark, d))).select("method", "width_bits", *r6("mean_rank"), "n")
+
+
+@query
+def q42_friedman_ten(spark, d):
+    return M.friedman(M.compression_ratio(compared(spark, d))).select("width_bits", "k", "n", *r6("chi2"))
+
+
+@query
+def q42_nemenyi_ten(spark, d):
+    return M.nemenyi(M.compression_ratio(compared(spark, d))).select("width_bits", "method", "other", *r6("difference", "cd"), "differ")
+
+
+@query
+def q43_wins_adaptive(spark, d):
+    return M.win_count(M.paired(compared(spark, d), "balanced", "speed"))
+
+
+@query
+def q44_signed_ranks_adaptive(spark, d):
+    return M.signed_ranks(M.paired(compared(spark, d), "balanced", "speed")).select("width_bits", "n", "plus", "minus")
+
+
 @query
 def q45_noise_floor(spark, d):
     return at_both(spark, d, UNIVARIATE, lambda q, w: M.noise_floor(forecast.lag1(q, w), w).select("series_id", *r6("mean_bits"), "n", "width_bits"))

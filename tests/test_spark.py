@@ -101,6 +101,24 @@ def test_statistics(spark):
     assert {r.method: r.on_front for r in M.pareto(front).collect()} == {"a": True, "b": True, "c": False}
 
 
+def test_comparison_holds_ten_methods_on_the_whole_corpus(spark, small, monkeypatch):
+    made = queries.compared(spark, small)
+    monkeypatch.setattr(queries, "compared", lambda *_: made)
+    of = {n: queries.QUERIES[n](spark, small).collect() for n in queries.QUERIES if n.endswith("_ten") or n in ("q43_wins_adaptive", "q44_signed_ranks_adaptive")}
+    assert len(of) == 7
+    methods = {"bp128", "pfor", "simple8b", "snappy", "zstd", "lz4", "zlib", "speed", "balanced", "ratio"}
+    names = {r.series_id for r in S.corpus(spark, small, list(S.UNIVARIATE)).select("series_id").distinct().collect()}
+    assert len(names) >= len(S.UNIVARIATE)
+    table = of["q39_ratio_table_ten"]
+    assert sorted((r.dataset_id, r.method, r.width_bits) for r in table) == sorted((n, m, w) for n in names for m in methods for w in (8, 16))
+    assert {(r.k, r.n) for r in of["q42_friedman_ten"]} == {(10, len(names))}
+    assert len(of["q41_mean_ranks_ten"]) == len(of["q40_ratio_boxplot_ten"]) == 20 and len(of["q42_nemenyi_ten"]) == 90
+    assert all(r.cd > 0 for r in of["q42_nemenyi_ten"])
+    size = {(r.dataset_id, r.method, r.width_bits): r.enc_bytes for r in table}
+    for r in of["q43_wins_adaptive"]:
+        assert r.n == len(names) and r.wins == sum(size[n, "balanced", r.width_bits] < size[n, "speed", r.width_bits] for n in names)
+
+
 def test_builders_have_dense_positions(spark, small):
     for name in ("ev_ma64x2", "li_day", "part_price"):
         t = [r.t for r in S.UNIVARIATE[name](spark, small).select("t").orderBy("t").collect()]
