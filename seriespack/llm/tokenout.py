@@ -6,11 +6,14 @@ number of sequences (``input_ids`` and ``mask``, both fixed-size lists), so batc
 is computed, and a mapped file gives its sequences without a copy.  Only a file's last sequence is padded,
 where ``mask`` is false.  The index (document, file, start, length) is a table beside the files.
 
-Chunks that the tokenizer has encoded are remembered, up to a bound: no token of byte-level BPE reaches
-across a single space or line break between two characters that are not white space, nor from letters to
-the sign after them, so texts are cut there and most chunks looked up.  A text where a space or line break
-touches other white space of any kind (the vocabulary has a token for line feed and no-break space), or an
-end of the text, is encoded whole, and so is one that holds the text of an added token.
+The tokenizer library's parts are called apart: its pre-tokenizer cuts a text into words, its model turns a
+word into ids, and ids of words are remembered up to a bound.  Long texts are taken in slices that end before
+a single space between two characters that are not white space; the pre-tokenizer always cuts there, as such
+a space belongs to what follows, and it always cuts around a single line break between two such characters.
+So most slices need no pre-tokenizer: they are split at spaces and line breaks, and chunks are looked up.  A
+slice where a space or line break touches other white space of any kind (the vocabulary has a token for line
+feed and no-break space) goes through the library's pre-tokenizer; a text that holds the text of an added
+token goes through the library as a whole.
 
 Defined cases: a null or empty text is the end id alone; null ids come first; rows with equal ids are
 ordered by text and all kept; an empty table writes no file; other columns are ignored.
@@ -36,9 +39,10 @@ from .store import AtomicFile, new_path, opened, worker_cache, written
 END = 2
 LENGTH = 2048
 BATCH = 64
-CACHE = 700_000
-#: Letters only, then a sign that is neither a letter, a digit, white space nor an apostrophe.
-WORD = re.compile(r"[^\W\d_]+(?=[!-&(-/:-@\[-`{-~])")
+CACHE = 600_000
+SLICE = 4096
+#: Latin letters, then ASCII signs without the apostrophe: the pre-tokenizer parts the two and nothing else.
+WORD = re.compile(r"([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f]+)([!-&(-/:-@\[-`{-~]*)")
 
 
 def forget_oldest(known: dict, most: int) -> None:
@@ -48,9 +52,41 @@ def forget_oldest(known: dict, most: int) -> None:
             del known[key]
 
 
-def touching(chunk: str) -> bool:
-    """Whether the chunk has Unicode white space at an end, so next to the space or line break it was cut at."""
-    return chunk[:1].isspace() or chunk[-1:].isspace()
+def byte_letters() -> dict[int, str]:
+    """Byte-level BPE's letter for each byte: printable bytes stand for themselves, the rest follow from 256 on."""
+    plain = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    others = (b for b in range(256) if b not in plain)
+    return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(others)}
+
+
+LETTERS = byte_letters()
+
+
+class Irregular(Exception):
+    """A slice can't be cut at spaces alone."""
+
+
+class Chunks(dict):
+    """Ids of chunks that a single space or line break stands before; new ones are encoded as they are asked for."""
+
+    def __init__(self, encoder: "Encoder", before: str):
+        super().__init__()
+        self.encoder, self.before = encoder, before
+
+    def __missing__(self, chunk: str) -> bytes:
+        body = chunk[1:] if chunk[:1] == "\n" else chunk
+        if not body or body[:1].isspace() or body[-1:].isspace():
+            raise Irregular
+        if body is not chunk:
+            value = self.encoder.newline + self.encoder.first[body]
+        elif (m := WORD.fullmatch(chunk)) and m.end(1) < m.end():
+            value = self[m[1]] + self.encoder.signs[m[2]]
+        elif m:
+            value = self.encoder.piece((self.before + chunk).encode().decode("latin-1").translate(LETTERS))
+        else:
+            value = self.encoder.pieces(self.before + chunk)
+        self[chunk] = value
+        return value
 
 
 class Encoder:
@@ -60,15 +96,13 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
-        self.dtype = dtype
+        self.dtype, self.code = dtype, {"<u2": "H", "<u4": "I"}[dtype]
         if self.tokenizer.get_vocab_size() > np.iinfo(dtype).max + 1:
             raise ValueError(f"{dtype} can't hold the ids")
-        self.known: dict[str, bytes] = {}
-        self.first: dict[str, bytes] = {}
-        self.signs: dict[str, bytes] = {}
-        self.newline = self.whole(["\n"])[0]
+        self.model, self.cutter = self.tokenizer.model, self.tokenizer.pre_tokenizer
         self.added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.spaced, self.first, self.signs, self.known = Chunks(self, " "), Chunks(self, ""), Chunks(self, ""), {}
+        self.newline = self.pieces("\n")
 
     @classmethod
     def shared(cls, path: str, dtype: str) -> "Encoder":
@@ -77,57 +111,53 @@ class Encoder:
             cache["encoder", path, dtype] = cls(path, dtype)
         return cache["encoder", path, dtype]
 
-    def whole(self, texts: list[str]) -> list[bytes]:
-        code = {"<u2": "H", "<u4": "I"}[self.dtype]
-        out = [array(code, e.ids) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+    def packed(self, ids: list[int]) -> bytes:
+        out = array(self.code, ids)
         if sys.byteorder != "little":
-            for a in out:
-                a.byteswap()
-        return [a.tobytes() for a in out]
-
-    def _learn(self, known: dict[str, bytes], before: str, chunks: list[str]) -> None:
-        """Encodes new chunks; the word and the signs after it, which the tokenizer always parts, are remembered apart."""
-        new, joined = [], []
-        for c in chunks:
-            if not c.isalpha() and (m := WORD.match(c)):
-                joined.append((c, c[: m.end()], c[m.end() :]))
-            else:
-                new.append(c)
-        new += {w for _, w, _ in joined}.difference(known, new)
-        known.update(zip(new, self.whole([before + c for c in new]), strict=True))
-        if signs := list({s for _, _, s in joined}.difference(self.signs)):
-            self.signs.update(zip(signs, self.whole(signs), strict=True))
-        signs = self.signs
-        known.update([(c, known[w] + signs[s]) for c, w, s in joined])
+            out.byteswap()
+        return out.tobytes()
+
+    def piece(self, letters: str) -> bytes:
+        """Ids of one word, given in byte-level letters."""
+        return self.packed([t.id for t in self.model.tokenize(letters)])
+
+    def pieces(self, text: str) -> bytes:
+        """Ids of a text without added tokens, by the library's pre-tokenizer and model."""
+        known, out = self.known, []
+        for letters, _ in self.cutter.pre_tokenize_str(text):
+            if (ids := known.get(letters)) is None:
+                ids = known[letters] = self.piece(letters)
+            out.append(ids)
+        return b"".join(out)
+
+    def whole(self, text: str) -> bytes:
+        return self.packed(self.tokenizer.encode(text, add_special_tokens=False).ids)
+
+    def slice(self, text: str, start: int, stop: int) -> bytes:
+        """Ids of text[start:stop]; a slice that does not begin the text begins with the space it was cut at."""
+        try:
+            chunks = text[start + (start > 0) : stop].replace("\n", " \n").split(" ")
+            if start:
+                return b"".join(map(self.spaced.__getitem__, chunks))
+            return self.first[chunks[0]] + b"".join(map(self.spaced.__getitem__, chunks[1:]))
+        except Irregular:
+            return self.pieces(text[start:stop])
 
     def ids(self, text: str) -> bytes:
-        for held, most in ((self.known, CACHE), (self.first, CACHE // 8), (self.signs, CACHE // 8)):
+        for held, most in ((self.spaced, CACHE), (self.first, CACHE // 8), (self.signs, CACHE // 8), (self.known, CACHE // 8)):
             forget_oldest(held, most)
-        lines = text.split("\n")
-        if "" in lines or any(t in text for t in self.added):
-            return self.whole([text])[0] if text else b""
-        firsts, rest, counts = [], [], []
-        for line in lines:
-            first, *others = line.split(" ")
-            firsts.append(first)
-            rest += others
-            counts.append(len(others))
-        if "" in firsts or (distinct := set(rest)) and "" in distinct:
-            return self.whole([text])[0]
-        new, new_firsts = distinct.difference(self.known), set(firsts).difference(self.first)
-        if any(map(touching, new)) or any(map(touching, new_firsts)):  # such chunks are never remembered, so always new
-            return self.whole([text])[0]
-        if new:
-            self._learn(self.known, " ", list(new))
-        if new_firsts:
-            self._learn(self.first, "", list(new_firsts))
-        known, out, at = self.known.__getitem__, [], 0
-        for first, n in zip(firsts, counts, strict=True):
-            out.append(self.first[first])
-            out += map(known, rest[at : at + n])
-            out.append(self.newline)
-            at += n
-        out.pop()
+        if not text:
+            return b""
+        if any(t in text for t in self.added):
+            return self.whole(text)
+        out, start = [], 0
+        while start < len(text):
+            stop = text.find(" ", start + SLICE)
+            while stop >= 0 and (text[stop - 1].isspace() or text[stop + 1 : stop + 2].isspace() or stop + 1 == len(text)):
+                stop = text.find(" ", stop + 1)
+            stop = len(text) if stop < 0 else stop
+            out.append(self.slice(text, start, stop))
+            start = stop
         return b"".join(out)
 
 

@@ -117,7 +117,6 @@ def test_tokens_round_trip(spark, edges):
     from tokenizers import Tokenizer
 
     tokenizer = Tokenizer.from_file(queries.tokenizer_path())
-    tokenizer.encode_special_tokens = True
     docs = edges.where("doc_id is not null")
     at = 0
     for r in tokenout.report(docs, queries.tokenizer_path(), length=64, batch=3).orderBy("doc_id").collect():
@@ -133,22 +132,28 @@ def test_tokens_round_trip(spark, edges):
         assert np.frombuffer(e.ids(t), "<u2").tolist() == tokenizer.encode(t, add_special_tokens=False).ids
 
 
-def test_tokens_equal_an_unmodified_tokenizer(tmp_path):
+def test_tokens_equal_an_unmodified_tokenizer(tmp_path, monkeypatch):
     from tokenizers import AddedToken, Tokenizer
 
     plain = Tokenizer.from_file(queries.tokenizer_path())
-    plain.encode_special_tokens = True
     e = tokenout.Encoder(queries.tokenizer_path())
     of = lambda t: np.frombuffer(e.ids(t), "<u2").tolist()
     assert of("oui\n\u00a0 non") == [280, 72, 44320, 1729]
-    atoms = ["a", "oui", " ", "\n", "\u00a0", "\t", "\r", "\u3000", "\u2028", "\x85", "\x1c", "\u200b", "'s", ".", "é", "\u0301", "1", "²", "日本", "<|endoftext|>"]
+    assert of("a <|endoftext|> b")[1:3] == [220, 50256]
+    assert of(",\n\xa0") == [11, 44320]
+    atoms = ["a", "oui", " ", "\n", "\u00a0", "\t", "\r", "\u3000", "\u2028", "\x85", "\x1c", "\u200b", "'s", ".", "é", "\u0301", "1", "²", "日本", "<|endoftext|>", " b", "\r\n", "'", "_", "\u180e"]
     rng = np.random.default_rng(5)
-    texts = ["oui\n\u00a0\u00a0non", "a\u00a0\nb", "a \u00a0b"] + ["".join(atoms[i] for i in rng.integers(0, len(atoms), rng.integers(1, 9))) for _ in range(20_000)]
+    texts = ["oui\n\u00a0\u00a0non", "a\u00a0\nb", "a \u00a0b", "\r.\r \xa0 \xa0"] + ["".join(atoms[i] for i in rng.integers(0, len(atoms), rng.integers(1, 12))) for _ in range(100_000)]
     texts += ["".join(("oui", sep, "\n", more, "non")) for sep in ("", "\u00a0", "\t") for more in ("\u00a0", "\u00a0 ", "\u00a0\u00a0", "\t\u00a0")]
-    assert [t for t, b in zip(texts, plain.encode_batch(texts, add_special_tokens=False), strict=True) if of(t) != b.ids] == []
+    texts += [f.format(chr(c)) for f in ("x {}y z", "x{} y", "x\n{}y", "x{}\ny", "x{}y.{}") for c in range(0x3100)]
+    want = [b.ids for b in plain.encode_batch(texts, add_special_tokens=False)]
+    for size in (3, tokenout.SLICE):
+        monkeypatch.setattr(tokenout, "SLICE", size)
+        assert [t for t, b in zip(texts, want, strict=True) if of(t) != b] == []
     plain.add_tokens([AddedToken("x y", normalized=False)])
     plain.save(str(tmp_path / "t.json"))
-    e = tokenout.Encoder(str(tmp_path / "t.json"))
+    added = tokenout.Encoder(str(tmp_path / "t.json"))
+    of = lambda t: np.frombuffer(added.ids(t), "<u2").tolist()
     assert of("a x y b") == plain.encode("a x y b", add_special_tokens=False).ids
 
 
