@@ -145,7 +145,7 @@ def test_tokens_equal_an_unmodified_tokenizer(tmp_path, monkeypatch):
     rng = np.random.default_rng(5)
     texts = ["oui\n\u00a0\u00a0non", "a\u00a0\nb", "a \u00a0b", "\r.\r \xa0 \xa0"] + ["".join(atoms[i] for i in rng.integers(0, len(atoms), rng.integers(1, 12))) for _ in range(100_000)]
     texts += ["".join(("oui", sep, "\n", more, "non")) for sep in ("", "\u00a0", "\t") for more in ("\u00a0", "\u00a0 ", "\u00a0\u00a0", "\t\u00a0")]
-    texts += [f.format(chr(c)) for f in ("x {}y z", "x{} y", "x\n{}y", "x{}\ny", "x{}y.{}") for c in range(0x3100)]
+    texts += [f.replace("{}", chr(c)) for f in ("x {}y z", "x{} y", "x\n{}y", "x{}\ny", "x{}y.{}") for c in range(0x3100)]
     want = [b.ids for b in plain.encode_batch(texts, add_special_tokens=False)]
     for size in (3, tokenout.SLICE):
         monkeypatch.setattr(tokenout, "SLICE", size)
