@@ -13,6 +13,14 @@ GOLDEN = 0x9E3779B97F4A7C15
 ALNUM = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 
 
+def unused(columns: list[str], name: str) -> str:
+    """``name``, with underscores added until none of ``columns`` has it (names differ beyond case)."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def as_bytes(column: pa.Array) -> list[bytes]:
     """UTF-8 of each text; null as empty."""
     return [x or b"" for x in column.cast(pa.binary()).to_pylist()]
