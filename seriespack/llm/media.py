@@ -12,8 +12,9 @@ difference).  Every block so takes 577 bits, any baseline decoder can read it, a
 coefficients at known places without a walk from symbol to symbol.  Frames whose tables lack that
 property go through the general decoder.
 
-Defined cases: a null or empty text is 64 bytes of 0; equal texts give equal bytes and features; texts of
-any length are stored whole; repeated rows are each encoded; other columns are ignored.
+Defined cases: a null or empty text is 64 bytes of 0; equal texts give equal bytes and features; texts are
+stored whole (sizes in RIFF have 32 bits, so a file of 4 GB or more is refused, which no Spark string reaches); null
+ids are kept; repeated rows are each encoded; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -27,6 +28,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from .store import written
+
 UNIT = 64
 FRAME_BLOCKS = 64
 FRAME_MS = 40
@@ -311,8 +314,13 @@ def clip_rows(media: DataFrame) -> DataFrame:
     return media.select("doc_id", "media").mapInArrow(decode, f"doc_id {kind}, shot bigint, start_ms bigint, end_ms bigint")
 
 
+def stored(docs: DataFrame, text: str = "text") -> DataFrame:
+    """The media table of ``to_media`` as files in the shared folder (AVI values are whole; pages of the files are packed)."""
+    return written(to_media(docs, text), "media", "zstd")
+
+
 def report(docs: DataFrame) -> DataFrame:
-    """Per document: sizes and digests of the payload as read back from the media column, and its shots."""
+    """Per document: sizes and digests of the payload as read back from the stored media, and its shots."""
 
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -326,4 +334,4 @@ def report(docs: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("n_bytes"), *columns], ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return to_media(docs).mapInArrow(decode, f"doc_id {kind}, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string")
+    return stored(docs).mapInArrow(decode, f"doc_id {kind}, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string")

@@ -1,7 +1,7 @@
 """Places that the driver and all executors share, and atomic files in them.
 
-Everything lives below ``spark.checkpoint.dir``; only where that is unset (tests, a notebook) does a
-temporary folder stand in.  Tables are cut by ``written``: one run of the plan, Parquet in the shared
+Everything lives below ``spark.checkpoint.dir``; only where that is unset and Spark runs in one process (tests,
+a notebook) does a temporary folder stand in; a cluster without it is refused.  Tables are cut by ``written``: one run of the plan, Parquet in the shared
 folder, lineage gone.  Files appear under their final name by a rename, so a task that runs twice, or
 dies half-way, never leaves a torn file.
 """
@@ -23,6 +23,8 @@ def shared_root(spark: SparkSession) -> str:
     """The shared folder's URI."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         if not _own:
             _own.append("file://" + tempfile.mkdtemp(prefix="seriespack-"))
         root = _own[0]
@@ -36,10 +38,10 @@ def new_path(spark: SparkSession, name: str) -> str:
     return path
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
+def written(df: DataFrame, name: str, compression: str | None = None) -> DataFrame:
     """``df`` as a table in the shared folder; the result reads that table."""
     path = new_path(df.sparkSession, name)
-    df.write.parquet(path)
+    df.write.parquet(path, compression=compression)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
