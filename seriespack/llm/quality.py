@@ -8,7 +8,9 @@ sparse dot product.  Only texts are looked at: not labels, languages, sources or
 
 Defined cases: a null or empty text has no n-grams and scores by the bias alone; texts are read whole;
 labels without a document, and null labels, are ignored; a repeated document is scored each time; without
-any label every score is 0.5.  Labels are a sample of at most ``most`` rows.
+any label every score is 0.5; ids may be of any type; where a column of ``docs`` is named like the score, that
+gets underscores until it has a name of its own.  Labels are a sample of at most ``most`` rows and about
+``MOST_FEATURES`` n-grams.
 """
 
 from __future__ import annotations
@@ -22,9 +24,10 @@ from pyspark.sql import functions as F
 
 from .labelled import BUCKET_BITS, fitted, mixed, training_set
 from .store import worker_cache
-from .text import as_bytes, pieces
+from .text import as_bytes, pieces, unused
 
 MOST = 20_000
+MOST_FEATURES = 16_000_000
 EPOCHS = 3
 THRESHOLD = 0.3
 
@@ -104,15 +107,16 @@ def train(docs: DataFrame, labels: DataFrame, column: str = "quality", most: int
     def fit(rows) -> dict:
         model = FollowTheLeader()
         for epoch in range(epochs):
-            for _, y, at, x in sorted(rows, key=lambda r: mixed(r[0] * 31 + epoch)):
+            for _, y, at, x in sorted(rows, key=lambda r: mixed(f"{epoch}:{r[0]}")):
                 model.learn(at, x, y)
         return {"weights": model.weights().astype(np.float32)}
 
-    return fitted(training_set(docs, labels, column, features, most, passes), fit)["weights"]
+    return fitted(training_set(docs, labels, column, features, most, passes), fit, most, MOST_FEATURES)["weights"]
 
 
 def score(docs: DataFrame, weights: np.ndarray, column: str = "score") -> DataFrame:
     """``docs`` with the probability of label 1."""
+    column = unused(docs.columns, column)
     shared = docs.sparkSession.sparkContext.broadcast(weights)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -11,7 +11,9 @@ of the P(grade >= k).
 
 Defined cases: null and empty texts have no features and are clean; texts are
 read whole; labels without a document and null labels are ignored; without any label nothing is toxic;
-repeated rows are each scored.  Labels are a sample of at most ``MOST`` rows.
+repeated rows are each scored; ids may be of any type; where a column of ``docs`` is named like one made here,
+that gets underscores until it has a name of its own.  Labels are a sample of at most ``MOST`` rows and about
+``MOST_FEATURES`` words.
 """
 
 from __future__ import annotations
@@ -26,9 +28,10 @@ from pyspark.sql import functions as F
 
 from .labelled import fitted, training_set
 from .store import worker_cache
-from .text import WordHashes, alnum_words, as_bytes, pieces
+from .text import WordHashes, alnum_words, as_bytes, pieces, unused
 
 MOST = 20_000
+MOST_FEATURES = 8_000_000
 FEATURE_BITS = 31
 GRADES = 3
 TELLING = (0.0, 3.0, 6.0, 9.0, 12.0, 16.0, 25.0)
@@ -168,12 +171,18 @@ def chosen_cut(rows: list[tuple[int, int, np.ndarray, np.ndarray]]) -> float:
 
 def train(docs: DataFrame, labels: DataFrame, column: str = "toxic", most: int = MOST, passes=lambda x: x) -> OrdinalModel:
     model = OrdinalModel()
-    vars(model).update(fitted(training_set(docs, labels, column, features, most, passes), lambda rows: vars(OrdinalModel().fit(rows))))
+    vars(model).update(fitted(training_set(docs, labels, column, features, most, passes), lambda rows: vars(OrdinalModel().fit(rows)), most, MOST_FEATURES))
     return model
 
 
+def made_names(columns: list[str]) -> tuple[str, str]:
+    """Names of the columns that ``score`` adds to these."""
+    return unused(columns, "_severity"), unused(columns, "_p_toxic")
+
+
 def score(docs: DataFrame, model: OrdinalModel) -> DataFrame:
     """``docs`` with ``_severity`` (expected grade) and ``_p_toxic``."""
+    grade, chance = made_names(docs.columns)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -182,9 +191,9 @@ def score(docs: DataFrame, model: OrdinalModel) -> DataFrame:
             for piece in pieces(batch):
                 eta = np.array([model.dot(at) for at, _ in features(as_bytes(piece.column("text")))])
                 severity, toxic = model.severity(eta)
-                yield pa.RecordBatch.from_arrays([*piece.columns, pa.array(severity, pa.float64()), pa.array(toxic, pa.float64())], [*piece.schema.names, "_severity", "_p_toxic"])
+                yield pa.RecordBatch.from_arrays([*piece.columns, pa.array(severity, pa.float64()), pa.array(toxic, pa.float64())], [*piece.schema.names, grade, chance])
 
-    return docs.mapInArrow(run, docs.select(*docs.columns, F.lit(0.0).alias("_severity"), F.lit(0.0).alias("_p_toxic")).schema)
+    return docs.mapInArrow(run, docs.select(*docs.columns, F.lit(0.0).alias(grade), F.lit(0.0).alias(chance)).schema)
 
 
 def report(docs: DataFrame, labels: DataFrame, most: int = MOST) -> DataFrame:
@@ -195,4 +204,4 @@ def report(docs: DataFrame, labels: DataFrame, most: int = MOST) -> DataFrame:
 
 def keep_civil(docs: DataFrame, labels: DataFrame, most: int = MOST) -> DataFrame:
     """Documents that are not toxic, with the columns of ``docs``."""
-    return score(docs, train(docs, labels, most=most)).where(F.col("_p_toxic") < THRESHOLD).select(*docs.columns)
+    return score(docs, train(docs, labels, most=most)).where(F.col(made_names(docs.columns)[1]) < THRESHOLD).select(*docs.columns)
