@@ -15,8 +15,9 @@ themselves with it where they lie, so texts are not moved.
 
 Defined cases: null texts and texts without words hold no tokens and are not taken by a budget that ends;
 null languages and sources are nodes named ``?``; null ids take the name ``?``; documents with equal ids
-share a place in the order; leaves below a node of weight 0 get nothing and hold no capacity; an empty table gives an empty result; a column
-that clashes with a name used here is refused by Spark's own check, names used here start with ``_``.
+share a place in the order; leaves below a node of weight 0 get nothing and hold no capacity; an empty table
+gives an empty result; where a column of ``docs`` has the name of one made here, that gets underscores until it
+has a name of its own.
 """
 
 from __future__ import annotations
@@ -28,6 +29,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .store import written
+from .text import unused
 
 LEVELS = ("_domain", "_lang", "_source")
 SEED = 17
@@ -78,7 +80,11 @@ def _share(children: DataFrame, parent: list[str], node: str) -> DataFrame:
     part = F.expr("cast(cast(_rate._left as decimal(38,0)) * cast(_weight as decimal(38,0)) div greatest(_rate._rest, 1) as bigint)")
     early = F.col("_rate").isNull() | (F.struct("_ratio", node) < F.struct(F.col("_rate._ratio"), F.col(f"_rate.{node}")))
     budget = F.when(early, F.col("_capacity")).otherwise(F.least(F.col("_capacity"), F.greatest(F.lit(0), part)))
-    return out.withColumn("_budget", budget.cast("bigint")).drop("_left", "_rest", "_full", "_rate", "_ratio")
+    out = out.withColumn("_floor", budget.cast("bigint")).withColumn("_open", (F.col("_weight") > 0) & (F.col("_floor") < F.col("_capacity")))
+    spare = F.col("_parent_budget") - F.sum("_floor").over(Window.partitionBy(*parent))
+    turn = F.row_number().over(Window.partitionBy(*parent).orderBy(F.desc("_open"), "_ratio", node))
+    out = out.withColumn("_budget", F.col("_floor") + F.when(F.col("_open") & (turn <= spare), 1).otherwise(0))
+    return out.drop("_left", "_rest", "_full", "_rate", "_ratio", "_floor", "_open")
 
 
 def budgets(leaves: DataFrame, total: Column, lang_weights: dict[str, int], max_epochs: int, domain_weights: dict[str, int] | None = None, source_weights: dict[str, int] | None = None) -> DataFrame:
@@ -132,6 +138,11 @@ def cuts(measured: DataFrame, total: Column, seed: int = SEED, lang_weights: dic
     return written(planned.join(ends, levels, "left"), "mixing-cuts")
 
 
+def made_names(columns: list[str]) -> dict[str, str]:
+    """Names of the columns that are made beside these."""
+    return {k: unused(columns, k) for k in (*LEVELS, "_n", "_epochs", "_cut", "_cut_tokens", "_place", "_tokens_more", "_times", "_epoch")}
+
+
 def taken(docs: DataFrame, share: tuple[int, int] = SHARE, seed: int = SEED, lang_weights: dict[str, int] | None = None, max_epochs: int = MAX_EPOCHS, text: str = "text", domain_weights: dict[str, int] | None = None, source_weights: dict[str, int] | None = None, domains: dict[str, str] | None = None) -> DataFrame:
     """``docs`` with ``_n`` (tokens), ``_epochs`` (whole times taken) and ``_tokens_more`` (of the last, partial epoch).
 
@@ -140,11 +151,15 @@ def taken(docs: DataFrame, share: tuple[int, int] = SHARE, seed: int = SEED, lan
     measured = written(_measured(docs, text, domains), "mixing-tokens")
     total = F.expr(f"coalesce(sum(_tokens), 0) * {share[0]} div {share[1]}")
     leaves = cuts(measured, total, seed, lang_weights, max_epochs, domain_weights=domain_weights, source_weights=source_weights)
+    name = made_names(docs.columns)
+    c = {k: F.col(v) for k, v in name.items()}
     source = F.coalesce(F.col("source").cast("string"), F.lit("?"))
-    placed = docs.withColumns({"_domain": domain(source, given=domains), "_lang": F.coalesce(F.col("lang").cast("string"), F.lit("?")), "_source": source, "_n": tokens(text)})
-    known = placed.join(leaves.select(*LEVELS, "_epochs", "_cut", "_cut_tokens"), list(LEVELS), "left").withColumn("_place", place(seed, F.col("_epochs"), F.col("doc_id")))
-    more = F.when(F.col("_place") < F.col("_cut"), F.col("_n")).when(F.col("_place") == F.col("_cut"), F.least("_n", "_cut_tokens")).otherwise(F.lit(0))
-    return known.withColumn("_tokens_more", F.when(F.col("_cut").isNull(), F.lit(0)).otherwise(more).cast("bigint")).select(*docs.columns, "_domain", "_n", "_epochs", "_tokens_more")
+    placed = docs.withColumns({name["_domain"]: domain(source, given=domains), name["_lang"]: F.coalesce(F.col("lang").cast("string"), F.lit("?")), name["_source"]: source, name["_n"]: tokens(text)})
+    leaves = leaves.select(*[F.col(k).alias(name[k]) for k in (*LEVELS, "_epochs", "_cut", "_cut_tokens")])
+    known = placed.join(leaves, [name[k] for k in LEVELS], "left").withColumn(name["_place"], place(seed, c["_epochs"], F.col("doc_id")))
+    more = F.when(c["_place"] < c["_cut"], c["_n"]).when(c["_place"] == c["_cut"], F.least(c["_n"], c["_cut_tokens"])).otherwise(F.lit(0))
+    known = known.withColumn(name["_tokens_more"], F.when(c["_cut"].isNull(), F.lit(0)).otherwise(more).cast("bigint"))
+    return known.select(*docs.columns, *[name[k] for k in ("_domain", "_n", "_epochs", "_tokens_more")])
 
 
 def report(docs: DataFrame, **options) -> DataFrame:
@@ -155,5 +170,7 @@ def report(docs: DataFrame, **options) -> DataFrame:
 
 def mix(docs: DataFrame, **options) -> DataFrame:
     """Documents of the mixture, with the columns of ``docs``: a row for each epoch that takes any of it, texts whole."""
-    out = taken(docs, **options).withColumn("_times", F.col("_epochs") + (F.col("_tokens_more") > 0).cast("bigint")).where("_times > 0")
-    return out.select(*docs.columns, F.explode(F.expr("sequence(1, _times)")).alias("_epoch")).select(*docs.columns)
+    out, name = taken(docs, **options), made_names(docs.columns)
+    times = F.col(name["_epochs"]) + (F.col(name["_tokens_more"]) > 0).cast("bigint")
+    out = out.withColumn(name["_times"], times).where(F.col(name["_times"]) > 0)
+    return out.select(*docs.columns, F.explode(F.sequence(F.lit(1).cast("bigint"), F.col(name["_times"]))).alias(name["_epoch"])).select(*docs.columns)

@@ -83,7 +83,8 @@ def _level(name: str, parent: str, keys: list[str], node: str, weight: str) -> s
   have - coalesce(sum(cap) OVER ({by} ORDER BY cap * 1000 // greatest(w, 1), {node} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS rem,
   sum(w) OVER ({by} ORDER BY cap * 1000 // greatest(w, 1), {node} ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS rest FROM {name}_c),
 {name}_f AS (SELECT *, min(CASE WHEN cap * rest > rem * w THEN i END) OVER ({by}) AS f FROM {name}_o),
-{name} AS (SELECT {path}, CAST(CASE WHEN f IS NULL OR i < f THEN cap ELSE least(cap, greatest(0, (max(CASE WHEN i = f THEN rem END) OVER ({by}) * w) // greatest(1, max(CASE WHEN i = f THEN rest END) OVER ({by})))) END AS BIGINT) AS have FROM {name}_f)"""
+{name}_b AS (SELECT *, CAST(CASE WHEN f IS NULL OR i < f THEN cap ELSE least(cap, greatest(0, (max(CASE WHEN i = f THEN rem END) OVER ({by}) * w) // greatest(1, max(CASE WHEN i = f THEN rest END) OVER ({by})))) END AS BIGINT) AS low FROM {name}_f),
+{name} AS (SELECT {path}, CAST(low + CASE WHEN w > 0 AND low < cap AND row_number() OVER ({by} ORDER BY CASE WHEN w > 0 AND low < cap THEN 0 ELSE 1 END, i) <= have - sum(low) OVER ({by}) THEN 1 ELSE 0 END AS BIGINT) AS have FROM {name}_b)"""
 
 
 def mixing_sql(documents: str, share: tuple[int, int], epochs: int, seed: int, weights: dict[str, int], domains: int) -> str:
