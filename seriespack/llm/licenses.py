@@ -9,8 +9,8 @@ chosen so that such a window misses with a probability of at most ``MISS``.  Min
 up from those of half the size.  A hit is confirmed on exact shingles.
 
 Defined cases: null and empty texts have no windows; a text or template of fewer than five words is one
-shingle; a template without words is refused; very long texts are scanned in full; repeated rows are each
-scanned; other columns are ignored.
+shingle; a template without words is refused; very long texts are scanned in full; null ids are kept; repeated
+rows are each scanned; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,7 +21,9 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
+from .license_texts import TEXTS
 from .store import worker_cache
 from .text import WordHashes, alnum_words, as_bytes, multipliers, pieces, windows
 
@@ -29,20 +31,8 @@ SHINGLE = 5
 CONTAINED = 0.75
 MISS = 1e-3
 SEED = 41
-#: Notices by which a text says what license it is under.
-TEMPLATES = {
-    "Apache-2.0": "Licensed under the Apache License, Version 2.0",
-    "Apache-2.0-notice": "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0 Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an AS IS BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.",
-    "BSD-3-Clause": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met",
-    "CC-BY-4.0": "Licensed under CC BY 4.0",
-    "CC-BY-NC-4.0": "Licensed under CC BY-NC 4.0",
-    "CC-BY-SA-4.0": "Licensed under CC BY-SA 4.0",
-    "GPL-3.0": "This work is licensed under the GNU General Public License, version 3",
-    "GPL-3.0-notice": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
-    "MIT": "Released under the MIT License",
-    "MIT-notice": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files, to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software",
-    "MPL-2.0": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0",
-}
+#: Templates that a caller gives as a table may hold this many bytes; they are held by every task.
+TEMPLATE_BYTES = 64 << 20
 
 
 def shingles(text: bytes, k: int = SHINGLE) -> np.ndarray:
@@ -136,9 +126,28 @@ class Templates:
         return out
 
 
-def scan(docs: DataFrame, templates: dict[str, str] | None = None, contained: float = CONTAINED, text: str = "text") -> DataFrame:
-    """Per row: doc_id, n_shingles, and licenses, an array of (name, start, end, containment)."""
-    texts = TEMPLATES if templates is None else templates
+def read_templates(table: DataFrame, most: int = TEMPLATE_BYTES) -> dict[str, str]:
+    """Templates of a table (name, text), whose size is checked before it comes to the driver; later texts of a name get numbers, null ones are left out."""
+    rows = table.select(F.col("name").cast("string").alias("name"), "text").where("name is not null and text is not null").distinct()
+    size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    if size > most:
+        raise ValueError(f"templates of {size} bytes are more than {most}; scan with parts of them")
+    out: dict[str, str] = {}
+    for name, text in sorted(map(tuple, rows.collect())):
+        key, n = name, 1
+        while key in out:
+            n += 1
+            key = f"{name}#{n}"
+        out[key] = text
+    return out
+
+
+def scan(docs: DataFrame, templates: dict[str, str] | DataFrame | None = None, contained: float = CONTAINED, text: str = "text") -> DataFrame:
+    """Per row: doc_id, n_shingles, and licenses, an array of (name, start, end, containment).
+
+    Templates are a table (name, text) or a dictionary; without them, the texts and notices of ``license_texts``.
+    """
+    texts = TEXTS if templates is None else read_templates(templates) if isinstance(templates, DataFrame) else templates
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = Templates(texts, contained)
@@ -153,9 +162,7 @@ def scan(docs: DataFrame, templates: dict[str, str] | None = None, contained: fl
     return docs.select("doc_id", text).mapInArrow(run, f"doc_id {id_kind}, n_shingles bigint, licenses array<struct<name:string,start:bigint,end:bigint,containment:double>>")
 
 
-def report(docs: DataFrame) -> DataFrame:
+def report(docs: DataFrame, templates: dict[str, str] | DataFrame | None = None) -> DataFrame:
     """Per document: doc_id, n_shingles, n_matches, license_ids (distinct, sorted, comma-joined), best containment."""
-    from pyspark.sql import functions as F
-
     names = F.array_sort(F.array_distinct(F.transform("licenses", lambda x: x["name"])))
-    return scan(docs).select("doc_id", "n_shingles", F.size("licenses").cast("bigint").alias("n_matches"), F.array_join(names, ",").alias("license_ids"), F.coalesce(F.array_max(F.transform("licenses", lambda x: x["containment"])), F.lit(0.0)).alias("best"))
+    return scan(docs, templates).select("doc_id", "n_shingles", F.size("licenses").cast("bigint").alias("n_matches"), F.array_join(names, ",").alias("license_ids"), F.coalesce(F.array_max(F.transform("licenses", lambda x: x["containment"])), F.lit(0.0)).alias("best"))

@@ -201,7 +201,7 @@ def test_decontamination_by_items_without_id(spark):
 
 def test_licenses_against_brute_force(spark, small):
     docs = queries.table(spark, small, "documents")
-    known = licenses.Templates(licenses.TEMPLATES)
+    known = licenses.Templates(licenses.TEXTS)
     got = {r.doc_id: r.license_ids for r in licenses.report(docs).collect()}
     for r in docs.select("doc_id", "text").collect():
         s, found = licenses.shingles((r.text or "").encode()), set()
