@@ -31,6 +31,8 @@ VERSION = "WARC/1.1"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: %d\r\n\r\n"
 FILE_BYTES = 256 << 20
+#: A payload that very many pages share is matched in this many parts.
+SALTS = 16
 HEADERS = "page_id bigint, record_id string, record_type string, payload_digest string, payload_bytes bigint, refers_to_record string"
 
 
@@ -87,7 +89,9 @@ def mark_revisits(pages: DataFrame, least: int = 0) -> DataFrame:
     known = known.withColumn("_digest", F.sha1("html")).withColumn("_bytes", F.octet_length("html"))
     heads = known.where(F.col("_bytes") >= least).select("page_id", "_digest")
     first = heads.groupBy("_digest").agg(F.min("page_id").alias("original"), F.count("page_id").alias("_n")).where("_n > 1").drop("_n")
-    later = heads.join(first, "_digest").where(F.col("page_id") > F.col("original")).dropDuplicates(["page_id", "_digest"])
+    first = first.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    salted = heads.withColumn("_salt", F.pmod(F.xxhash64("page_id"), F.lit(SALTS)).cast("int"))
+    later = salted.join(first, ["_digest", "_salt"]).where(F.col("page_id") > F.col("original")).drop("_salt").dropDuplicates(["page_id", "_digest"])
     return known.join(later, ["page_id", "_digest"], "left").select("page_id", "url", "html", "original")
 
 
