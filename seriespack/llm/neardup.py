@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 
 from .components import components
 from .store import worker_cache, written
-from .text import WordHashes, as_bytes, multipliers, pieces, shingle_set, space_words
+from .text import WordHashes, as_bytes, multipliers, pieces, shingle_set, space_words, unused
 
 SHINGLE = 5
 COLLECTION = 16
@@ -261,7 +261,8 @@ def groups(docs: DataFrame, text: str = "text") -> DataFrame:
     classes = signed.where("n > 0").groupBy("print").agg(F.min("rid").alias("rid"), F.min("doc_id").alias("least"))
     rooted = classes.join(roots, classes["rid"] == roots["node"], "left").select("print", "least", F.coalesce("root", "rid").alias("root"))
     named = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    by_print = rooted.join(named, "root").select("print", "component_id")
+    named = named.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))  # one root may have very many classes
+    by_print = rooted.withColumn("salt", F.pmod(F.xxhash64("print"), F.lit(SALTS)).cast("int")).join(named, ["root", "salt"]).select("print", "component_id")
     out = signed.select("doc_id", "n", "print").join(by_print, "print", "left")
     out = out.withColumn("component_id", F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id")))
     return out.select("doc_id", F.col("n").alias("n_shingles"), "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
@@ -270,13 +271,15 @@ def groups(docs: DataFrame, text: str = "text") -> DataFrame:
 def deduplicate(docs: DataFrame, text: str = "text") -> DataFrame:
     """One row of each group, with the columns of ``docs``: one with the least id (null only if none has an id).
 
-    Rows are numbered, as ids may repeat or be null.  Rows without words are in no group and all stay.
+    Rows are numbered, as ids may repeat or be null; equal rows are copies of one another, so one of them stays.  Rows
+    without words are in no group and all stay.  Columns of any name pass.
     """
-    numbered = written(docs.withColumn("_row", F.monotonically_increasing_id()), "numbered")
-    signed = signatures(numbered, text, number="_row")
+    row, kept_row = unused(docs.columns, "_row"), unused(docs.columns, "_kept")
+    numbered = written(docs.withColumn(row, F.monotonically_increasing_id()), "numbered")
+    signed = signatures(numbered, text, number=row)
     roots = links(numbered, signed)
     classes = signed.where("n > 0").groupBy("print").agg(F.min("rid").alias("rid"), F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", F.col("rid").alias("row"))).alias("first"))
     rooted = classes.join(roots, classes["rid"] == roots["node"], "left").select(F.coalesce("root", "rid").alias("root"), "first")
-    kept = rooted.groupBy("root").agg(F.min("first").alias("first")).select(F.col("first.row").alias("_kept"))
-    kept = kept.unionByName(signed.where("n = 0").select(F.col("rid").alias("_kept"))).hint("shuffle_hash")
-    return numbered.join(kept, F.col("_row") == F.col("_kept"), "left_semi").select(*docs.columns)
+    kept = rooted.groupBy("root").agg(F.min("first").alias("first")).select(F.col("first.row").alias(kept_row))
+    kept = kept.unionByName(signed.where("n = 0").select(F.col("rid").alias(kept_row))).hint("shuffle_hash")
+    return numbered.join(kept, F.col(row) == F.col(kept_row), "left_semi").select(*docs.columns)
