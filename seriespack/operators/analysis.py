@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.bits import divided, wrap, zigzag
 from .codec import decode
+from .forecast import steps
 
 
 def materialize(segments: DataFrame, t0: int, t1: int, step: int = 1, columns: list[int] | None = None) -> DataFrame:
@@ -49,9 +50,8 @@ def advise(series: DataFrame, width: int = 16) -> DataFrame:
     Few levels or mostly zero blocks favour a general compressor (repeats); differences that resemble the
     one before favour the learning forecaster; the rest is left to lag1.
     """
-    order = Window.partitionBy("series_id").orderBy("t")
-    d = series.withColumn("residual", wrap(F.col("x") - F.coalesce(F.lag("x").over(order), F.lit(0)), width))
-    d = d.withColumn("_dd", wrap(F.col("residual") - F.coalesce(F.lag("residual").over(order), F.lit(0)), width).cast("double"))
+    d = steps(series, width).withColumnRenamed("_step", "residual")
+    d = d.withColumn("_dd", wrap(F.col("residual") - F.col("_last"), width).cast("double"))
     level = d.groupBy("series_id", "x").agg(F.count(F.lit(1)).alias("c"), F.sum(F.col("residual").cast("double") * F.col("residual")).alias("e"), F.sum(F.col("_dd") * F.col("_dd")).alias("ee"))
     whole = level.groupBy("series_id").agg(F.sum("c").alias("n"), F.count(F.lit(1)).alias("levels"), (F.sum("ee") / F.nullif(F.sum("e"), F.lit(0.0))).alias("roughness"))
     block = d.groupBy("series_id", divided(F.col("t"), 8).alias("b")).agg(F.bit_or(zigzag(F.col("residual"))).alias("o"))

@@ -2,17 +2,18 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import bits as B
 from .options import Options
+from .ordering import neighbours, prefix_sums
 
 
 def widths(df: DataFrame, width: int, keys: tuple[str, ...] = ("series_id",), block: int = 8) -> DataFrame:
     """(keys, block_id, n, bits, stored): of each block of ``residual``, the significant bits of its zigzagged values.
 
-    The window that made the residuals has the rows of a series together, so this adds no exchange.
+    Partial results are made before the exchange, a row for each block.
     """
     z = df.withColumn("block_id", B.divided(F.col("t"), block)).withColumn("z", B.zigzag(F.col("residual")))
     out = z.groupBy(*keys, "block_id").agg(F.count(F.lit(1)).alias("n"), F.bit_or("z").alias("ored"))
@@ -31,12 +32,12 @@ def by_block(stats: DataFrame, keys: tuple[str, ...] = ("series_id",)) -> DataFr
 def runs(blocks: DataFrame, keys: tuple[str, ...] = ("series_id",)) -> DataFrame:
     """(keys, slot, first_block, n_blocks, kind, stored): data blocks, and maximal runs of blocks of width 0.
 
-    Gaps and islands: blocks of data count up, so the blocks of a run share a count.
+    Gaps and islands: blocks of data count up, so the blocks of a run share a count.  Parts of a series are ordered apart
+    and joined by their sums.
     """
-    order = Window.partitionBy(*keys).orderBy("block_id")
-    marked = blocks.withColumn("_zero", F.col("stored") == 0)
-    marked = marked.withColumn("_start", (~F.col("_zero") | ~F.coalesce(F.lag("_zero").over(order), F.lit(False))).cast("bigint"))
-    marked = marked.withColumn("slot", F.sum("_start").over(order.rowsBetween(Window.unboundedPreceding, 0)) - 1)
+    marked = neighbours(blocks.withColumn("_zero", F.col("stored") == 0), {"_before": ("_zero", 1)}, keys, "block_id")
+    marked = marked.withColumn("_start", (~F.col("_zero") | ~F.coalesce("_before", F.lit(False))).cast("bigint"))
+    marked = prefix_sums(marked, "_start", "slot", keys, "block_id").withColumn("slot", F.col("slot") - 1)
     out = marked.groupBy(*keys, "slot").agg(F.min("block_id").alias("first_block"), F.count(F.lit(1)).alias("n_blocks"), F.max("stored").alias("stored"))
     return out.withColumn("kind", F.when(F.col("stored") == 0, F.lit("run")).otherwise(F.lit("data")))
 
@@ -59,7 +60,11 @@ def sizes(slots: DataFrame, o: Options, dims: int = 1, keys: tuple[str, ...] = (
 
 def body_sizes(residuals: DataFrame, o: Options, keys: tuple[str, ...] = ("series_id",)) -> DataFrame:
     """(keys, n, body_bytes, and its parts) of univariate residuals: exact sizes in generated code."""
-    stats = widths(residuals, o.width_bits, keys, o.block)
+    return sizes_of_stats(widths(residuals, o.width_bits, keys, o.block), o, keys)
+
+
+def sizes_of_stats(stats: DataFrame, o: Options, keys: tuple[str, ...] = ("series_id",)) -> DataFrame:
+    """The same of the blocks' widths."""
     tails = stats.groupBy(*keys).agg(F.sum("n").alias("n"), (F.sum(F.when(F.col("n") < o.block, F.col("n")).otherwise(F.lit(0))) * (o.width_bits // 8)).alias("tail_bytes"))
     full = whole_blocks(stats, o.block)
     slots = runs(full, keys) if o.rle else full.select(*keys, F.col("block_id").alias("first_block"), F.lit(1).alias("n_blocks"), "stored", F.lit("data").alias("kind"))

@@ -24,7 +24,7 @@ from . import huffman
 from . import kernels as K
 from .options import Options, preset
 
-SEGMENT = 65_536
+SEGMENT = 8192
 BATCH_VALUES = 1 << 21
 FORMAT = 1
 OPTIONS = "struct<width_bits:int,forecaster:string,entropy:string,block:int,group:int,layout:string,signed:boolean,coef_num:bigint,rate_shift:int,update:string,grad_stride:int,zero_rule:string,mean_rounding:string,clamp:boolean,round_product:boolean,rle:boolean,entropy_order:string>"
@@ -42,46 +42,67 @@ def pack_segment(x: np.ndarray, z: np.ndarray, o: Options) -> tuple[bytes, int]:
     return (huffman.encode(body) if o.entropy == "huffman" else body), slots
 
 
-def pack_many(segments: list[np.ndarray], o: Options) -> list[tuple[bytes, int]]:
-    """Bodies of several segments (samples x columns): forecasts run over all lanes at once."""
-    whole = [len(x) // o.block * o.block for x in segments]
-    wide = np.zeros((max(whole, default=0), sum(x.shape[1] for x in segments)), np.int64)
-    lane = 0
-    for x, n in zip(segments, whole, strict=True):
-        wide[:n, lane : lane + x.shape[1]] = x[:n]
-        lane += x.shape[1]
-    z, lane, out = K.zigzag(K.residuals(wide, o)), 0, []
-    for x, n in zip(segments, whole, strict=True):
-        out.append(pack_segment(x, z[:n, lane : lane + x.shape[1]].reshape(-1, o.block, x.shape[1]), o))
-        lane += x.shape[1]
+def _rectangles(shapes: list[tuple[int, int]], most: int) -> Iterator[list[int]]:
+    """Numbers of segments (samples, columns) that lie side by side: alike in length, so that none pads much, and of at most ``most`` values as padded."""
+    part, width = [], 0
+    for i in sorted(range(len(shapes)), key=lambda i: shapes[i][0]):
+        n, dims = shapes[i]
+        if part and (max(n, 1) * (width + dims) > most or n > 2 * shapes[part[0]][0] + 64):
+            yield part
+            part, width = [], 0
+        part.append(i)
+        width += dims
+    if part:
+        yield part
+
+
+def _beside(arrays: list[np.ndarray]) -> np.ndarray:
+    """Arrays (samples x columns) side by side, shorter ones padded with zeros."""
+    if len(arrays) == 1:
+        return arrays[0]
+    out, lane = np.zeros((max(map(len, arrays)), sum(a.shape[1] for a in arrays)), np.int64), 0
+    for a in arrays:
+        out[: len(a), lane : lane + a.shape[1]] = a
+        lane += a.shape[1]
     return out
 
 
-def unpack_many(bodies: list[tuple[bytes, int, int, int]], o: Options) -> list[np.ndarray]:
+def pack_many(segments: list[np.ndarray], o: Options, most: int | None = None) -> list[tuple[bytes, int]]:
+    """Bodies of several segments (samples x columns): forecasts run over the lanes of segments alike in length at once."""
+    out: list = [None] * len(segments)
+    for part in _rectangles([x.shape for x in segments], most or BATCH_VALUES):
+        whole = [segments[i][: len(segments[i]) // o.block * o.block] for i in part]
+        z, lane = K.zigzag(K.residuals(_beside(whole), o)), 0
+        for i, x in zip(part, whole, strict=True):
+            out[i] = pack_segment(segments[i], z[: len(x), lane : lane + x.shape[1]].reshape(-1, o.block, x.shape[1]), o)
+            lane += x.shape[1]
+    return out
+
+
+def unpack_many(bodies: list[tuple[bytes, int, int, int]], o: Options, most: int | None = None) -> list[np.ndarray]:
     """Samples of several bodies (body, slots, samples, columns) with the same options."""
-    parts, tails, item = [], [], f"<u{o.width_bits // 8}"
-    for body, slots, n, dims in bodies:
+    item, out = f"<u{o.width_bits // 8}", [None] * len(bodies)
+    for part in _rectangles([(n, dims) for _, _, n, dims in bodies], most or BATCH_VALUES):
+        raw = [bodies[i][0] for i in part]
         if o.entropy == "huffman":
-            body = huffman.decode(body)
-        whole = n // o.block * o.block
-        if o.entropy == "huffman" and o.entropy_order == "before":
-            z, end = np.frombuffer(body, item, whole * dims).astype(np.int64).reshape(-1, o.block, dims), whole * dims * (o.width_bits // 8)
-        else:
-            z, end = K.unpack(body, slots, dims, o)
-        if len(z) * o.block != whole:
-            raise ValueError("a body doesn't hold the samples its row names")
-        parts.append(K.unzigzag(z).reshape(-1, dims))
-        tails.append(np.frombuffer(body, item, (n - whole) * dims, end).astype(np.int64).reshape(-1, dims))
-    wide = np.zeros((max(map(len, parts), default=0), sum(p.shape[1] for p in parts)), np.int64)
-    lane = 0
-    for p in parts:
-        wide[: len(p), lane : lane + p.shape[1]] = p
-        lane += p.shape[1]
-    x, lane, out = K.reconstruct(wide, o), 0, []
-    for p, tail in zip(parts, tails, strict=True):
-        full = np.concatenate([x[: len(p), lane : lane + p.shape[1]], tail])
-        out.append(K.wrap(full, o.width_bits) if o.signed else full)
-        lane += p.shape[1]
+            raw = huffman.decode_many(raw)
+        residuals, tails = [], []
+        for i, body in zip(part, raw, strict=True):
+            _, slots, n, dims = bodies[i]
+            whole = n // o.block * o.block
+            if o.entropy == "huffman" and o.entropy_order == "before":
+                z, end = np.frombuffer(body, item, whole * dims).astype(np.int64).reshape(-1, o.block, dims), whole * dims * (o.width_bits // 8)
+            else:
+                z, end = K.unpack(body, slots, dims, o)
+            if len(z) * o.block != whole:
+                raise ValueError("a body doesn't hold the samples its row names")
+            residuals.append(K.unzigzag(z).reshape(-1, dims))
+            tails.append(np.frombuffer(body, item, (n - whole) * dims, end).astype(np.int64).reshape(-1, dims))
+        x, lane = K.reconstruct(_beside(residuals), o), 0
+        for i, e, tail in zip(part, residuals, tails, strict=True):
+            full = np.concatenate([x[: len(e), lane : lane + e.shape[1]], tail])
+            out[i] = K.wrap(full, o.width_bits) if o.signed else full
+            lane += e.shape[1]
     return out
 
 

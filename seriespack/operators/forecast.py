@@ -1,34 +1,45 @@
 """Forecasters as Column expressions over ``(series_id, t, x)``, all in generated code.
 
-Each segment starts from zeros.  Windows are partitioned by series (and segment, where there is one); the
-adaptive forecaster, sequential by nature, folds a group's samples with a state of a few numbers.
+Each segment starts from zeros, and positions ``t`` count its samples densely.  Windows order parts of a series, whose
+last samples are carried into the next part, so no task orders a whole series; the adaptive forecaster, sequential by
+nature, folds a group's samples with a state of a few numbers.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.bits import unsigned, wrap
+from .ordering import neighbours, prefix_sums
 
 #: Samples folded into one array before it is put away: appending copies the array it appends to.
 CHUNK = 512
 
 
-def _order(keys: tuple[str, ...]) -> Window:
-    return Window.partitionBy(*keys).orderBy("t")
-
-
 def lag1(df: DataFrame, width: int, keys: tuple[str, ...] = ("series_id",)) -> DataFrame:
     """``residual`` against the sample before."""
-    return df.withColumn("residual", wrap(F.col("x") - F.coalesce(F.lag("x").over(_order(keys)), F.lit(0)), width))
+    out = neighbours(df, {"_one": ("x", 1)}, keys)
+    return out.withColumn("residual", wrap(F.col("x") - F.coalesce("_one", F.lit(0)), width)).drop("_one")
+
+
+def steps(df: DataFrame, width: int, keys: tuple[str, ...] = ("series_id",)) -> DataFrame:
+    """``_step`` and ``_last``: each sample's difference from the one before, and the difference before that."""
+    out = neighbours(df, {"_one": ("x", 1), "_two": ("x", 2)}, keys)
+    one, two = (F.coalesce(c, F.lit(0)) for c in ("_one", "_two"))
+    return out.withColumns({"_step": wrap(F.col("x") - one, width), "_last": wrap(one - two, width)}).drop("_one", "_two")
+
+
+def of_coefficient(stepped: DataFrame, width: int, coef_num: int | Column) -> Column:
+    """The residual of ``steps`` against the sample before plus ``coef_num``/2^width of the last difference."""
+    coef = F.lit(coef_num) if isinstance(coef_num, int) else coef_num
+    return wrap(F.col("_step") - F.shiftright(F.col("_last") * coef, width), width)
 
 
 def fixed(df: DataFrame, width: int, coef_num: int | Column, keys: tuple[str, ...] = ("series_id",)) -> DataFrame:
     """``residual`` against the sample before plus ``coef_num``/2^width of the last difference."""
-    one, two = (F.coalesce(F.lag("x", i).over(_order(keys)), F.lit(0)) for i in (1, 2))
-    step, last = wrap(F.col("x") - one, width), wrap(one - two, width)
-    return df.withColumn("residual", wrap(step - F.shiftright(last * (F.lit(coef_num) if isinstance(coef_num, int) else coef_num), width), width))
+    stepped = steps(df, width, keys)
+    return stepped.withColumn("residual", of_coefficient(stepped, width, coef_num)).drop("_step", "_last")
 
 
 def double_delta(df: DataFrame, width: int, keys: tuple[str, ...] = ("series_id",)) -> DataFrame:
@@ -83,17 +94,29 @@ def adaptive(df: DataFrame, width: int, keys: tuple[str, ...] = ("series_id",),
 
 def reconstruct(df: DataFrame, width: int, order: int = 1, keys: tuple[str, ...] = ("series_id",)) -> DataFrame:
     """``restored`` samples (unsigned) of lag-1 residuals, or (order 2) of double-delta residuals: one or two prefix sums."""
-    sums = _order(keys).rowsBetween(Window.unboundedPreceding, 0)
-    out = df.withColumn("restored", unsigned(F.sum("residual").over(sums), width))
+    out = prefix_sums(df, "residual", "restored", keys).withColumn("restored", unsigned(F.col("restored"), width))
     if order == 2:
-        out = out.withColumn("restored", unsigned(F.sum("restored").over(sums), width))
+        out = prefix_sums(out, "restored", "_twice", keys).withColumn("restored", unsigned(F.col("_twice"), width)).drop("_twice")
     return out
 
 
 def fit_coefficients(df: DataFrame, keys: tuple[str, ...] = ("series_id",), value: str = "v") -> DataFrame:
     """For analysis, a least-squares fit per series: ``alpha`` of one difference on the one before, and the (a, b) it stands for."""
-    order = _order(keys)
-    d = df.withColumn("_d", (F.col(value) - F.lag(value).over(order)).cast("double"))
-    d = d.withColumn("_p", F.lag("_d").over(order)).where("_d is not null and _p is not null")
+    d = neighbours(df, {"_one": (value, 1), "_two": (value, 2)}, keys)
+    d = d.select(*keys, (F.col(value) - F.col("_one")).cast("double").alias("_d"), (F.col("_one") - F.col("_two")).cast("double").alias("_p")).where("_d is not null and _p is not null")
     out = d.groupBy(*keys).agg((F.sum(F.col("_d") * F.col("_p")) / F.nullif(F.sum(F.col("_p") * F.col("_p")), F.lit(0.0))).alias("alpha"), F.corr("_d", "_p").alias("corr"), F.count(F.lit(1)).alias("n"))
     return out.select(*keys, "n", "alpha", (1 + F.col("alpha")).alias("a"), (-F.col("alpha")).alias("b"), "corr")
+
+
+def fit_two(df: DataFrame, keys: tuple[str, ...] = ("series_id",), value: str = "v") -> DataFrame:
+    """(keys, n, a, b): the two coefficients of the last two samples that predict best in least squares, not tied to each other.
+
+    Sums are taken about each series' first value, which keeps them exact for longer; null where the two samples are collinear.
+    """
+    x = neighbours(df, {"_one": (value, 1), "_two": (value, 2)}, keys).where("_two is not null")
+    origin = df.where(F.col("t") == 0).select(*keys, F.col(value).alias("_origin"))
+    x = x.join(F.broadcast(origin), list(keys)).select(*keys, *[(F.col(c) - F.col("_origin")).cast("double").alias(n) for c, n in ((value, "_y"), ("_one", "_p"), ("_two", "_q"))])
+    dot = lambda i, j: F.sum(F.col(i) * F.col(j))
+    s = x.groupBy(*keys).agg(F.count(F.lit(1)).alias("n"), dot("_p", "_p").alias("pp"), dot("_q", "_q").alias("qq"), dot("_p", "_q").alias("pq"), dot("_y", "_p").alias("yp"), dot("_y", "_q").alias("yq"))
+    det = F.nullif(F.col("pp") * F.col("qq") - F.col("pq") * F.col("pq"), F.lit(0.0))
+    return s.select(*keys, "n", ((F.col("yp") * F.col("qq") - F.col("yq") * F.col("pq")) / det).alias("a"), ((F.col("yq") * F.col("pp") - F.col("yp") * F.col("pq")) / det).alias("b"))

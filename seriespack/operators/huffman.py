@@ -14,20 +14,31 @@ STREAM = 512
 
 
 def code_lengths(counts: np.ndarray, limit: int = LIMIT) -> np.ndarray:
-    """Optimal lengths of at most ``limit`` bits (package-merge); 0 for symbols that don't occur."""
+    """Optimal lengths of at most ``limit`` bits (package-merge); 0 for symbols that don't occur.
+
+    A level holds the symbols and the pairs of the level below, by weight, symbols first among equals.  Of the last level
+    2n - 2 items are taken, of each level below twice the pairs taken above; a symbol's length is how often it is taken.
+    """
     symbols = np.flatnonzero(counts)
     out = np.zeros(len(counts), np.int64)
     if len(symbols) == 1:
         out[symbols] = 1
     if len(symbols) < 2:
         return out
-    single = sorted((int(counts[s]), (int(s),)) for s in symbols)
-    row = single
-    for _ in range(limit - 1):
-        paired = [(a[0] + b[0], a[1] + b[1]) for a, b in zip(row[::2], row[1::2], strict=False)]
-        row = sorted(single + paired)
-    for _, members in row[: 2 * len(symbols) - 2]:
-        np.add.at(out, list(members), 1)
+    order = symbols[np.argsort(counts[symbols], kind="stable")]
+    single, levels = counts[order].astype(np.int64), []
+    weights, is_pair = single, np.zeros(len(single), bool)
+    for _ in range(limit):
+        levels.append(is_pair)
+        pairs = weights[: len(weights) // 2 * 2].reshape(-1, 2).sum(1)
+        merged = np.concatenate([single, pairs])
+        by = np.argsort(merged, kind="stable")
+        weights, is_pair = merged[by], by >= len(single)
+    taken = 2 * len(symbols) - 2
+    for is_pair in reversed(levels):
+        pairs = int(is_pair[:taken].sum())
+        out[order[: taken - pairs]] += 1
+        taken = 2 * pairs
     return out
 
 
@@ -42,6 +53,19 @@ def codes_of(lengths: np.ndarray) -> np.ndarray:
     return out
 
 
+def _put_codes(codes: np.ndarray, place: np.ndarray, size: np.ndarray, n_bytes: int) -> bytes:
+    """Codes of ``size`` bits from bit ``place`` on, most significant first."""
+    out = np.zeros(n_bytes // 8 + 2, np.uint64)
+    word, room = place >> 6, 64 - (place & 63) - size
+    codes = codes.astype(np.uint64)
+    high = np.where(room >= 0, codes << np.maximum(room, 0).astype(np.uint64), codes >> np.maximum(-room, 0).astype(np.uint64))
+    first = np.flatnonzero(np.diff(word, prepend=-1))
+    out[word[first]] = np.bitwise_or.reduceat(high, first)
+    over = np.flatnonzero(room < 0)
+    out[word[over] + 1] |= codes[over] << (64 + room[over]).astype(np.uint64)
+    return out.astype(">u8").tobytes()[:n_bytes]
+
+
 def encode(body: bytes) -> bytes:
     data = np.frombuffer(body, np.uint8)
     counts = np.bincount(data, minlength=256)
@@ -59,46 +83,73 @@ def encode(body: bytes) -> bytes:
     starts = (np.cumsum(stream_bytes) - stream_bytes) * 8
     inner = np.cumsum(size) - size
     place = starts[groups] + inner - inner[groups * STREAM]
-    out = np.zeros(int(stream_bytes.sum()) * 8, np.uint8)
-    for n in np.unique(size):
-        at = np.flatnonzero(size == n)
-        out[place[at][:, None] + np.arange(n)] = codes[data[at]][:, None] >> np.arange(n - 1, -1, -1) & 1
+    out = _put_codes(codes[data], place, size, int(stream_bytes.sum()))
     nibbles = lengths[symbols]
     nibbles = np.concatenate([nibbles, np.zeros(len(nibbles) % 2, np.int64)])
     table = np.packbits(lengths > 0).tobytes() + (nibbles[::2] << 4 | nibbles[1::2]).astype(np.uint8).tobytes()
-    made = b"\x01" + table + len(body).to_bytes(4, "little") + stream_bytes.astype("<u2").tobytes() + np.packbits(out).tobytes()
+    made = b"\x01" + table + len(body).to_bytes(4, "little") + stream_bytes.astype("<u2").tobytes() + out
     return made if len(made) <= len(body) else b"\x00" + body
 
 
 def decode(data: bytes) -> bytes:
-    if not data or data[0] == 0:
-        return data[1:]
-    if data[0] == 2:
-        return data[1:2] * int.from_bytes(data[2:6], "little")
+    return decode_many([data])[0]
+
+
+def _tables(data: bytes) -> tuple[int, int, int, np.ndarray]:
+    """Of a coded body: bytes that it stands for, streams, where their lengths begin, and for each window of bits symbol * 16 + length."""
     present = np.flatnonzero(np.unpackbits(np.frombuffer(data, np.uint8, 32, 1)))
     at = 33 + -(-len(present) // 2)
     pairs = np.frombuffer(data, np.uint8, at - 33, 33)
     lengths = np.zeros(256, np.int64)
     lengths[present] = np.stack([pairs >> 4, pairs & 15], 1).reshape(-1)[: len(present)]
+    order = sorted(present.tolist(), key=lambda s: (lengths[s], s))
+    spans = (1 << LIMIT) >> lengths[order]  # canonical codes fill the windows in this order
+    table = np.zeros(1 << LIMIT, np.uint16)
+    filled = np.repeat(np.array(order, np.int64) * 16 + lengths[order], spans)
+    table[: len(filled)] = filled
     n = int.from_bytes(data[at : at + 4], "little")
-    streams = -(-n // STREAM)
-    sizes = np.frombuffer(data, "<u2", streams, at + 4).astype(np.int64)
-    bits = np.unpackbits(np.frombuffer(data, np.uint8, int(sizes.sum()), at + 4 + 2 * streams))
-    bits = np.concatenate([bits, np.zeros(LIMIT, np.uint8)])
-    codes = codes_of(lengths)
-    symbol, used = np.zeros(1 << LIMIT, np.uint8), np.zeros(1 << LIMIT, np.int64)
-    for s in present:
-        n_free = LIMIT - lengths[s]
-        span = slice(int(codes[s]) << int(n_free), (int(codes[s]) + 1) << int(n_free))
-        symbol[span], used[span] = s, lengths[s]
-    window = np.zeros(len(bits) - LIMIT + 1, np.int64)
-    for i in range(LIMIT):
-        window = window << 1 | bits[i : i + len(window)]
-    place = (np.cumsum(sizes) - sizes) * 8
-    out = np.zeros((STREAM, streams), np.uint8)
-    last = len(window) - 1
-    for i in range(min(STREAM, n)):
-        w = window[np.minimum(place, last)]
-        out[i] = symbol[w]
-        place = place + used[w]
-    return out.T.reshape(-1)[:n].tobytes()
+    return n, -(-n // STREAM), at + 4, table
+
+
+def decode_many(bodies: list[bytes]) -> list[bytes]:
+    """Bytes of several coded bodies; the streams of all run in lock-step."""
+    out: list = [None] * len(bodies)
+    coded = []
+    for i, data in enumerate(bodies):
+        if not data or data[0] == 0:
+            out[i] = data[1:]
+        elif data[0] == 2:
+            out[i] = data[1:2] * int.from_bytes(data[2:6], "little")
+        else:
+            coded.append(i)
+    if not coded:
+        return out
+    parts, places, tables, counts, at = [], [], [], [], 0
+    for i in coded:
+        n, streams, begin, table = _tables(bodies[i])
+        sizes = np.frombuffer(bodies[i], "<u2", streams, begin).astype(np.int64)
+        parts.append(bodies[i][begin + 2 * streams :])
+        places.append((np.cumsum(sizes) - sizes + at) * 8)
+        at += len(parts[-1])
+        tables.append(table)
+        counts.append((n, streams))
+    raw = np.frombuffer(b"".join([*parts, bytes(4)]), np.uint8).astype(np.uint32)
+    window = raw[:-3] << 16 | raw[1:-2] << 8 | raw[2:-1]
+    table = np.concatenate(tables)
+    base = np.repeat(np.arange(len(coded)) << LIMIT, [s for _, s in counts])
+    place, last = np.concatenate(places), len(window) - 1
+    symbols = np.zeros((min(STREAM, max(n for n, _ in counts)), len(place)), np.uint8)
+    for t in range(len(symbols)):
+        seen = window[np.minimum(place >> 3, last)] >> (24 - LIMIT - (place & 7)).astype(np.uint32) & ((1 << LIMIT) - 1)
+        found = table[base + seen]
+        symbols[t] = found >> 4
+        place += found & 15
+    lane = 0
+    for i, (n, streams) in zip(coded, counts, strict=True):
+        flat = np.ascontiguousarray(symbols[:, lane : lane + streams].T).reshape(-1)
+        if streams > 1 or len(symbols) == STREAM:
+            out[i] = flat[:n].tobytes()
+        else:
+            out[i] = symbols[:n, lane].tobytes()
+        lane += streams
+    return out

@@ -6,6 +6,9 @@ beforehand, so within a block only the coefficient is state; a decoder walks fro
 
 from __future__ import annotations
 
+import sys
+import types
+
 import numpy as np
 
 from .options import Options
@@ -39,6 +42,7 @@ class Learner:
         if o.clamp:
             self.low, self.high = -(1 << (w - 1)) << o.rate_shift, (1 << w) << o.rate_shift
         self.stride = np.arange(o.block) % o.grad_stride == o.grad_stride - 1
+        self.sampled = int(self.stride.sum())
 
     def coef(self) -> np.ndarray:
         return self.gain >> self.o.rate_shift
@@ -54,11 +58,16 @@ class Learner:
         return (np.where(sign == 0, -1, sign) if self.o.zero_rule == "case" else sign) * step
 
     def add(self, gradient: np.ndarray) -> None:
-        self.gain = np.clip(self.gain + gradient, self.low, self.high)
+        self.gain = np.minimum(np.maximum(self.gain + gradient, self.low), self.high)
 
     def mean(self, total: np.ndarray) -> np.ndarray:
-        n = int(self.stride.sum())
-        return np.where((total < 0) & (self.o.mean_rounding == "trunc"), -(-total // n), total // n) if n else total * 0
+        n = self.sampled
+        if not n:
+            return total * 0
+        if n & (n - 1) == 0:  # an arithmetic shift rounds down; adding n - 1 to negative totals rounds toward zero
+            rounded = total + ((total >> 63) & (n - 1)) if self.o.mean_rounding == "trunc" else total
+            return rounded >> (n.bit_length() - 1)
+        return np.where((total < 0) & (self.o.mean_rounding == "trunc"), -(-total // n), total // n)
 
 
 def residuals(x: np.ndarray, o: Options) -> np.ndarray:
@@ -107,31 +116,32 @@ def reconstruct(e: np.ndarray, o: Options) -> np.ndarray:
         return np.cumsum(e, 0) & mask
     if o.forecaster == "fixed" and o.coef_num == 1 << w:
         return np.cumsum(np.cumsum(e, 0) & mask, 0) & mask
-    lanes, out = e.shape[1], np.empty_like(e)
-    prev, step = np.zeros(lanes, np.int64), np.zeros(lanes, np.int64)
-    learner = Learner(lanes, o)
-    coef, total = learner.coef(), np.zeros(lanes, np.int64)
-    if o.forecaster == "fixed":
-        coef = np.full(lanes, o.coef_num)
-    half = 1 << (w - 1)
+    lanes, out, half = e.shape[1], np.empty_like(e), 1 << (w - 1)
+    learner, step = Learner(lanes, o), np.zeros(lanes, np.int64)
+    coef = np.full(lanes, o.coef_num) if o.forecaster == "fixed" else learner.coef()
+    rounding = half if o.round_product and o.forecaster == "adaptive" else 0
+    shifted, now = e + half, np.empty(lanes, np.int64)
     for t in range(len(e)):
-        now = ((step + 0 if o.forecaster == "fixed" and o.coef_num == 1 << w else (learner.estimate(coef, step) if o.forecaster == "adaptive" else coef * step >> w)) + e[t] + half & mask) - half
+        np.multiply(coef, step, out=now)
+        if rounding:
+            now += rounding
+        now >>= w
+        now += shifted[t]
+        now &= mask
+        np.subtract(now, half, out=out[t])
         if o.forecaster == "adaptive":
             i = t % o.block
-            if learner.stride[i]:
-                d = learner.direction(e[t], step)
-                if o.update == "sample":
-                    learner.add(d)
+            if o.update == "sample":
+                if learner.stride[i]:
+                    learner.add(learner.direction(e[t], step))
                     coef = learner.coef()
-                else:
-                    total = total + d
-            if i == o.block - 1 and o.update == "block":
-                learner.add(learner.mean(total))
-                coef, total = learner.coef(), np.zeros(lanes, np.int64)
-        step = now
-        prev = prev + now & mask
-        out[t] = prev
-    return out
+            elif i == o.block - 1:
+                at = np.flatnonzero(learner.stride) + t - i
+                before = out[at - 1] if at[0] else np.concatenate([np.zeros((1, lanes), np.int64), out[at[1:] - 1]])
+                learner.add(learner.mean(learner.direction(e[at], before).sum(0)))
+                coef = learner.coef()
+        step = out[t]
+    return np.cumsum(out, 0) & mask
 
 
 def widths_of(z: np.ndarray, o: Options) -> np.ndarray:
@@ -177,6 +187,41 @@ def _bases(widths: np.ndarray, start: np.ndarray, o: Options) -> tuple[np.ndarra
     return start[:, None] + np.cumsum(widths, 1) - widths, np.broadcast_to(row[:, None], widths.shape)
 
 
+def put_bits(values: np.ndarray, place: np.ndarray, width: np.ndarray, size: int) -> np.ndarray:
+    """``size`` bytes that hold values of ``width`` bits from bit ``place`` on, least significant first; places ascend and no two values overlap."""
+    out = np.zeros(size // 8 + 2, np.uint64)
+    if not len(values):
+        return out.view(np.uint8)[:size]
+    values, word, shift = values.astype(np.uint64), place >> 6, (place & 63).astype(np.uint64)
+    first = np.flatnonzero(np.diff(word, prepend=-1))
+    out[word[first]] = np.bitwise_or.reduceat(values << shift, first)
+    over = np.flatnonzero(shift.astype(np.int64) + width > 64)
+    out[word[over] + 1] |= values[over] >> (np.uint64(64) - shift[over])
+    return out.view(np.uint8)[:size]
+
+
+def get_bits(data: bytes, place: np.ndarray, width: np.ndarray) -> np.ndarray:
+    """Values of ``width`` bits from bit ``place`` on, least significant first."""
+    words = np.frombuffer(data + bytes(16 - len(data) % 8), np.uint64)
+    word, shift = place >> 6, (place & 63).astype(np.uint64)
+    out = words[word] >> shift
+    out |= (words[word + 1] << np.uint64(1)) << (np.uint64(63) - shift)
+    return (out & ((np.uint64(1) << width.astype(np.uint64)) - np.uint64(1))).astype(np.int64)
+
+
+def _places(widths: np.ndarray, start: np.ndarray, o: Options) -> tuple[np.ndarray, np.ndarray, bool]:
+    """Bit place and width of every value of payloads that start at bit ``start``, in ascending order; and whether columns lead."""
+    base, stride = _bases(widths, start, o)
+    by_column = layout_of(o, widths.shape[1]) == "column"
+    if by_column:
+        place = base[:, :, None] + stride[:, :, None] * np.arange(o.block)
+        width = np.broadcast_to(widths[:, :, None], place.shape)
+    else:
+        place = base[:, None, :] + stride[:, None, :] * np.arange(o.block)[:, None]
+        width = np.broadcast_to(widths[:, None, :], place.shape)
+    return place, width, by_column
+
+
 def pack(z: np.ndarray, o: Options) -> tuple[bytes, int]:
     """Headers and payloads of all blocks (blocks x block x columns): the slot stream, and how many slots."""
     dims, h = z.shape[2], o.width_bits.bit_length() - 1
@@ -185,33 +230,98 @@ def pack(z: np.ndarray, o: Options) -> tuple[bytes, int]:
     n = len(first)
     if not n:
         return b"", 0
-    counts = [varint(int(r)) if r else b"" for r in run]
-    size = np.where(run > 0, [len(c) for c in counts], payload_sizes(widths[first], o))
+    runs = np.flatnonzero(run)
+    counts = [varint(int(r)) for r in run[runs]]
+    size = payload_sizes(widths[first], o)
+    size[runs] = [len(c) for c in counts]
     group = np.arange(n) // o.group
-    in_group = np.bincount(group)
-    header = -(-in_group * dims * h // 8)
-    before = np.cumsum(size) - size
-    headers_done = np.cumsum(header)
+    header = -(-np.bincount(group) * dims * h // 8)
+    before, headers_done = np.cumsum(size) - size, np.cumsum(header)
     at = before + headers_done[group]
-    group_at = before[np.arange(len(in_group)) * o.group] + headers_done - header
-    out = np.zeros(int(size.sum() + header.sum()) * 8, np.uint8)
-    place = (group_at[group] * 8 + (np.arange(n) % o.group) * dims * h)[:, None, None] + (np.arange(dims) * h)[None, :, None] + np.arange(h)
-    out[place] = np.minimum(widths[first], o.width_bits - 1)[:, :, None] >> np.arange(h) & 1
+    group_at = before[np.arange(len(header)) * o.group] + headers_done - header
+    total = int(size.sum() + header.sum())
+    place = ((group_at[group] * 8 + (np.arange(n) % o.group) * dims * h)[:, None] + np.arange(dims) * h).reshape(-1)
+    body = put_bits(np.minimum(widths[first], o.width_bits - 1).reshape(-1), place, np.full(len(place), h), total)
     data = run == 0
     blocks = first[data]
-    base, stride = _bases(widths[blocks], at[data] * 8, o)
-    for v in np.unique(widths[blocks]):
-        if not v:
-            continue
-        b, c = np.nonzero(widths[blocks] == v)
-        where = base[b, c][:, None, None] + (np.arange(o.block)[None, :] * stride[b, c][:, None])[:, :, None] + np.arange(v)
-        out[where] = z[blocks[b], :, c][:, :, None] >> np.arange(v) & 1
-    body = np.packbits(out, bitorder="little")
-    for i in np.flatnonzero(run):
-        body[at[i] : at[i] + len(counts[i])] = np.frombuffer(counts[i], np.uint8)
+    place, width, by_column = _places(widths[blocks], at[data] * 8, o)
+    values = z[blocks] if len(blocks) < len(z) else z
+    body |= put_bits((values.transpose(0, 2, 1) if by_column else values).reshape(-1), place.reshape(-1), width.reshape(-1), total)
+    for i, count in zip(runs.tolist(), counts, strict=True):
+        body[at[i] : at[i] + len(count)] = np.frombuffer(count, np.uint8)
     return body.tobytes(), n
 
 
+def _headers(dims: int, o: Options) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """``_header_tables``, remembered as long as the Python process lives and never sent along with a task."""
+    known = sys.modules.setdefault("_seriespack_kernels", types.ModuleType("_seriespack_kernels")).__dict__
+    key = (dims, o.width_bits, o.group, o.layout, o.block, o.rle)
+    if key not in known:
+        known[key] = _header_tables(dims, o)
+    return known[key]
+
+
+def _header_tables(dims: int, o: Options) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """For each header of a full group, where it has at most 16 bits: widths, payload sizes, and the group's size (-1 where it holds a run)."""
+    h, top = o.width_bits.bit_length() - 1, o.width_bits - 1
+    hb = -(-o.group * dims * h // 8)
+    codes = (np.arange(1 << (8 * hb))[:, None] >> (np.arange(o.group * dims) * h)) & top
+    wide = np.where(codes == top, o.width_bits, codes).reshape(-1, o.group, dims)
+    size = payload_sizes(wide.reshape(-1, dims), o).reshape(-1, o.group)
+    runs = (~wide.any(2)).any(1) & o.rle
+    return wide, size, np.where(runs, -1, size.sum(1) + hb)
+
+
+def _read_varint(body: bytes, at: int) -> tuple[int, int]:
+    n = shift = 0
+    while True:
+        byte = body[at]
+        n |= (byte & 127) << shift
+        at, shift = at + 1, shift + 7
+        if byte < 128:
+            return n, at
+
+
+def _group_slots(body: bytes, at: int, sizes: list[int], zero: list[bool]) -> tuple[list[int], list[int], int]:
+    """Places and run lengths of a group's slots, whose payloads begin at ``at``, and where they end."""
+    places, runs = [], []
+    for size, is_run in zip(sizes, zero, strict=True):
+        places.append(at)
+        n = 0
+        if is_run:
+            n, at = _read_varint(body, at)
+        else:
+            at += size
+        runs.append(n)
+    return places, runs, at
+
+
+def _parse_narrow(body: bytes, groups: int, dims: int, o: Options) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
+    """Slots of the first full groups: a table says where the next group begins, so only groups with runs are looked into."""
+    h = o.width_bits.bit_length() - 1
+    hb = -(-o.group * dims * h // 8)
+    wide, size, step = _headers(dims, o)
+    raw = np.frombuffer(body + bytes(2), np.uint8).astype(np.int64)
+    header = raw[: len(body)] + (raw[1 : len(body) + 1] << 8 if hb == 2 else 0)
+    jump = step[header]
+    after = np.where(jump < 0, -1, np.arange(len(body)) + jump).tolist()
+    starts, odd, at = [], [], 0
+    for _ in range(groups):
+        starts.append(at)
+        following = after[at]
+        if following < 0:
+            sizes = size[header[at]]
+            places, runs, following = _group_slots(body, at + hb, sizes.tolist(), (sizes == 0).tolist())
+            odd.append((len(starts) - 1, places, runs))
+        at = following
+    starts = np.array(starts)
+    seen = header[starts]
+    places, runs = starts[:, None] + hb + np.cumsum(size[seen], 1) - size[seen], np.zeros((len(starts), o.group), np.int64)
+    for i, where, lengths in odd:
+        places[i], runs[i] = where, lengths
+    return wide[seen].reshape(-1, dims), runs.reshape(-1), places.reshape(-1), at
+
+
 def parse_slots(body: bytes, n_slots: int, dims: int, o: Options) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
     """Stored widths, run lengths and payload places of all slots, and where the stream ends.
 
@@ -219,7 +329,10 @@ def parse_slots(body: bytes, n_slots: int, dims: int, o: Options) -> tuple[np.nd
     """
     h, top = o.width_bits.bit_length() - 1, o.width_bits - 1
     known: dict[bytes, tuple] = {}
-    widths, runs, places, at, left = [], [], [], 0, n_slots
+    widths, runs, places, at, left = [np.zeros((0, dims), np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], 0, n_slots
+    if o.group * dims * h <= 16 and left >= 32:
+        wide, run, place, at = _parse_narrow(body, left // o.group, dims, o)
+        widths, runs, places, left = [wide], [run], [place], left % o.group
     while left > 0:
         k = min(o.group, left)
         hb = -(-k * dims * h // 8)
@@ -229,26 +342,12 @@ def parse_slots(body: bytes, n_slots: int, dims: int, o: Options) -> tuple[np.nd
             codes = bits @ (1 << np.arange(h))
             wide = np.where(codes == top, o.width_bits, codes)
             found = known[key, k] = (wide, payload_sizes(wide, o).tolist(), (~wide.any(1) & o.rle).tolist())
-        at += hb
+        place, run, at = _group_slots(body, at + hb, found[1], found[2])
         widths.append(found[0])
-        for size, is_run in zip(found[1], found[2], strict=True):
-            places.append(at)
-            if is_run:
-                n = shift = 0
-                while True:
-                    byte = body[at]
-                    n |= (byte & 127) << shift
-                    at, shift = at + 1, shift + 7
-                    if byte < 128:
-                        break
-                runs.append(n)
-            else:
-                runs.append(0)
-                at += size
+        runs.append(run)
+        places.append(place)
         left -= k
-    if not widths:
-        return np.zeros((0, dims), np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64), at
-    return np.concatenate(widths), np.array(runs), np.array(places), at
+    return np.concatenate(widths), np.concatenate(runs).astype(np.int64), np.concatenate(places).astype(np.int64), at
 
 
 def unpack(body: bytes, n_slots: int, dims: int, o: Options) -> tuple[np.ndarray, int]:
@@ -258,12 +357,7 @@ def unpack(body: bytes, n_slots: int, dims: int, o: Options) -> tuple[np.ndarray
     first = np.cumsum(length) - length
     z = np.zeros((int(length.sum()), o.block, dims), np.int64)
     data = np.flatnonzero(runs == 0)
-    bits = np.unpackbits(np.frombuffer(body, np.uint8, end), bitorder="little")
-    base, stride = _bases(widths[data], places[data] * 8, o)
-    for v in np.unique(widths[data]):
-        if not v:
-            continue
-        b, c = np.nonzero(widths[data] == v)
-        where = base[b, c][:, None, None] + (np.arange(o.block)[None, :] * stride[b, c][:, None])[:, :, None] + np.arange(v)
-        z[first[data[b]], :, c] = bits[where] @ (1 << np.arange(v, dtype=np.int64))
+    place, width, by_column = _places(widths[data], places[data] * 8, o)
+    values = get_bits(body[:end], place.reshape(-1), width.reshape(-1)).reshape(place.shape)
+    z[first[data]] = values.transpose(0, 2, 1) if by_column else values
     return z, end

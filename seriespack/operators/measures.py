@@ -12,11 +12,12 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.bits import bit_width, zigzag
+from .ordering import neighbours
 
-#: Studentized range over sqrt(2) at 0.05 for 2, 3, ... methods.
-Q05 = (1.960, 2.343, 2.569, 2.728, 2.850, 2.949, 3.031, 3.102, 3.164)
+#: Studentized range over sqrt(2) at 0.05 for 2, 3, ... 20 methods.
+Q05 = (1.960, 2.343, 2.569, 2.728, 2.850, 2.949, 3.031, 3.102, 3.164, 3.219, 3.268, 3.313, 3.354, 3.391, 3.426, 3.458, 3.489, 3.517, 3.544)
 #: The same at 0.10.
-Q10 = (1.645, 2.052, 2.291, 2.459, 2.589, 2.693, 2.780, 2.855, 2.920)
+Q10 = (1.645, 2.052, 2.291, 2.459, 2.589, 2.693, 2.780, 2.855, 2.920, 2.978, 3.030, 3.077, 3.120, 3.159, 3.196, 3.230, 3.261, 3.291, 3.319)
 
 
 def compression_ratio(sizes: DataFrame) -> DataFrame:
@@ -48,18 +49,37 @@ def friedman(ratios: DataFrame) -> DataFrame:
     return m.select("width_bits", "k", "n", (F.lit(12.0) * F.col("n") / (k * (k + 1)) * (F.col("s") - k * (k + 1) * (k + 1) / F.lit(4.0))).alias("chi2"))
 
 
-def nemenyi(ratios: DataFrame, alpha: float = 0.05) -> DataFrame:
-    """Pairs of methods, the difference of their mean ranks, the critical difference, and whether they differ."""
+def critical(ratios: DataFrame, alpha: float = 0.05) -> DataFrame:
+    """Mean ranks with the critical difference ``cd``; 2 to 20 methods are in the table."""
+    if alpha not in (0.05, 0.10):
+        raise ValueError("critical values are for 0.05 and 0.10")
     table = Q05 if alpha == 0.05 else Q10
-    m = mean_ranks(ratios)
     k = F.count(F.lit(1)).over(Window.partitionBy("width_bits"))
-    q = F.array(*[F.lit(x) for x in table])[k.cast("int") - 2]
-    m = m.withColumn("cd", q * F.sqrt(k * (k + 1) / (6.0 * F.col("n"))))
+    q = F.when(k.between(2, len(table) + 1), F.get(F.array(*[F.lit(x) for x in table]), (k - 2).cast("int"))).otherwise(F.raise_error(F.lit(f"critical values are for 2 to {len(table) + 1} methods")).cast("double"))
+    return mean_ranks(ratios).withColumn("cd", q * F.sqrt(k * (k + 1) / (6.0 * F.col("n"))))
+
+
+def nemenyi(ratios: DataFrame, alpha: float = 0.05) -> DataFrame:
+    """Pairs of methods, the difference of their mean ranks, the critical difference, and whether they differ."""
+    m = critical(ratios, alpha)
     o = m.select("width_bits", F.col("method").alias("other"), F.col("mean_rank").alias("other_rank"))
     out = m.join(o, "width_bits").where("method < other")
     return out.select("width_bits", "method", "other", F.abs(F.col("mean_rank") - F.col("other_rank")).alias("difference"), "cd", (F.abs(F.col("mean_rank") - F.col("other_rank")) > F.col("cd")).alias("differ"))
 
 
+def rank_groups(ratios: DataFrame, alpha: float = 0.05) -> DataFrame:
+    """The bars of a rank diagram: (width_bits, first_rank, last_rank, methods) of maximal runs of methods within a critical difference.
+
+    Each method opens a run of those behind it within the difference; runs of one method, and runs that end where an earlier one does, are no bars.
+    """
+    m = critical(ratios, alpha).select("width_bits", "method", "mean_rank", "cd")
+    o = m.select("width_bits", F.col("method").alias("_m"), F.col("mean_rank").alias("_r"))
+    runs = m.join(o, "width_bits").where("_r >= mean_rank and _r - mean_rank <= cd").groupBy("width_bits", "method", "mean_rank")
+    runs = runs.agg(F.max("_r").alias("last_rank"), F.array_join(F.transform(F.array_sort(F.collect_set(F.struct("_r", "_m"))), lambda s: s["_m"]), ",").alias("methods"), F.count(F.lit(1)).alias("size"))
+    out = runs.where("size > 1").groupBy("width_bits", "last_rank").agg(F.min("mean_rank").alias("first_rank"), F.min_by("methods", "mean_rank").alias("methods"))
+    return out.select("width_bits", "first_rank", "last_rank", "methods")
+
+
 def paired(sizes: DataFrame, a: str, b: str) -> DataFrame:
     """(dataset_id, width_bits, a, b): ratios of two methods side by side."""
     r = compression_ratio(sizes)
@@ -109,8 +129,7 @@ def noise_floor(residuals: DataFrame, width: int, keys: tuple[str, ...] = ("seri
 
 def next_step_bayes_error(residuals: DataFrame, keys: tuple[str, ...] = ("series_id",)) -> DataFrame:
     """1 - sum over a of max over b of P(a, b), for neighbouring differences in {-1, 0, 1}."""
-    order = Window.partitionBy(*keys).orderBy("t")
-    pairs = residuals.withColumn("a", F.lag("residual").over(order)).where("a between -1 and 1 and residual between -1 and 1")
+    pairs = neighbours(residuals, {"a": ("residual", 1)}, keys).where("a between -1 and 1 and residual between -1 and 1")
     counts = pairs.groupBy(*keys, "a", "residual").count()
     best = counts.groupBy(*keys, "a").agg(F.max("count").alias("best"), F.sum("count").alias("all"))
     return best.groupBy(*keys).agg(F.sum("all").alias("pairs"), (1 - F.sum("best") / F.sum("all")).alias("bayes_error"))

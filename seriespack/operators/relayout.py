@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.bits import divided
+from .ordering import PART
 
 
 def concat_series(parts: DataFrame, gap: int = 5) -> DataFrame:
@@ -39,12 +40,29 @@ def wide(series: DataFrame) -> DataFrame:
 
 
 def null_policy(df: DataFrame, policy: str = "error", value: str = "v") -> DataFrame:
-    """Nulls in a series: refuse, drop (positions are kept as they are), or carry the last value forward (0 before the first)."""
+    """Nulls in a series: refuse; drop (positions are kept as they are); carry the last value forward (0 before the first);
+    or interpolate whole numbers between the values on both sides (nulls before the first and after the last value are dropped).
+    """
     if policy == "drop":
         return df.where(F.col(value).isNotNull())
     if policy == "carry_forward":
-        order = Window.partitionBy("series_id").orderBy("t").rowsBetween(Window.unboundedPreceding, 0)
-        return df.withColumn(value, F.coalesce(F.last(value, ignorenulls=True).over(order), F.lit(0)))
+        parted = df.withColumn("_part", divided(F.col("t"), PART))
+        local = Window.partitionBy("series_id", "_part").orderBy("t").rowsBetween(Window.unboundedPreceding, 0)
+        ends = parted.groupBy("series_id", "_part").agg(F.max_by(value, F.when(F.col(value).isNotNull(), F.col("t"))).alias("_end"))
+        before = Window.partitionBy("series_id").orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+        carried = ends.select("series_id", "_part", F.last("_end", ignorenulls=True).over(before).alias("_carried"))
+        out = parted.withColumn(value, F.last(value, ignorenulls=True).over(local)).join(carried, ["series_id", "_part"])
+        return out.withColumn(value, F.coalesce(value, "_carried", F.lit(0))).drop("_part", "_carried")
+    if policy == "interpolate":
+        known = df.where(F.col(value).isNotNull()).select("series_id", F.col("t").alias("_t"), F.col(value).alias("_v"))
+        order = Window.partitionBy("series_id", "_part").orderBy("_t")
+        starts = known.withColumn("_part", divided(F.col("_t"), PART)).groupBy("series_id", "_part").agg(F.min("_t").alias("_t"), F.min_by("_v", "_t").alias("_v"))
+        following = starts.select("series_id", "_part", F.lead("_t").over(Window.partitionBy("series_id").orderBy("_part")).alias("_part_t"), F.lead("_v").over(Window.partitionBy("series_id").orderBy("_part")).alias("_part_v"))
+        spans = known.withColumn("_part", divided(F.col("_t"), PART)).withColumns({"_next_t": F.lead("_t").over(order), "_next_v": F.lead("_v").over(order)}).join(following, ["series_id", "_part"])
+        spans = spans.select("series_id", "_t", "_v", F.coalesce("_next_t", "_part_t").alias("_next_t"), F.coalesce("_next_v", "_part_v").alias("_next_v"))
+        gaps = spans.where(F.col("_next_t") > F.col("_t") + 1).withColumn("_i", F.explode(F.expr("sequence(1L, _next_t - _t - 1)")))
+        filled = gaps.select("series_id", (F.col("_t") + F.col("_i")).alias("t"), (F.col("_v") + divided((F.col("_next_v") - F.col("_v")) * F.col("_i"), F.col("_next_t") - F.col("_t"))).alias("_filled"))
+        return df.join(filled, ["series_id", "t"], "left").withColumn(value, F.coalesce(value, "_filled")).drop("_filled").where(F.col(value).isNotNull())
     if policy == "error":
         return df.withColumn(value, F.coalesce(F.col(value), F.raise_error(F.lit("a sample is null")).cast("bigint")))
-    raise ValueError("policy is error, drop or carry_forward")
+    raise ValueError("policy is error, drop, carry_forward or interpolate")

@@ -25,6 +25,39 @@ SERIES = {
 TYPED = "SELECT 'ev_val_' || event_type AS series_id, row_number() OVER (PARTITION BY event_type ORDER BY ts, event_id) - 1 AS t, CAST(round(value * 100) AS BIGINT) AS v FROM events"
 
 
+_USERS = "SELECT user_id % 8 AS u, row_number() OVER (PARTITION BY user_id % 8 ORDER BY ts, event_id) - 1 AS t, CAST(round(value * 100) AS BIGINT) AS c FROM events"
+_BY_TYPE = "SELECT event_type, row_number() OVER (PARTITION BY event_type ORDER BY ts, event_id) - 1 AS t, CAST(round(value * 100) AS BIGINT) AS c FROM events"
+_KEYED = "SELECT row_number() OVER (ORDER BY {key}) - 1 AS t, CAST(round({value} * 100) AS BIGINT) AS v FROM {table}"
+SERIES |= {
+    "part_price": _KEYED.format(key="p_partkey", value="p_retailprice", table="part"),
+    "cust_bal": _KEYED.format(key="c_custkey", value="c_acctbal", table="customer"),
+    "supp_bal": _KEYED.format(key="s_suppkey", value="s_acctbal", table="supplier"),
+}
+
+
+def concatenated(points: str) -> str:
+    """(series_id, t, v) of short series of 64 points (label, vec_id, p, v), with five interpolated points between."""
+    return f"""WITH e AS ({points}), o AS (SELECT label, vec_id, (row_number() OVER (PARTITION BY label ORDER BY vec_id) - 1) * 69 AS off FROM (SELECT DISTINCT label, vec_id FROM e)),
+  own AS (SELECT label, off + p AS t, v FROM e JOIN o USING (label, vec_id)),
+  ends AS (SELECT label, off, max(CASE WHEN p = 63 THEN v END) AS last, max(CASE WHEN p = 0 THEN v END) AS first FROM e JOIN o USING (label, vec_id) GROUP BY ALL),
+  gaps AS (SELECT a.label, a.off + 63 + i AS t, a.last + ((z.first - a.last) * i) // 6 AS v FROM ends a JOIN ends z ON z.label = a.label AND z.off = a.off + 69, (SELECT unnest(range(1, 6)) AS i))
+  SELECT label, CAST(t AS BIGINT) AS t, CAST(v AS BIGINT) AS v FROM own UNION ALL SELECT label, CAST(t AS BIGINT), CAST(v AS BIGINT) FROM gaps"""
+
+
+_EMB = "SELECT label, vec_id, i - 1 AS p, CAST(round(CAST(embedding[i] AS DOUBLE) * 1000000) AS BIGINT) AS v FROM (SELECT label, vec_id, embedding, unnest(range(1, 65)) AS i FROM embeddings)"
+_EMB_WALK = f"SELECT label, vec_id, p, sum(v) OVER (PARTITION BY vec_id ORDER BY p) AS v FROM ({_EMB})"
+#: Builders that make several series each.
+GROUPED = {
+    "ev_val_types": TYPED,
+    "ev_run_types": f"SELECT 'ev_run_' || event_type AS series_id, t, CAST(sum(c) OVER (PARTITION BY event_type ORDER BY t) AS BIGINT) AS v FROM ({_BY_TYPE})",
+    "ev_user_vals": f"SELECT 'ev_user_val_' || u AS series_id, t, c AS v FROM ({_USERS})",
+    "ev_user_runs": f"SELECT 'ev_user_run_' || u AS series_id, t, CAST(sum(c) OVER (PARTITION BY u ORDER BY t) AS BIGINT) AS v FROM ({_USERS})",
+    "emb_labels": f"SELECT 'emb_' || label AS series_id, t, v FROM ({concatenated(_EMB)})",
+    "emb_walks": f"SELECT 'emb_walk_' || label AS series_id, t, v FROM ({concatenated(_EMB_WALK)})",
+}
+CORPUS = [*SERIES, *GROUPED]
+
+
 def wrap(e: str, w: int) -> str:
     return f"(((({e}) + {1 << (w - 1)}) % {1 << w} + {1 << w}) % {1 << w} - {1 << (w - 1)})"
 
@@ -38,7 +71,8 @@ def bits(e: str) -> str:
 
 
 def raw(names: list[str]) -> str:
-    return "s AS (" + " UNION ALL ".join(f"SELECT '{n}' AS series_id, t, v FROM ({SERIES[n]})" for n in names) + ")"
+    parts = [GROUPED[n] if n in GROUPED else f"SELECT '{n}' AS series_id, t, v FROM ({SERIES[n]})" for n in names]
+    return "s AS (" + " UNION ALL ".join(f"SELECT series_id, t, v FROM ({p})" for p in parts) + ")"
 
 
 def quant(w: int, source: str = "s", out: str = "q") -> str:
@@ -58,22 +92,48 @@ def fixed(w: int, coef: str, source: str = "q", out: str = "r", more: str = "")
     return f"{out} AS (SELECT series_id, t, {more} {wrap(f'step - ((last * {coef}) >> {w})', w)} AS residual FROM ({inner}))"
 
 
-def adaptive(w: int, update: str = "block", shift: int = 1, source: str = "q", most: int | None = None) -> str:
+SEGMENT = 8192
+
+
+def cut(source: str = "q", out: str = "c", length: int = SEGMENT) -> str:
+    """CTE of series as segments that start anew, named by series and number."""
+    return f"{out} AS (SELECT series_id || '/' || (t // {length}) AS series_id, t % {length} AS t, x FROM {source})"
+
+
+_WHOLE = "split_part(series_id, '/', 1)"
+_NUMBER = "CAST(split_part(series_id, '/', 2) AS BIGINT)"
+
+
+def adaptive(w: int, update: str = "block", shift: int = 1, source: str = "q", stride: int = 2, clamp: bool = False, rounded: bool = False, case: bool = False, floor: bool = False) -> str:
     """CTE ``f``: t, residual, coef of every sample, by recursion over positions."""
-    top = 1 << (2 * w - 1)
-    limit = f"AND z.t < {most}" if most else ""
-    clip = lambda e: f"least(greatest({e}, {-top}), {top - 1})"
+    low, high = -(1 << (2 * w - 1)), (1 << (2 * w - 1)) - 1
+    if clamp:
+        low, high = -(1 << (w - 1)) << shift, (1 << w) << shift
+    clip = lambda e: f"least(greatest({e}, {low}), {high})"
+    last, n = f"i % {stride} = {stride - 1}", 8 // stride
     coef = f"gain >> {shift}" if update == "sample" else f"CASE WHEN i % 8 = 0 THEN gain >> {shift} ELSE coef END"
-    total = "(CASE WHEN i % 8 = 0 THEN 0 ELSE total END) + (CASE WHEN i % 2 = 1 THEN push ELSE 0 END)"
-    gain = clip("gain + push") if update == "sample" else f"CASE WHEN i % 8 = 7 THEN {clip('gain + (total2 // 4)')} ELSE gain END"
+    total = f"(CASE WHEN i % 8 = 0 THEN 0 ELSE total END) + (CASE WHEN {last} THEN push ELSE 0 END)"
+    mean = f"(total2 >> {n.bit_length() - 1})" if floor else f"(total2 // {n})"
+    gain = f"CASE WHEN {last} THEN {clip('gain + push')} ELSE gain END" if update == "sample" else f"CASE WHEN i % 8 = 7 THEN {clip(f'gain + {mean}')} ELSE gain END"
+    sign = "(CASE WHEN residual > 0 THEN 1 ELSE -1 END)" if case else "sign(residual)"
+    product = f"coef2 * step + {1 << (w - 1)}" if rounded else "coef2 * step"
     return f"""f(series_id, t, prev, step, gain, coef, total, residual) AS (
   SELECT DISTINCT series_id, CAST(-1 AS BIGINT), CAST(0 AS BIGINT), CAST(0 AS BIGINT), CAST(0 AS BIGINT), CAST(0 AS BIGINT), CAST(0 AS BIGINT), CAST(0 AS BIGINT) FROM {source}
   UNION ALL
   SELECT series_id, i, x, now, CAST({gain} AS BIGINT), coef2, CAST(total2 AS BIGINT), residual FROM (
-    SELECT *, {total} AS total2 FROM (SELECT *, sign(residual) * step AS push FROM (
-      SELECT *, {wrap(f'now - ((coef2 * step) >> {w})', w)} AS residual FROM (
+    SELECT *, {total} AS total2 FROM (SELECT *, {sign} * step AS push FROM (
+      SELECT *, {wrap(f'now - (({product}) >> {w})', w)} AS residual FROM (
         SELECT f.series_id, z.t AS i, z.x, f.step, f.gain, f.total, f.coef, {wrap('z.x - f.prev', w)} AS now, {coef.replace('i %', 'z.t %')} AS coef2
-        FROM f JOIN {source} z ON z.series_id = f.series_id AND z.t = f.t + 1 {limit})))))"""
+        FROM f JOIN {source} z ON z.series_id = f.series_id AND z.t = f.t + 1)))))"""
+
+
+def learnt_sizes(names: list[str], w: int, segmented: bool = False, **options) -> str:
+    """(series_id, n, enc_bytes) of the learning forecaster, of whole series or of segments."""
+    source = "c" if segmented else "q"
+    cutting = f"{cut()}, " if segmented else ""
+    name = _WHOLE if segmented else "series_id"
+    return f"""WITH RECURSIVE {prep(names, w)}, {cutting}{adaptive(w, source=source, **options)}, r AS (SELECT series_id, t, residual FROM f WHERE t >= 0), {blocks(w)}, {slots()}, {bodies(w)}
+  SELECT {name} AS series_id, CAST(sum(n) AS BIGINT) AS n, CAST(sum({_BODY}) AS BIGINT) AS enc_bytes FROM z GROUP BY ALL"""
 
 
 def blocks(w: int, source: str = "r", keys: str = "series_id", block: int = 8, out: str = "b") -> str:
@@ -103,6 +163,10 @@ def lag1_sizes(names: list[str], w: int) -> str:
     return f"{prep(names, w)}, {fixed(w, '0')}, {blocks(w)}, {slots()}, {bodies(w)}"
 
 
+def cut_lag1(names: list[str], w: int, group: int = 2) -> str:
+    return f"{prep(names, w)}, {cut()}, {fixed(w, '0', 'c')}, {blocks(w)}, {slots()}, {bodies(w, group=group)}"
+
+
 def _both_widths(body: str, tail: str) -> str:
     """A result for 8 and 16 bits, ``W`` standing for the width in ``tail``."""
     return " UNION ALL ".join(f"SELECT * FROM (WITH {body.replace('WIDTH', str(w)) if isinstance(body, str) else body(w)} {tail.replace('WIDTH', str(w))})" for w in (8, 16))
@@ -114,17 +178,30 @@ def method_sizes(names: list[str]) -> str:
     for w in (8, 16):
         for method, coef in (("lag1", "0"), ("double_delta", str(1 << w)), ("two_point_mean", str(-(1 << (w - 1))))):
             parts.append(f"SELECT * FROM (WITH {prep(names, w)}, {fixed(w, coef)}, {blocks(w)}, {slots()}, {bodies(w)} SELECT series_id AS dataset_id, '{method}' AS method, CAST({w} AS BIGINT) AS width_bits, n * {w // 8} AS raw_bytes, {_BODY} AS enc_bytes FROM z)")
+        parts.append(f"SELECT series_id AS dataset_id, 'balanced' AS method, CAST({w} AS BIGINT) AS width_bits, n * {w // 8} AS raw_bytes, enc_bytes FROM ({learnt_sizes(names, w)})")
         parts.append(f"SELECT * FROM (WITH {prep(names, w)} SELECT dataset_id, 'bp128' AS method, CAST({w} AS BIGINT) AS width_bits, CAST(sum(n) * {w // 8} AS BIGINT) AS raw_bytes, CAST(sum(CASE WHEN n = 128 THEN 1 + 16 * bits ELSE tail END) AS BIGINT) AS enc_bytes FROM ({_BP}) GROUP BY dataset_id)")
         parts.append(f"SELECT series_id AS dataset_id, 'raw' AS method, CAST({w} AS BIGINT) AS width_bits, count(*) * {w // 8} AS raw_bytes, count(*) * {w // 8} AS enc_bytes FROM (WITH {raw(names)} SELECT * FROM s) GROUP BY series_id")
     return " UNION ALL ".join(parts)
 
 
 _BP = f"SELECT series_id AS dataset_id, t // 128 AS b, count(*) AS n, {bits('bit_or(x)')} AS bits, sum(greatest(1, ({bits('x')} + 6) // 7)) AS tail FROM q GROUP BY series_id, t // 128"
-RANKED = ["ev_value", "ev_total", "ev_walk", "ev_ma64", "ev_ma64x2", "ev_ts", "ord_total", "ord_cum"]
+RANKED = CORPUS
 _RATIOS = f"ratios AS (SELECT *, raw_bytes / enc_bytes AS ratio FROM ({method_sizes(RANKED)}))"
 _RANKS = "ranked AS (SELECT *, rank() OVER (PARTITION BY dataset_id, width_bits ORDER BY ratio DESC) + (count(*) OVER (PARTITION BY dataset_id, width_bits, ratio) - 1) / 2.0 AS rk FROM ratios)"
 _MEAN = "means AS (SELECT method, width_bits, avg(rk) AS mean_rank, count(*) AS n FROM ranked GROUP BY ALL)"
-_PAIRED = "pairs AS (SELECT a.dataset_id, a.width_bits, a.ratio AS a, b.ratio AS b FROM ratios a JOIN ratios b USING (dataset_id, width_bits) WHERE a.method = 'double_delta' AND b.method = 'lag1')"
+def _paired(a: str, b: str) -> str:
+    return f"pairs AS (SELECT a.dataset_id, a.width_bits, a.ratio AS a, b.ratio AS b FROM ratios a JOIN ratios b USING (dataset_id, width_bits) WHERE a.method = '{a}' AND b.method = '{b}')"
+
+
+_SIGNED = """d AS (SELECT width_bits, round(a - b, 12) AS d FROM pairs WHERE round(a - b, 12) <> 0),
+  r AS (SELECT width_bits, d, count(*) OVER (PARTITION BY width_bits, abs(d)) AS c, rank() OVER (PARTITION BY width_bits ORDER BY abs(d)) + (count(*) OVER (PARTITION BY width_bits, abs(d)) - 1) / 2.0 AS r FROM d),
+  sums AS (SELECT width_bits, count(*) AS n, CAST(sum(CASE WHEN d > 0 THEN r ELSE 0 END) AS DOUBLE) AS plus, CAST(sum(CASE WHEN d < 0 THEN r ELSE 0 END) AS DOUBLE) AS minus, sum((c * c - 1) / 48.0) AS tie_term FROM r GROUP BY width_bits)"""
+#: Two-sided normal p of z: 1 - erf(z / sqrt(2)) by its power series, 0 beyond 6.
+_NORMAL_P = "CASE WHEN z > 6 THEN 0.0 ELSE round(1 - 2 / sqrt(pi()) * list_sum(list_transform(range(0, 120), lambda k: (CASE WHEN k % 2 = 0 THEN 1 ELSE -1 END) * exp((2 * k + 1) * ln(z / sqrt(2)) - lgamma(k + 1) - ln(2 * k + 1)))), 6) END"
+_WINS = "SELECT width_bits, count(*) FILTER (a > b) AS wins, count(*) FILTER (a = b) AS ties, count(*) FILTER (a < b) AS losses, count(*) AS n FROM pairs GROUP BY width_bits"
+_BARS = """cd AS (SELECT *, 2.850 * sqrt(6 * 7 / (6.0 * n)) AS cd FROM means),
+  runs AS (SELECT a.width_bits, a.method, a.mean_rank AS first_rank, max(b.mean_rank) AS last_rank, string_agg(b.method, ',' ORDER BY b.mean_rank, b.method) AS methods, count(*) AS size FROM cd a JOIN cd b ON a.width_bits = b.width_bits AND b.mean_rank >= a.mean_rank AND b.mean_rank - a.mean_rank <= a.cd GROUP BY ALL)
+  SELECT width_bits, round(min(first_rank), 6) AS first_rank, round(last_rank, 6) AS last_rank, arg_min(methods, first_rank) AS methods FROM runs WHERE size > 1 GROUP BY width_bits, last_rank"""
 _QUAD = f"SELECT row_number() OVER (ORDER BY {', '.join(LINE_ORDER)}) - 1 AS t, CAST(l_quantity AS BIGINT) AS c0, CAST(round(l_discount * 100) AS BIGINT) AS c1, CAST(round(l_tax * 100) AS BIGINT) AS c2, CAST(l_linenumber AS BIGINT) AS c3 FROM lineitem"
 _HOURLY = "SELECT date_trunc('hour', ts) AS hour, event_type, CAST(round(value * 100) AS BIGINT) AS c FROM events"
 TYPES = ["click", "error", "purchase", "signup", "view"]
@@ -148,18 +225,30 @@ FLOATS = (
     "SELECT 'events.value' AS name, value AS v FROM events UNION ALL SELECT 'orders.o_totalprice', o_totalprice FROM orders UNION ALL SELECT 'lineitem.l_extendedprice', l_extendedprice FROM lineitem "
     "UNION ALL SELECT 'part.p_retailprice', p_retailprice FROM part UNION ALL SELECT 'customer.c_acctbal', c_acctbal FROM customer UNION ALL SELECT 'supplier.s_acctbal', s_acctbal FROM supplier"
 )
-_EMB = "SELECT label, vec_id, i - 1 AS p, CAST(round(CAST(embedding[i] AS DOUBLE) * 1000000) AS BIGINT) AS v FROM (SELECT label, vec_id, embedding, unnest(range(1, 65)) AS i FROM embeddings)"
 _SEGMENTS = (1024, 4096, 16384, 65536)
 
+#: Variants of the learning forecaster, as options of ``adaptive``.
+LEARNING = {
+    "block, every other": {},
+    "block, every sample": {"stride": 1},
+    "sample": {"update": "sample", "stride": 1},
+    "rate 1": {"shift": 0},
+    "rate 1/4": {"shift": 2},
+    "rate 1/16": {"shift": 4},
+    "clamped": {"clamp": True},
+    "rounded product": {"rounded": True},
+    "case rule": {"case": True},
+    "floor mean": {"floor": True},
+}
 ORACLES = {
     "q01_lag1_residuals": f"WITH {prep(['ev_value'], 16)}, {fixed(16, '0')} SELECT t, residual FROM r",
     "q02_double_delta": f"WITH {prep(['ev_ma64x2'], 16)}, {fixed(16, '65536')} SELECT t, residual FROM r",
     "q03_two_point_mean": f"WITH {prep(['ev_value'], 16)}, {fixed(16, '-32768')} SELECT t, residual FROM r",
     "q04_fixed_alpha_grid": f"WITH {prep(['ev_value', 'ev_walk', 'ev_ma64x2'], 16)}, g AS (SELECT q.series_id || ':' || n AS series_id, t, x, n * 16384 AS coef FROM q, (SELECT unnest(range(-2, 5)) AS n)), {fixed(16, 'coef', 'g')} SELECT series_id, CAST(sum(abs(residual)) AS BIGINT) AS total, count(*) FILTER (residual = 0) AS zeros FROM r GROUP BY series_id",
-    "q05_adaptive_sample_residuals": f"WITH RECURSIVE s AS ({TYPED}), {quant(16)}, {adaptive(16, 'sample', most=400)} SELECT series_id, t, residual FROM f WHERE t >= 0",
-    "q06_adaptive_block_residuals": f"WITH RECURSIVE s AS ({TYPED}), {quant(16)}, {adaptive(16)} SELECT series_id, t, residual FROM f WHERE t >= 0",
-    "q07_adaptive_final_alpha": f"WITH RECURSIVE {prep(['ev_value', 'ev_walk', 'ev_ma64x2'], 16)}, {adaptive(16)}, m AS (SELECT series_id, max(t) // 8 * 8 + CASE WHEN max(t) % 8 = 7 THEN 7 ELSE -1 END AS e FROM f GROUP BY series_id) SELECT series_id, round((gain >> 1) / 65536.0, 6) AS alpha FROM f JOIN m USING (series_id) WHERE t = e",
-    "q08_adaptive_native_vs_kernel": f"WITH RECURSIVE s AS ({TYPED}), {quant(16)}, {adaptive(16, most=800)} SELECT series_id, count(*) AS n, CAST(sum(abs(residual)) AS BIGINT) AS total, CAST(0 AS BIGINT) AS mismatches FROM f WHERE t >= 0 GROUP BY series_id",
+    "q05_adaptive_sample_residuals": f"WITH RECURSIVE s AS ({TYPED}), {quant(16)}, {cut()}, {adaptive(16, 'sample', source='c', stride=1)} SELECT {_WHOLE} AS series_id, {_NUMBER} * {SEGMENT} + t AS t, residual FROM f WHERE t >= 0",
+    "q06_adaptive_block_residuals": f"WITH RECURSIVE s AS ({TYPED}), {quant(16)}, {cut()}, {adaptive(16, source='c')} SELECT {_WHOLE} AS series_id, {_NUMBER} * {SEGMENT} + t AS t, residual FROM f WHERE t >= 0",
+    "q07_adaptive_final_alpha": f"WITH RECURSIVE {prep(['ev_value', 'ev_walk', 'ev_ma64x2'], 16)}, {cut()}, {adaptive(16, source='c')}, m AS (SELECT series_id, max(t) // 8 * 8 + CASE WHEN max(t) % 8 = 7 THEN 7 ELSE -1 END AS e FROM f GROUP BY series_id) SELECT {_WHOLE} AS series_id, {_NUMBER} * {SEGMENT} AS start, round((gain >> 1) / 65536.0, 6) AS alpha FROM f JOIN m USING (series_id) WHERE t = e",
+    "q08_adaptive_native_vs_kernel": f"WITH RECURSIVE s AS ({TYPED}), {quant(16)}, {cut()}, {adaptive(16, source='c')} SELECT {_WHOLE} AS series_id, count(*) AS n, CAST(sum(abs(residual)) AS BIGINT) AS total, CAST(0 AS BIGINT) AS mismatches FROM f WHERE t >= 0 GROUP BY ALL",
     "q09_zigzag_roundtrip": f"WITH {prep(['ev_walk'], 16)}, {fixed(16, '0')} SELECT t, residual, {zig('residual')} AS z, residual AS back FROM r",
     "q10_block_widths": f"WITH {prep(UNIVARIATE, 8)}, {fixed(8, '0')}, {blocks(8)} SELECT series_id, block_id, n, CAST(bits AS BIGINT) AS bits, CAST(stored AS BIGINT) AS stored FROM b",
     "q11_stored_width_rule": "SELECT CAST(w AS BIGINT) AS width_bits, k AS bits, CASE WHEN k >= w - 1 THEN w ELSE k END AS stored, least(k, w - 1) AS code FROM (SELECT unnest([8, 16, 32])::BIGINT AS w), (SELECT unnest(range(0, 33)) AS k) WHERE k <= w",
@@ -167,8 +256,8 @@ ORACLES = {
     "q13_payload_layout_sizes": "WITH s AS (" + " UNION ALL ".join(f"SELECT 'c{j}' AS series_id, t, c{j} AS x FROM ({_QUAD})" for j in range(4)) + f"), {fixed(8, '0', 's')}, {blocks(8)}, y AS (SELECT block_id, sum(stored) AS w FROM b WHERE n = 8 GROUP BY block_id) SELECT 'column' AS layout, CAST(sum(w) AS BIGINT) AS payload_bytes FROM y UNION ALL SELECT 'row', CAST(sum((w + 7) // 8 * 8) AS BIGINT) FROM y",
     "q14_column_major_packed_bytes": f"WITH {prep(['ev_ma64x2'], 8)}, {fixed(8, '0')}, {blocks(8)}, y AS (SELECT block_id, stored, sum(CAST({zig('residual')} AS HUGEINT) << CAST((t % 8) * stored AS INTEGER)) AS v FROM r JOIN (SELECT block_id, stored FROM b WHERE n = 8) ON block_id = t // 8 GROUP BY ALL) SELECT block_id, coalesce(array_to_string(list_transform(range(0, stored), lambda i: lpad(lower(to_hex(CAST((v >> CAST(8 * i AS INTEGER)) % 256 AS BIGINT))), 2, '0')), ''), '') AS payload FROM y",
     "q15_zero_runs": f"WITH {prep(['li_day', 'ev_total'], 16)}, {fixed(16, '0')}, {blocks(16)}, {slots()} SELECT series_id, CAST(slot AS BIGINT) AS slot, first_block, n_blocks, CASE WHEN stored = 0 THEN 'run' ELSE 'data' END AS kind FROM k",
-    "q16_encoded_size_speed": " UNION ALL ".join(f"SELECT * FROM (WITH {lag1_sizes(UNIVARIATE, w)} SELECT series_id, CAST({w} AS BIGINT) AS width_bits, {_BODY} AS body_bytes FROM z)" for w in (8, 16)),
-    "q17_encoded_size_balanced": f"WITH RECURSIVE {prep(['ev_value', 'ev_walk', 'ev_ma64x2', 'ord_total'], 16)}, {adaptive(16)}, r AS (SELECT series_id, t, residual FROM f WHERE t >= 0), {blocks(16)}, {slots()}, {bodies(16)} SELECT series_id, {_BODY} AS body_bytes FROM z",
+    "q16_encoded_size_speed": " UNION ALL ".join(f"SELECT * FROM (WITH {cut_lag1(UNIVARIATE, w)} SELECT {_WHOLE} AS series_id, CAST({w} AS BIGINT) AS width_bits, CAST(sum({_BODY}) AS BIGINT) AS body_bytes FROM z GROUP BY ALL)" for w in (8, 16)),
+    "q17_encoded_size_balanced": f"SELECT series_id, enc_bytes AS body_bytes FROM ({learnt_sizes(['ev_value', 'ev_walk', 'ev_ma64x2', 'ord_total'], 16, True)})",
     "q19_roundtrip_speed": _decoded("ev_walk", 16),
     "q20_roundtrip_balanced": _decoded("ev_ma64x2", 16),
     "q21_roundtrip_ratio": _decoded("ev_total", 8),
@@ -182,7 +271,7 @@ ORACLES = {
     "q29_quantize_8": f"WITH {prep(['ev_value', 'ev_walk', 'ord_cum'], 8)} SELECT series_id, t, x FROM q",
     "q30_quantize_16": f"WITH {prep(['ev_value', 'ev_walk', 'ord_cum'], 16)} SELECT series_id, t, x FROM q",
     "q31_dequantize_error": " UNION ALL ".join(f"SELECT *, CAST({w} AS BIGINT) AS width_bits FROM ({_nmse(w, FLOATS)})" for w in (8, 16)),
-    "q32_concat_interpolated": f"WITH e AS ({_EMB}), o AS (SELECT label, vec_id, (row_number() OVER (PARTITION BY label ORDER BY vec_id) - 1) * 69 AS off FROM (SELECT DISTINCT label, vec_id FROM e)), own AS (SELECT label, off + p AS t, v FROM e JOIN o USING (label, vec_id)), ends AS (SELECT label, off, max(CASE WHEN p = 63 THEN v END) AS last, max(CASE WHEN p = 0 THEN v END) AS first FROM e JOIN o USING (label, vec_id) GROUP BY ALL), gaps AS (SELECT a.label, a.off + 63 + i AS t, a.last + ((z.first - a.last) * i) // 6 AS v FROM ends a JOIN ends z ON z.label = a.label AND z.off = a.off + 69, (SELECT unnest(range(1, 6)) AS i)) SELECT 'emb_' || label AS dataset_id, CAST(t AS BIGINT) AS t, CAST(v AS BIGINT) AS v FROM own UNION ALL SELECT 'emb_' || label, CAST(t AS BIGINT), CAST(v AS BIGINT) FROM gaps",
+    "q32_concat_interpolated": f"SELECT 'emb_' || label AS dataset_id, t, v FROM ({concatenated(_EMB)})",
     "q33_column_chunks": "WITH s AS (" + " UNION ALL ".join(f"SELECT {j} AS col, t, c{j} AS x FROM ({_QUAD})" for j in range(4)) + ") SELECT CAST(col AS BIGINT) AS col, t // 4096 AS chunk, count(*) AS n, sha256(upper(string_agg(lpad(to_hex(x), 2, '0'), '' ORDER BY t))) AS digest FROM s GROUP BY ALL",
     "q34_bp128_size": f"WITH {prep(UNIVARIATE, 16)} SELECT dataset_id AS series_id, CAST(sum(CASE WHEN n = 128 THEN 1 + 16 * bits ELSE tail END) AS BIGINT) AS enc_bytes FROM ({_BP}) GROUP BY dataset_id",
     "q35_pfor_size": f"""WITH {prep(['ev_value', 'ev_walk', 'ev_total'], 16)}, y AS (SELECT series_id, t // 128 AS b, {bits('x')} AS w FROM q), g AS (SELECT series_id, b, count(*) AS n, max(w) AS top, list(w) AS ws, sum(greatest(1, (w + 6) // 7)) AS tail FROM y GROUP BY ALL),
@@ -196,9 +285,13 @@ ORACLES = {
     "q40_ratio_boxplot": f"WITH {_RATIOS} SELECT method, width_bits, count(*) AS n, round(min(ratio), 6) AS least, round(quantile_cont(ratio, 0.25), 6) AS q1, round(quantile_cont(ratio, 0.5), 6) AS median, round(quantile_cont(ratio, 0.75), 6) AS q3, round(max(ratio), 6) AS most FROM ratios GROUP BY ALL",
     "q41_mean_ranks": f"WITH {_RATIOS}, {_RANKS}, {_MEAN} SELECT method, width_bits, round(mean_rank, 6) AS mean_rank, n FROM means",
     "q42_friedman": f"WITH {_RATIOS}, {_RANKS}, {_MEAN} SELECT width_bits, count(*) AS k, max(n) AS n, round(12.0 * max(n) / (count(*) * (count(*) + 1)) * (sum(mean_rank * mean_rank) - count(*) * (count(*) + 1) * (count(*) + 1) / 4.0), 6) AS chi2 FROM means GROUP BY width_bits",
-    "q42_nemenyi": f"WITH {_RATIOS}, {_RANKS}, {_MEAN} SELECT a.width_bits, a.method, b.method AS other, round(abs(a.mean_rank - b.mean_rank), 6) AS difference, round(2.728 * sqrt(5 * 6 / (6.0 * a.n)), 6) AS cd, abs(a.mean_rank - b.mean_rank) > 2.728 * sqrt(5 * 6 / (6.0 * a.n)) AS differ FROM means a JOIN means b ON a.width_bits = b.width_bits AND a.method < b.method",
-    "q43_wins": f"WITH {_RATIOS}, {_PAIRED} SELECT width_bits, count(*) FILTER (a > b) AS wins, count(*) FILTER (a = b) AS ties, count(*) FILTER (a < b) AS losses, count(*) AS n FROM pairs GROUP BY width_bits",
-    "q44_signed_ranks": f"WITH {_RATIOS}, {_PAIRED}, d AS (SELECT width_bits, round(a - b, 12) AS d FROM pairs WHERE round(a - b, 12) <> 0), r AS (SELECT width_bits, d, rank() OVER (PARTITION BY width_bits ORDER BY abs(d)) + (count(*) OVER (PARTITION BY width_bits, abs(d)) - 1) / 2.0 AS r FROM d) SELECT width_bits, count(*) AS n, CAST(sum(CASE WHEN d > 0 THEN r ELSE 0 END) AS DOUBLE) AS plus, CAST(sum(CASE WHEN d < 0 THEN r ELSE 0 END) AS DOUBLE) AS minus FROM r GROUP BY width_bits",
+    "q42_nemenyi": f"WITH {_RATIOS}, {_RANKS}, {_MEAN} SELECT a.width_bits, a.method, b.method AS other, round(abs(a.mean_rank - b.mean_rank), 6) AS difference, round(2.850 * sqrt(6 * 7 / (6.0 * a.n)), 6) AS cd, abs(a.mean_rank - b.mean_rank) > 2.850 * sqrt(6 * 7 / (6.0 * a.n)) AS differ FROM means a JOIN means b ON a.width_bits = b.width_bits AND a.method < b.method",
+    "q43_wins": f"WITH {_RATIOS}, {_paired('double_delta', 'lag1')} {_WINS}",
+    "q44_signed_ranks": f"WITH {_RATIOS}, {_paired('double_delta', 'lag1')}, {_SIGNED} SELECT width_bits, n, plus, minus FROM sums",
+    "q43_wins_adaptive": f"WITH {_RATIOS}, {_paired('balanced', 'lag1')} {_WINS}",
+    "q44_signed_ranks_adaptive": f"WITH {_RATIOS}, {_paired('balanced', 'lag1')}, {_SIGNED} SELECT width_bits, n, plus, minus FROM sums",
+    "q44_wilcoxon_adaptive": f"WITH {_RATIOS}, {_paired('balanced', 'lag1')}, {_SIGNED}, zs AS (SELECT width_bits, n, least(plus, minus) AS w, abs(least(plus, minus) - n * (n + 1) / 4.0) / sqrt(n * (n + 1) * (2 * n + 1) / 24.0 - tie_term) AS z FROM sums) SELECT width_bits, n, w, {_NORMAL_P} AS p FROM zs",
+    "q42_rank_groups": f"WITH {_RATIOS}, {_RANKS}, {_MEAN}, {_BARS}",
     "q45_noise_floor": " UNION ALL ".join(f"SELECT * FROM (WITH {prep(UNIVARIATE, w)}, {fixed(w, '0')} SELECT series_id, round(avg({bits(zig('residual'))}), 6) AS mean_bits, count(*) AS n, CAST({w} AS BIGINT) AS width_bits FROM r GROUP BY series_id)" for w in (8, 16)),
     "q46_bayes_error": f"WITH {prep(UNIVARIATE, 8)}, {fixed(8, '0')}, p AS (SELECT series_id, residual, lag(residual) {_BY} AS a FROM r), c AS (SELECT series_id, a, residual, count(*) AS c FROM p WHERE a BETWEEN -1 AND 1 AND residual BETWEEN -1 AND 1 GROUP BY ALL), m AS (SELECT series_id, a, max(c) AS best, sum(c) AS total FROM c GROUP BY ALL) SELECT series_id, CAST(sum(total) AS BIGINT) AS pairs, round(1 - sum(best) / sum(total), 6) AS bayes_error FROM m GROUP BY series_id",
     "q47_size_breakdown": "WITH a AS (" + " UNION ALL ".join(f"SELECT *, CAST({w} AS BIGINT) AS width_bits FROM (WITH {lag1_sizes(UNIVARIATE, w)} SELECT series_id, header_bytes, payload_bytes, run_bytes, tail_bytes, zero_blocks FROM z)" for w in (8, 16)) + ") SELECT coalesce(series_id, 'all') AS series_id, coalesce(CAST(width_bits AS VARCHAR), 'all') AS width_bits, " + ", ".join(f"CAST(sum({c}) AS BIGINT) AS {c}" for c in ("header_bytes", "payload_bytes", "run_bytes", "tail_bytes", "zero_blocks")) + " FROM a GROUP BY CUBE (series_id, width_bits)",
@@ -218,8 +311,9 @@ ORACLES = {
     "q61_ar2_fit": f"WITH {raw(['ev_value', 'ev_walk', 'ev_ma64x2'])}, d AS (SELECT series_id, t, CAST(v - lag(v) {_BY} AS DOUBLE) AS d FROM s), p AS (SELECT series_id, d, lag(d) {_BY} AS p FROM d) SELECT series_id, count(*) AS n, round(sum(d * p) / sum(p * p), 6) AS alpha, round(1 + sum(d * p) / sum(p * p), 6) AS a, round(-sum(d * p) / sum(p * p), 6) AS b FROM p WHERE d IS NOT NULL AND p IS NOT NULL GROUP BY series_id",
     "q62_prefix_reconstruct": f"WITH {prep(['ev_walk', 'ev_ma64x2'], 16)} SELECT series_id, t, x AS lag1, x AS double_delta FROM q",
     "q65_udtf_decode": _decoded("ev_walk", 16),
-    "q65_block_stats": f"WITH {prep(['li_day', 'ev_total'], 16)}, {fixed(16, '0')}, {blocks(16)}, {slots()} SELECT series_id, CAST(slot AS BIGINT) AS slot, first_block, n_blocks, CASE WHEN stored = 0 THEN 'run' ELSE 'data' END AS kind FROM k",
+    "q65_block_stats": f"WITH {prep(['li_day', 'ev_total'], 16)}, {cut()}, {fixed(16, '0', 'c')}, {blocks(16)}, {slots()} SELECT {_WHOLE} AS series_id, {_NUMBER} AS segment_id, CAST(slot AS BIGINT) AS slot, first_block, n_blocks, CASE WHEN stored = 0 THEN 'run' ELSE 'data' END AS kind FROM k",
     "q66_datasource_read": _decoded("ev_walk", 16, "t >= 2000 AND t < 4000"),
-    "q71_header_group_bytes": " UNION ALL ".join(f"SELECT * FROM (WITH {prep(RANKED, 16)}, {fixed(16, '0')}, {blocks(16)}, {slots()}, {bodies(16, group=g)} SELECT series_id, CAST({g} AS BIGINT) AS group_size, {_BODY} AS body_bytes FROM z)" for g in range(1, 9)),
+    "q71_header_group_bytes": " UNION ALL ".join(f"SELECT * FROM (WITH {cut_lag1(RANKED, 16, g)} SELECT {_WHOLE} AS series_id, CAST({g} AS BIGINT) AS group_size, CAST(sum({_BODY}) AS BIGINT) AS body_bytes FROM z GROUP BY ALL)" for g in range(1, 9)),
     "q67_huffman_kraft": "SELECT 'uniform' AS kind, CAST(2048 AS BIGINT) AS kraft_2048, CAST(8 AS BIGINT) AS longest UNION ALL SELECT 'doubling', 2048, 11 UNION ALL SELECT 'two', 2048, 1",
+    "q69_learning_ablation": " UNION ALL ".join(f"SELECT series_id, '{name}' AS variant, enc_bytes AS bytes FROM ({learnt_sizes(RANKED, 16, True, **options)})" for name, options in LEARNING.items()),
 }

@@ -22,8 +22,8 @@ from ..sources.tables import load
 from ..streaming import encoder
 
 UNIVARIATE = ["ev_value", "ev_total", "ev_walk", "ev_ma64", "ev_ma64x2", "ev_walk2", "ev_ts", "li_day", "li_qty", "ord_total", "ord_cum"]
-RANKED = ["ev_value", "ev_total", "ev_walk", "ev_ma64", "ev_ma64x2", "ev_ts", "ord_total", "ord_cum"]
-WHOLE = 1 << 40
+RANKED = list(S.UNIVARIATE)
+KERNEL = 1 << 20
 QUERIES: dict = {}
 
 
@@ -67,14 +67,33 @@ def both(make, widths=(8, 16)) -> DataFrame:
     return a
 
 
-def by_kernel(df: DataFrame, make, ddl: str) -> DataFrame:
-    """``make(series_id, x as samples x 1)`` yields rows for each series; series are cut into bounded segments by the caller."""
+def by_kernel(df: DataFrame, make, ddl: str, length: int = KERNEL) -> DataFrame:
+    """``make(series_id, start, x as samples x 1)`` yields rows for each segment of at most ``length`` samples, which starts anew."""
 
     def run(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
         x = frame.sort_values("t").x.to_numpy(np.int64).reshape(-1, 1)
-        return pd.DataFrame(list(make(key[0], x)), columns=[c.split()[0] for c in ddl.split(", ")])
+        return pd.DataFrame(list(make(key[0], int(key[1]) * length, x)), columns=[c.split()[0] for c in ddl.split(", ")])
 
-    return df.groupBy("series_id").applyInPandas(run, ddl)
+    return df.withColumn("segment", B.divided(F.col("t"), length)).groupBy("series_id", "segment").applyInPandas(run, ddl)
+
+
+def summed(parts: DataFrame, *sums: str) -> DataFrame:
+    """Sizes of segments, added up by what names them."""
+    return parts.groupBy(*[c for c in parts.columns if c not in sums]).agg(*[F.sum(c).cast("bigint").alias(c) for c in sums]).select(*parts.columns)
+
+
+def cut(series_: DataFrame, length: int = codec.SEGMENT) -> DataFrame:
+    """Series as segments that start anew: (series_id, segment_id, t within it, x)."""
+    return series_.select("series_id", B.divided(F.col("t"), length).alias("segment_id"), (F.col("t") % length).alias("t"), "x")
+
+
+SEGMENTED = ("series_id", "segment_id")
+
+
+def body_bytes(spark, d, names: list[str], kind: str, w: int, q: DataFrame | None = None) -> DataFrame:
+    """(series_id, body_bytes) of a preset in segments of the usual length."""
+    q = series(spark, d, names, w) if q is None else q
+    return codec.encode(wide(q), kind, w).groupBy("series_id").agg(F.sum("body_bytes").alias("body_bytes"))
 
 
 @query
@@ -104,13 +123,14 @@ def q04_fixed_alpha_grid(spark, d):
 
 @query
 def q05_adaptive_sample_residuals(spark, d):
-    return forecast.adaptive(typed(spark, d), 16, update="sample").select("series_id", "t", "residual")
+    out = forecast.adaptive(cut(typed(spark, d)), 16, SEGMENTED, update="sample")
+    return out.select("series_id", (F.col("segment_id") * codec.SEGMENT + F.col("t")).alias("t"), "residual")
 
 
 def _residual_rows(o: Options):
-    def make(key, x):
+    def make(key, start, x):
         padded = np.concatenate([x, np.zeros((-len(x) % 8, 1), np.int64)])
-        for t, e in enumerate(K.residuals(padded, o)[: len(x), 0].tolist()):
+        for t, e in enumerate(K.residuals(padded, o)[: len(x), 0].tolist(), start):
             yield key, t, e
 
     return make
@@ -118,21 +138,22 @@ def _residual_rows(o: Options):
 
 @query
 def q06_adaptive_block_residuals(spark, d):
-    return by_kernel(typed(spark, d), _residual_rows(Options(width_bits=16, forecaster="adaptive")), "series_id string, t bigint, residual bigint")
+    return by_kernel(typed(spark, d), _residual_rows(Options(width_bits=16, forecaster="adaptive")), "series_id string, t bigint, residual bigint", codec.SEGMENT)
 
 
 @query
 def q07_adaptive_final_alpha(spark, d):
     o = Options(width_bits=16, forecaster="adaptive")
-    out = by_kernel(series(spark, d, ["ev_value", "ev_walk", "ev_ma64x2"], 16), lambda key, x: [(key, float(K.final_gain(x, o)[0]))], "series_id string, coef double")
-    return out.select("series_id", F.round(F.col("coef") / 65536.0, 6).alias("alpha"))
+    q = series(spark, d, ["ev_value", "ev_walk", "ev_ma64x2"], 16)
+    out = by_kernel(q, lambda key, start, x: [(key, start, float(K.final_gain(x, o)[0]))], "series_id string, start bigint, coef double", codec.SEGMENT)
+    return out.select("series_id", "start", F.round(F.col("coef") / 65536.0, 6).alias("alpha"))
 
 
 @query
 def q08_adaptive_native_vs_kernel(spark, d):
     q = typed(spark, d)
-    native = forecast.adaptive(q, 16).select("series_id", "t", F.col("residual").alias("native"))
-    kernel = by_kernel(q, _residual_rows(Options(width_bits=16, forecaster="adaptive")), "series_id string, t bigint, residual bigint")
+    native = forecast.adaptive(cut(q), 16, SEGMENTED).select("series_id", (F.col("segment_id") * codec.SEGMENT + F.col("t")).alias("t"), F.col("residual").alias("native"))
+    kernel = by_kernel(q, _residual_rows(Options(width_bits=16, forecaster="adaptive")), "series_id string, t bigint, residual bigint", codec.SEGMENT)
     both_ = native.join(kernel, ["series_id", "t"], "full_outer")
     return both_.groupBy("series_id").agg(F.count(F.lit(1)).alias("n"), F.sum(F.abs("residual")).alias("total"), F.sum((~F.col("native").eqNullSafe(F.col("residual"))).cast("bigint")).alias("mismatches"))
 
@@ -182,11 +203,11 @@ def q13_payload_layout_sizes(spark, d):
 def q14_column_major_packed_bytes(spark, d):
     o = Options(width_bits=8, group=1, rle=False)
 
-    def make(_, x):
+    def make(_, start, x):
         n = len(x) // 8 * 8
         z = K.zigzag(K.residuals(x[:n], o)).reshape(-1, 8, 1)
         for b in range(len(z)):
-            yield b, K.pack(z[b : b + 1], o)[0][1:].hex()
+            yield start // 8 + b, K.pack(z[b : b + 1], o)[0][1:].hex()
 
     return by_kernel(series(spark, d, ["ev_ma64x2"], 8), make, "block_id bigint, payload string")
 
@@ -198,17 +219,17 @@ def q15_zero_runs(spark, d):
 
 @query
 def q16_encoded_size_speed(spark, d):
-    return at_both(spark, d, UNIVARIATE, lambda q, w: codec.encode(wide(q), "speed", w, segment_length=WHOLE).select("series_id", F.lit(w).cast("bigint").alias("width_bits"), "body_bytes"))
+    return at_both(spark, d, UNIVARIATE, lambda q, w: body_bytes(spark, d, [], "speed", w, q).withColumn("width_bits", F.lit(w).cast("bigint")))
 
 
 @query
 def q17_encoded_size_balanced(spark, d):
-    return codec.encode(wide(series(spark, d, ["ev_value", "ev_walk", "ev_ma64x2", "ord_total"], 16)), "balanced", 16, segment_length=WHOLE).select("series_id", "body_bytes")
+    return body_bytes(spark, d, ["ev_value", "ev_walk", "ev_ma64x2", "ord_total"], "balanced", 16)
 
 
 @query
 def q18_encoded_size_ratio(spark, d):
-    return at_both(spark, d, UNIVARIATE, lambda q, w: codec.encode(wide(q), "ratio", w, segment_length=WHOLE).select("series_id", F.lit(w).cast("bigint").alias("width_bits"), "body_bytes"))
+    return at_both(spark, d, UNIVARIATE, lambda q, w: body_bytes(spark, d, [], "ratio", w, q).withColumn("width_bits", F.lit(w).cast("bigint")))
 
 
 def _roundtrip(spark, d, name, width, kind, length=4096):
@@ -324,8 +345,8 @@ def q35_pfor_size(spark, d):
 
 @query
 def q36_simple8b_roundtrip(spark, d):
-    def make(_, x):
-        yield from enumerate(baselines.simple8b_decode(baselines.simple8b_encode(x[:, 0]), len(x)).tolist())
+    def make(_, start, x):
+        yield from enumerate(baselines.simple8b_decode(baselines.simple8b_encode(x[:, 0]), len(x)).tolist(), start)
 
     return by_kernel(series(spark, d, ["ev_ma64"], 16), make, "t bigint, x bigint")
 
@@ -333,7 +354,7 @@ def q36_simple8b_roundtrip(spark, d):
 def all_methods(df: DataFrame, width: int, level: int = 9) -> DataFrame:
     """Sizes of every codec and preset on each series, in one pass over its samples."""
 
-    def make(key, x):
+    def make(key, _, x):
         raw = x.astype(f"<u{width // 8}").tobytes()
         for name, (enc, dec) in baselines.INTEGER.items():
             yield key, name, width, len(raw), len(enc(x[:, 0]))
@@ -342,7 +363,8 @@ def all_methods(df: DataFrame, width: int, level: int = 9) -> DataFrame:
         for name in ("speed", "balanced", "ratio", "speed_huffman"):
             yield key, name, width, len(raw), len(codec.pack_many([x], preset(name, width))[0][0])
 
-    return by_kernel(df, make, "dataset_id string, method string, width_bits bigint, raw_bytes bigint, enc_bytes bigint")
+    parts = by_kernel(df, make, "dataset_id string, method string, width_bits bigint, raw_bytes bigint, enc_bytes bigint")
+    return summed(parts, "raw_bytes", "enc_bytes")
 
 
 @query
@@ -355,18 +377,32 @@ def q38_byte_entropy(spark, d):
     return M.byte_entropy(series(spark, d, UNIVARIATE, 8), ("series_id",)).select("series_id", "bytes", *r6("entropy_bits"))
 
 
+def coefficients(w: int) -> dict[str, int]:
+    """Fixed coefficients times 2^w of the forecasters without a state."""
+    return {"lag1": 0, "double_delta": 1 << w, "two_point_mean": -(1 << (w - 1))}
+
+
+def fixed_sizes(q: DataFrame, w: int) -> DataFrame:
+    """(series_id, method, enc_bytes) of the fixed forecasters: one pass over the samples, methods apart from the blocks on."""
+    stepped = forecast.steps(q, w).withColumn("block_id", B.divided(F.col("t"), 8))
+    ored = [F.bit_or(B.zigzag(forecast.of_coefficient(stepped, w, c))).alias(m) for m, c in coefficients(w).items()]
+    each = stepped.groupBy("series_id", "block_id").agg(F.count(F.lit(1)).alias("n"), *ored)
+    each = each.select("series_id", "block_id", "n", F.explode(F.array(*[F.struct(F.lit(m).alias("method"), F.col(m).alias("ored")) for m in coefficients(w)])).alias("m"))
+    stats = each.select("series_id", "m.method", "block_id", "n", B.bit_width(F.col("m.ored")).alias("bits"))
+    stats = stats.withColumn("stored", B.stored_width(F.col("bits"), w))
+    return blocks.sizes_of_stats(stats, Options(width_bits=w), ("series_id", "method")).select("series_id", "method", F.col("body_bytes").alias("enc_bytes"))
+
+
 def sized(spark, d) -> DataFrame:
-    """Sizes of the methods that need no kernel, as a table in the shared folder."""
+    """Sizes of the methods that SQL can size too, on the whole univariate corpus, as a table in the shared folder."""
 
     def make(q, w):
         raw = q.groupBy(F.col("series_id").alias("dataset_id")).agg((F.count(F.lit(1)) * (w // 8)).alias("raw_bytes"))
-        coefs = F.array(*[F.struct(F.lit(name).alias("method"), F.lit(c).cast("bigint").alias("coef")) for name, c in (("lag1", 0), ("double_delta", 1 << w), ("two_point_mean", -(1 << (w - 1))))])
-        each = q.withColumn("m", F.explode(coefs)).select("series_id", "t", "x", "m.method", "m.coef")
-        keys = ("series_id", "method")
-        ours = blocks.body_sizes(forecast.fixed(each, w, F.col("coef"), keys), Options(width_bits=w), keys).select(F.col("series_id").alias("dataset_id"), "method", F.col("body_bytes").alias("enc_bytes"))
+        ours = fixed_sizes(q, w).withColumnRenamed("series_id", "dataset_id")
+        learnt = summed(by_kernel(q, lambda key, _, x: [(key, "balanced", len(codec.pack_many([x], preset("balanced", w))[0][0]))], "dataset_id string, method string, enc_bytes bigint"), "enc_bytes")
         packed = baselines.bp128_sizes(q).select(F.col("series_id").alias("dataset_id"), F.lit("bp128").alias("method"), "enc_bytes")
         plain = raw.select("dataset_id", F.lit("raw").alias("method"), F.col("raw_bytes").alias("enc_bytes"))
-        return ours.unionByName(packed).unionByName(plain).join(raw, "dataset_id").select("dataset_id", "method", F.lit(w).cast("bigint").alias("width_bits"), "raw_bytes", "enc_bytes")
+        return ours.unionByName(learnt).unionByName(packed).unionByName(plain).join(raw, "dataset_id").select("dataset_id", "method", F.lit(w).cast("bigint").alias("width_bits"), "raw_bytes", "enc_bytes")
 
     made, path = at_both(spark, d, RANKED, make), fresh(spark, "sizes")
     made.write.parquet(path)
@@ -408,10 +444,24 @@ def q44_signed_ranks(spark, d):
     return M.signed_ranks(M.paired(sized(spark, d), "double_delta", "lag1")).select("width_bits", "n", "plus", "minus")
 
 
+@query
+def q43_wins_adaptive(spark, d):
+    return M.win_count(M.paired(sized(spark, d), "balanced", "lag1"))
+
+
+@query
+def q44_signed_ranks_adaptive(spark, d):
+    return M.signed_ranks(M.paired(sized(spark, d), "balanced", "lag1")).select("width_bits", "n", "plus", "minus")
+
+
 @query
 def q44_wilcoxon_adaptive(spark, d):
-    sizes = at_both(spark, d, RANKED, all_methods)
-    return M.wilcoxon(M.paired(sizes, "balanced", "speed"))
+    return M.wilcoxon(M.paired(sized(spark, d), "balanced", "lag1"), exact_up_to=0).select("width_bits", "n", "w", *r6("p"))
+
+
+@query
+def q42_rank_groups(spark, d):
+    return M.rank_groups(M.compression_ratio(sized(spark, d))).select("width_bits", *r6("first_rank", "last_rank"), "methods")
 
 
 def compared(spark, d) -> DataFrame:
@@ -448,13 +498,8 @@ def q42_nemenyi_ten(spark, d):
 
 
 @query
-def q43_wins_adaptive(spark, d):
-    return M.win_count(M.paired(compared(spark, d), "balanced", "speed"))
-
-
-@query
-def q44_signed_ranks_adaptive(spark, d):
-    return M.signed_ranks(M.paired(compared(spark, d), "balanced", "speed")).select("width_bits", "n", "plus", "minus")
+def q42_rank_groups_ten(spark, d):
+    return M.rank_groups(M.compression_ratio(compared(spark, d))).select("width_bits", *r6("first_rank", "last_rank"), "methods")
 
 
 @query
@@ -602,10 +647,9 @@ def q65_udtf_decode(spark, d):
 
 @query
 def q65_block_stats(spark, d):
-    segments = codec.encode(wide(series(spark, d, ["li_day", "ev_total"], 16)), "speed", 16, segment_length=WHOLE)
-    s = codec.block_stats(segments)
-    first = F.sum("n_blocks").over(Window.partitionBy("series_id").orderBy("slot").rowsBetween(Window.unboundedPreceding, -1))
-    return s.select("series_id", "slot", F.coalesce(first, F.lit(0)).cast("bigint").alias("first_block"), "n_blocks", "kind")
+    s = codec.block_stats(codec.encode(wide(series(spark, d, ["li_day", "ev_total"], 16)), "speed", 16))
+    first = F.sum("n_blocks").over(Window.partitionBy("series_id", "segment_id").orderBy("slot").rowsBetween(Window.unboundedPreceding, -1))
+    return s.select("series_id", "segment_id", "slot", F.coalesce(first, F.lit(0)).cast("bigint").alias("first_block"), "n_blocks", "kind")
 
 
 @query
@@ -633,14 +677,14 @@ def q67_huffman_kraft(spark, d):
 def q68_entropy_ablation(spark, d):
     """Bytes without an entropy stage, with one after packing, one before, and the order-0 bound after packing."""
 
-    def make(key, x):
+    def make(key, _, x):
         for name, o in (("none", preset("balanced", 16)), ("after", preset("ratio", 16)), ("before", preset("ratio", 16, entropy_order="before"))):
             yield key, name, len(codec.pack_many([x], o)[0][0])
         body = np.frombuffer(codec.pack_many([x], preset("balanced", 16))[0][0], np.uint8)
         p = np.bincount(body) / max(len(body), 1)
         yield key, "bound", int(np.ceil(-(p[p > 0] * np.log2(p[p > 0])).sum() * len(body) / 8))
 
-    return by_kernel(series(spark, d, RANKED, 16), make, "series_id string, stage string, bytes bigint")
+    return summed(by_kernel(series(spark, d, RANKED, 16), make, "series_id string, stage string, bytes bigint"), "bytes")
 
 
 LEARNING = {
@@ -659,35 +703,36 @@ LEARNING = {
 
 @query
 def q69_learning_ablation(spark, d):
-    def make(key, x):
+    def make(key, _, x):
         for name, change in LEARNING.items():
             yield key, name, len(codec.pack_many([x], preset("balanced", 16, **change))[0][0])
 
-    return by_kernel(series(spark, d, RANKED, 16), make, "series_id string, variant string, bytes bigint")
+    return summed(by_kernel(series(spark, d, RANKED, 16), make, "series_id string, variant string, bytes bigint", codec.SEGMENT), "bytes")
 
 
 @query
 def q70_buffer_ablation(spark, d):
     """General codecs on buffers of 1, 10 and 64 KB and on all, and how long a buffer takes to fill at 20 Hz."""
 
-    def make(key, x):
+    def make(key, _, x):
         raw = x.astype("<u2").tobytes()
-        for size in (1000, 10_000, 64_000, len(raw)):
+        for size in (1000, 10_000, 64_000, 2 * KERNEL):
             for name in baselines.GENERAL:
-                yield key, name, size, sum(len(baselines.general_encode(name, raw[i : i + size])) for i in range(0, len(raw), size)), models.fill_seconds(size, 1, 16, 20.0)
+                yield key, name, size, sum(len(baselines.general_encode(name, raw[i : i + size])) for i in range(0, len(raw), size))
 
-    return by_kernel(series(spark, d, RANKED, 16), make, "series_id string, method string, buffer_bytes bigint, enc_bytes bigint, fill_seconds double")
+    made = summed(by_kernel(series(spark, d, RANKED, 16), make, "series_id string, method string, buffer_bytes bigint, enc_bytes bigint"), "enc_bytes")
+    return made.withColumn("fill_seconds", F.col("buffer_bytes") / (2 * 20.0))
 
 
 @query
 def q71_header_group_bytes(spark, d):
     q = series(spark, d, RANKED, 16)
 
-    def make(key, x):
+    def make(key, _, x):
         for g in range(1, 9):
             yield key, g, len(codec.pack_many([x], preset("speed", 16, group=g))[0][0])
 
-    return by_kernel(q, make, "series_id string, group_size bigint, body_bytes bigint")
+    return summed(by_kernel(q, make, "series_id string, group_size bigint, body_bytes bigint", codec.SEGMENT), "body_bytes")
 
 
 @query

@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.bits import divided
@@ -25,7 +25,7 @@ def cents(column: str) -> Column:
 
 def _events(spark: SparkSession, sf_dir: str, sums: dict[str, Column] | None = None) -> DataFrame:
     e = load(spark, sf_dir, "events").select("event_id", "ts", "event_type", "user_id", cents("value").alias("c"))
-    return positions(e, F.to_date("ts"), ["ts", "event_id"], (), sums)
+    return positions(e, F.unix_date(F.to_date("ts")), ["ts", "event_id"], (), sums, F.unix_micros(F.col("ts").cast("timestamp")) % 86_400_000_000)
 
 
 def _named(df: DataFrame, name: str, v: Column | str = "v") -> DataFrame:
@@ -70,15 +70,19 @@ def ev_ts(spark, d):
 
 
 def li_day(spark, d):
-    days = load(spark, d, "lineitem").select(F.unix_date(F.to_date("l_shipdate")).cast("bigint").alias("v"))
-    return _named(positions(days, F.col("v"), ["v"]), "li_day")
+    days = load(spark, d, "lineitem").select(F.unix_date(F.to_date("l_shipdate")).cast("bigint").alias("v"), F.col("l_orderkey").cast("bigint").alias("k"))
+    return _named(positions(days, F.col("v"), ["v"], fine=F.col("k")), "li_day")
 
 
 LINE_ORDER = ["l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus"]
 
 
+def _lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return positions(load(spark, sf_dir, "lineitem"), F.unix_date(F.to_date("l_shipdate")), LINE_ORDER, fine=F.col("l_orderkey").cast("bigint"))
+
+
 def li_qty(spark, d):
-    return _named(positions(load(spark, d, "lineitem"), F.to_date("l_shipdate"), LINE_ORDER), "li_qty", "l_quantity")
+    return _named(_lines(spark, d), "li_qty", "l_quantity")
 
 
 def ord_total(spark, d):
@@ -88,7 +92,7 @@ def ord_total(spark, d):
 
 def ord_cum(spark, d):
     o = load(spark, d, "orders").select("o_orderdate", "o_orderkey", cents("o_totalprice").alias("c"))
-    return _named(positions(o, F.to_date("o_orderdate"), ["o_orderdate", "o_orderkey"], (), {"run": F.col("c")}), "ord_cum", "run")
+    return _named(positions(o, F.unix_date(F.to_date("o_orderdate")), ["o_orderdate", "o_orderkey"], (), {"run": F.col("c")}, F.unix_micros(F.col("o_orderdate").cast("timestamp")) % 86_400_000_000), "ord_cum", "run")
 
 
 def _keyed(table: str, key: str, value: str, name: str):
@@ -102,11 +106,37 @@ def _keyed(table: str, key: str, value: str, name: str):
 def ev_types(spark, d, running: bool):
     """A series for each event type: values, or their running sums."""
     e = load(spark, d, "events").select("event_id", "ts", "event_type", cents("value").alias("c"))
-    p = positions(e, F.to_date("ts"), ["ts", "event_id"], ("event_type",), {"run": F.col("c")})
+    p = positions(e, F.unix_date(F.to_date("ts")), ["ts", "event_id"], ("event_type",), {"run": F.col("c")}, F.unix_micros(F.col("ts").cast("timestamp")) % 86_400_000_000)
     name = F.concat(F.lit("ev_run_" if running else "ev_val_"), "event_type")
     return p.select(name.alias("series_id"), "t", F.col("run" if running else "c").cast("bigint").alias("v"))
 
 
+USERS = 8
+
+
+def ev_users(spark, d, running: bool):
+    """A series for each group of users (id modulo ``USERS``): values, or their running sums."""
+    e = load(spark, d, "events").select("event_id", "ts", (F.col("user_id") % USERS).alias("u"), cents("value").alias("c"))
+    p = positions(e, F.unix_date(F.to_date("ts")), ["ts", "event_id"], ("u",), {"run": F.col("c")}, F.unix_micros(F.col("ts").cast("timestamp")) % 86_400_000_000)
+    name = F.concat(F.lit("ev_user_run_" if running else "ev_user_val_"), F.col("u").cast("string"))
+    return p.select(name.alias("series_id"), "t", F.col("run" if running else "c").cast("bigint").alias("v"))
+
+
+def text_bytes(spark, d, docs_to_a_part: int = 64) -> DataFrame:
+    """(series_id, segment_id, t, x): UTF-8 bytes of documents by language, and of pages, in the order of their ids.
+
+    A segment holds the bytes of ``docs_to_a_part`` texts, so no position needs a sum over the table; this is data that repeats itself.
+    """
+    docs = load(spark, d, "documents").select(F.concat(F.lit("doc_bytes_"), "lang").alias("series_id"), F.col("doc_id").cast("bigint").alias("k"), F.encode("text", "UTF-8").alias("b"))
+    pages = load(spark, d, "pages").select(F.lit("page_bytes").alias("series_id"), F.col("page_id").cast("bigint").alias("k"), F.encode("html", "UTF-8").alias("b"))
+    texts = docs.unionByName(pages).where("length(b) > 0").withColumn("segment_id", divided(F.col("k"), docs_to_a_part))
+    order = Window.partitionBy("series_id", "segment_id").orderBy("k").rowsBetween(Window.unboundedPreceding, -1)
+    placed = texts.withColumn("start", F.coalesce(F.sum(F.length("b")).over(order), F.lit(0)))
+    return placed.select("series_id", "segment_id", "start", F.expr("posexplode(split(rtrim(regexp_replace(hex(b), '(..)', '$1 ')), ' '))").alias("i", "h")).select(
+        "series_id", "segment_id", (F.col("start") + F.col("i")).cast("bigint").alias("t"), F.conv("h", 16, 10).cast("bigint").alias("x")
+    )
+
+
 def emb_parts(spark, d, walk: bool) -> DataFrame:
     """(dataset_id, part_id, t, v): each vector is one short series, in millionths."""
     e = load(spark, d, "embeddings").select(F.concat(F.lit("emb_walk_" if walk else "emb_"), F.col("label").cast("string")).alias("dataset_id"), F.col("vec_id").cast("bigint").alias("part_id"), F.transform("embedding", lambda x: F.round(x.cast("double") * 1000000).cast("bigint")).alias("a"))
@@ -136,6 +166,8 @@ UNIVARIATE: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "supp_bal": _keyed("supplier", "s_suppkey", "s_acctbal", "supp_bal"),
     "ev_val_types": lambda s, d: ev_types(s, d, False),
     "ev_run_types": lambda s, d: ev_types(s, d, True),
+    "ev_user_vals": lambda s, d: ev_users(s, d, False),
+    "ev_user_runs": lambda s, d: ev_users(s, d, True),
     "emb_labels": lambda s, d: emb_series(s, d, False),
     "emb_walks": lambda s, d: emb_series(s, d, True),
 }
@@ -220,8 +252,7 @@ def wide18(spark, d, width: int):
 
 def li_quad(spark, d, width: int = 8):
     """Four small columns, at the limit of the column-major layout."""
-    p = positions(load(spark, d, "lineitem"), F.to_date("l_shipdate"), LINE_ORDER)
-    return p.select(F.lit("li_quad").alias("series_id"), "t", F.array(F.col("l_quantity").cast("bigint"), cents("l_discount"), cents("l_tax"), F.col("l_linenumber").cast("bigint")).alias("x"))
+    return _lines(spark, d).select(F.lit("li_quad").alias("series_id"), "t", F.array(F.col("l_quantity").cast("bigint"), cents("l_discount"), cents("l_tax"), F.col("l_linenumber").cast("bigint")).alias("x"))
 
 
 def ev_pivot5(spark, d, width: int):
