@@ -58,3 +58,20 @@ def advise(series: DataFrame, width: int = 16) -> DataFrame:
     zero = block.groupBy("series_id").agg(F.avg((F.col("o") == 0).cast("double")).alias("zero_share"))
     advice = F.when((F.col("zero_share") > 0.5) | (F.col("levels") < 64), "general").when(F.col("roughness") < 1.5, "adaptive").otherwise("lag1")
     return whole.join(zero, "series_id").select("series_id", "n", "levels", "zero_share", "roughness", advice.alias("advice"))
+
+
+def every_nth_run(series: DataFrame, nth: int, length: int) -> DataFrame:
+    """A systematic sample: every ``nth`` run of ``length`` samples of each series, with positions closed up."""
+    run = divided(F.col("t"), length)
+    return series.where(run % nth == 0).withColumn("t", divided(run, nth) * length + F.col("t") % length)
+
+
+def top(df: DataFrame, keys: list[str], by: list[str], tie: str, n: int) -> DataFrame:
+    """The ``n`` rows of each key with the greatest ``by`` (the least ``tie`` first among equals), with their ``place`` from 1.
+
+    Rows are cut to ``n`` for each key and salt before those of a key meet, so one key's rows never lie in one task.
+    """
+    order = [F.desc(c) for c in by] + [F.asc(tie)]
+    salted = df.withColumn("_salt", F.pmod(F.xxhash64(tie), F.lit(64)))
+    local = salted.withColumn("place", F.row_number().over(Window.partitionBy(*keys, "_salt").orderBy(*order))).where(F.col("place") <= n).drop("_salt")
+    return local.withColumn("place", F.row_number().over(Window.partitionBy(*keys).orderBy(*order)).cast("bigint")).where(F.col("place") <= n)

@@ -30,6 +30,17 @@ FORMAT = 1
 OPTIONS = "struct<width_bits:int,forecaster:string,entropy:string,block:int,group:int,layout:string,signed:boolean,coef_num:bigint,rate_shift:int,update:string,grad_stride:int,zero_rule:string,mean_rounding:string,clamp:boolean,round_product:boolean,rle:boolean,entropy_order:string>"
 SCHEMA = f"series_id string, segment_id bigint, t_start bigint, n_samples int, dims int, raw_bytes bigint, body_bytes bigint, n_slots int, col_min array<bigint>, col_max array<bigint>, col_sum array<decimal(38,0)>, crc bigint, format_version int, options {OPTIONS}, body binary"
 
+_TEXT, _INT, _LONG, _LONGS, _FLAG = pa.string(), pa.int32(), pa.int64(), pa.list_(pa.int64()), pa.bool_()
+_OPTION_KINDS = [
+    *(("width_bits", _INT), ("forecaster", _TEXT), ("entropy", _TEXT), ("block", _INT), ("group", _INT), ("layout", _TEXT), ("signed", _FLAG), ("coef_num", _LONG)),
+    *(("rate_shift", _INT), ("update", _TEXT), ("grad_stride", _INT), ("zero_rule", _TEXT), ("mean_rounding", _TEXT), ("clamp", _FLAG), ("round_product", _FLAG), ("rle", _FLAG), ("entropy_order", _TEXT)),
+]
+#: ``SCHEMA`` as Arrow has it, for places without a Spark session.
+KINDS = pa.schema([
+    *(("series_id", _TEXT), ("segment_id", _LONG), ("t_start", _LONG), ("n_samples", _INT), ("dims", _INT), ("raw_bytes", _LONG), ("body_bytes", _LONG), ("n_slots", _INT)),
+    *(("col_min", _LONGS), ("col_max", _LONGS), ("col_sum", pa.list_(pa.decimal128(38, 0))), ("crc", _LONG), ("format_version", _INT), ("options", pa.struct(_OPTION_KINDS)), ("body", pa.binary())),
+])
+
 
 def pack_segment(x: np.ndarray, z: np.ndarray, o: Options) -> tuple[bytes, int]:
     """Body and number of slots of one segment: packed blocks, raw tail, entropy stage."""
@@ -111,7 +122,7 @@ def segmented(series: DataFrame, length: int = SEGMENT) -> DataFrame:
     return series if "segment_id" in series.columns else series.withColumn("segment_id", divided(F.col("t"), length))
 
 
-def _emit(names: list[tuple[str, int, int]], samples: list[np.ndarray], o: Options, kinds: pa.Schema) -> pa.RecordBatch:
+def _emit(names: list[tuple[str, int, int]], samples: list[np.ndarray], o: Options) -> pa.RecordBatch:
     made = pack_many(samples, o)
     w = o.width_bits // 8
     columns = {
@@ -131,7 +142,7 @@ def _emit(names: list[tuple[str, int, int]], samples: list[np.ndarray], o: Optio
         "options": [o.as_dict()] * len(names),
         "body": [b for b, _ in made],
     }
-    return pa.RecordBatch.from_arrays([pa.array(columns[f.name], f.type) for f in kinds], schema=kinds)
+    return pa.RecordBatch.from_arrays([pa.array(columns[f.name], f.type) for f in KINDS], schema=KINDS)
 
 
 def arrow_schema(ddl: str) -> pa.Schema:
@@ -141,63 +152,79 @@ def arrow_schema(ddl: str) -> pa.Schema:
     return to_arrow_schema(StructType.fromDDL(ddl))
 
 
+def segment_batches(batches: Iterator[pa.RecordBatch], o: Options) -> Iterator[pa.RecordBatch]:
+    """Segment rows of batches (series_id, segment_id, t, x) whose segments lie together and in order."""
+    names, done, held = [], [], 0
+    open_key, open_t, parts = None, 0, []
+
+    def close() -> None:
+        nonlocal held
+        if open_key is not None:
+            names.append((*open_key, open_t))
+            done.append(np.concatenate(parts))
+            held += done[-1].size
+
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        lists = batch.column("x")
+        lengths = np.diff(lists.offsets.to_numpy())
+        flat = lists.flatten()
+        if lists.null_count or flat.null_count:
+            raise ValueError("x has nulls; choose a null policy first")
+        flat, base = flat.to_numpy(), np.concatenate([[0], np.cumsum(lengths)])
+        ids, segments, ts = batch.column("series_id"), batch.column("segment_id").to_numpy(), batch.column("t").to_numpy()
+        codes = ids.dictionary_encode().indices.to_numpy(zero_copy_only=False)
+        cuts = np.concatenate([[0], np.flatnonzero((np.diff(codes) != 0) | (np.diff(segments) != 0)) + 1, [len(ts)]])
+        for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+            if (lengths[a:b] != lengths[a]).any() or not lengths[a]:
+                raise ValueError("the number of columns changes within a segment")
+            key = (ids[int(a)].as_py(), int(segments[a]))
+            part = flat[base[a] : base[b]].reshape(b - a, -1)
+            if key != open_key:
+                close()
+                if held >= BATCH_VALUES:
+                    yield _emit(names, done, o)
+                    names, done, held = [], [], 0
+                open_key, open_t, parts = key, int(ts[a]), []
+            elif part.shape[1] != parts[0].shape[1]:
+                raise ValueError("the number of columns changes within a segment")
+            parts.append(part)
+    close()
+    if names:
+        yield _emit(names, done, o)
+
+
 def encode(series: DataFrame, options: Options | str = "balanced", width_bits: int = 16, segment_length: int = SEGMENT, arranged: bool = False, **changes) -> DataFrame:
     """Segments of ``(series_id, t, x)``.  ``arranged``: rows already are together and in order within partitions."""
     o = preset(options, width_bits, **changes) if isinstance(options, str) else options
     rows = segmented(series, segment_length).select(F.col("series_id").cast("string").alias("series_id"), F.col("segment_id").cast("bigint").alias("segment_id"), F.col("t").cast("bigint").alias("t"), F.col("x").cast("array<bigint>").alias("x"))
     if not arranged:
         rows = rows.repartition("series_id", "segment_id").sortWithinPartitions("series_id", "segment_id", "t")
-    kinds = arrow_schema(SCHEMA)
+    return rows.mapInArrow(lambda batches: segment_batches(batches, o), SCHEMA)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names, done, held = [], [], 0
-        open_key, open_t, parts = None, 0, []
 
-        def close() -> None:
-            nonlocal held
-            if open_key is not None:
-                names.append((*open_key, open_t))
-                done.append(np.concatenate(parts))
-                held += done[-1].size
+def check(row: dict) -> None:
+    """Refuses a segment of another format version or with a damaged body."""
+    if row["format_version"] != FORMAT:
+        raise ValueError(f"unknown format version {row['format_version']}")
+    if zlib.crc32(row["body"]) != row["crc"]:
+        raise ValueError(f"segment {row['series_id']}/{row['segment_id']} is damaged")
 
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            lists = batch.column("x")
-            lengths = np.diff(lists.offsets.to_numpy())
-            flat = lists.flatten()
-            if lists.null_count or flat.null_count:
-                raise ValueError("x has nulls; choose a null policy first")
-            flat, base = flat.to_numpy(), np.concatenate([[0], np.cumsum(lengths)])
-            ids, segments, ts = batch.column("series_id"), batch.column("segment_id").to_numpy(), batch.column("t").to_numpy()
-            codes = ids.dictionary_encode().indices.to_numpy(zero_copy_only=False)
-            cuts = np.concatenate([[0], np.flatnonzero((np.diff(codes) != 0) | (np.diff(segments) != 0)) + 1, [len(ts)]])
-            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-                if (lengths[a:b] != lengths[a]).any() or not lengths[a]:
-                    raise ValueError("the number of columns changes within a segment")
-                key = (ids[int(a)].as_py(), int(segments[a]))
-                part = flat[base[a] : base[b]].reshape(b - a, -1)
-                if key != open_key:
-                    close()
-                    if held >= BATCH_VALUES:
-                        yield _emit(names, done, o, kinds)
-                        names, done, held = [], [], 0
-                    open_key, open_t, parts = key, int(ts[a]), []
-                elif part.shape[1] != parts[0].shape[1]:
-                    raise ValueError("the number of columns changes within a segment")
-                parts.append(part)
-        close()
-        if names:
-            yield _emit(names, done, o, kinds)
-
-    return rows.mapInArrow(run, SCHEMA)
+
+def sample_batch(row: dict, x: np.ndarray, first: int = 0) -> pa.RecordBatch:
+    """(series_id, t, x) of a segment's samples from its ``first`` on."""
+    flat = pa.array(np.ascontiguousarray(x).reshape(-1))
+    lists = pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1, dtype=np.int32) * x.shape[1]), flat)
+    kinds = [pa.array([row["series_id"]] * len(x), pa.string()), pa.array(np.arange(len(x)) + row["t_start"] + first), lists.cast(pa.list_(pa.int64()))]
+    return pa.RecordBatch.from_arrays(kinds, ["series_id", "t", "x"])
 
 
 def _options(row: dict) -> Options:
     return Options(**row)
 
 
-def decode(segments: DataFrame, t0: int | None = None, t1: int | None = None, columns: list[int] | None = None, check: bool = True) -> DataFrame:
+def decode(segments: DataFrame, t0: int | None = None, t1: int | None = None, columns: list[int] | None = None, checked: bool = True) -> DataFrame:
     """(series_id, t, x) with t0 <= t < t1 of the segments; segments outside the range are not read, columns not asked for not returned.
 
     The predicates on ``t_start`` reach the Parquet scan when the segments come from files.
@@ -206,8 +233,6 @@ def decode(segments: DataFrame, t0: int | None = None, t1: int | None = None, co
         segments = segments.where(F.col("t_start") < t1)
     if t0 is not None:
         segments = segments.where(F.col("t_start") + F.col("n_samples") > t0)
-    kinds = arrow_schema("series_id string, t bigint, x array<bigint>")
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             rows, at = batch.to_pylist(), 0
@@ -217,45 +242,43 @@ def decode(segments: DataFrame, t0: int | None = None, t1: int | None = None, co
                     held += rows[stop]["n_samples"] * rows[stop]["dims"]
                     stop += 1
                 part = rows[at:stop]
-                for r in part:
-                    if r["format_version"] != FORMAT:
-                        raise ValueError(f"unknown format version {r['format_version']}")
-                    if check and zlib.crc32(r["body"]) != r["crc"]:
-                        raise ValueError(f"segment {r['series_id']}/{r['segment_id']} is damaged")
+                for r in part if checked else ():
+                    check(r)
                 made = unpack_many([(r["body"], r["n_slots"], r["n_samples"], r["dims"]) for r in part], _options(o))
                 for r, x in zip(part, made, strict=True):
                     a = max(0, (t0 or 0) - r["t_start"]) if t0 is not None else 0
                     b = len(x) if t1 is None else min(len(x), t1 - r["t_start"])
                     x = x[a:b] if columns is None else x[a:b, columns]
-                    if not len(x):
-                        continue
-                    lists = pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1, dtype=np.int32) * x.shape[1]), pa.array(np.ascontiguousarray(x).reshape(-1)))
-                    yield pa.RecordBatch.from_arrays([pa.array([r["series_id"]] * len(x), pa.string()), pa.array(np.arange(len(x)) + r["t_start"] + a), lists.cast(kinds.field("x").type)], schema=kinds)
+                    if len(x):
+                        yield sample_batch(r, x, a)
                 at = stop
 
     needed = ["series_id", "segment_id", "t_start", "n_samples", "dims", "n_slots", "crc", "format_version", "options", "body"]
     return segments.select(*needed).mapInArrow(run, "series_id string, t bigint, x array<bigint>")
 
 
+STATS = "series_id string, segment_id bigint, slot bigint, kind string, n_blocks bigint, widths array<bigint>, payload_bytes bigint"
+STATS_KINDS = pa.schema([("series_id", pa.string()), ("segment_id", pa.int64()), ("slot", pa.int64()), ("kind", pa.string()), ("n_blocks", pa.int64()), ("widths", pa.list_(pa.int64())), ("payload_bytes", pa.int64())])
+
+
+def slot_batch(row: dict) -> pa.RecordBatch:
+    """A row for each slot of a segment, in the columns of ``STATS``."""
+    o = _options(row["options"])
+    body = huffman.decode(row["body"]) if o.entropy == "huffman" else row["body"]
+    widths, runs, _, _ = K.parse_slots(body, row["n_slots"], row["dims"], o)
+    n, is_run = len(runs), runs > 0
+    size = np.where(is_run, [len(K.varint(int(k))) for k in runs], K.payload_sizes(widths, o) if n else 0)
+    columns = ([row["series_id"]] * n, [row["segment_id"]] * n, range(n), np.where(is_run, "run", "data").tolist(), np.where(is_run, runs, 1), widths.tolist(), size)
+    return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, STATS_KINDS, strict=True)], schema=STATS_KINDS)
+
+
 def block_stats(segments: DataFrame) -> DataFrame:
     """(series_id, segment_id, slot, kind, n_blocks, widths, payload_bytes) of each slot, from headers alone."""
-    ddl = "series_id string, segment_id bigint, slot bigint, kind string, n_blocks bigint, widths array<bigint>, payload_bytes bigint"
-
-    kinds = arrow_schema(ddl)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for r in batch.to_pylist():
-                o = _options(r["options"])
-                body = huffman.decode(r["body"]) if o.entropy == "huffman" else r["body"]
-                widths, runs, _, _ = K.parse_slots(body, r["n_slots"], r["dims"], o)
-                n, is_run = len(runs), runs > 0
-                size = np.where(is_run, [len(K.varint(int(k))) for k in runs], K.payload_sizes(widths, o) if n else 0)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(c, f.type) for c, f in zip(([r["series_id"]] * n, [r["segment_id"]] * n, range(n), np.where(is_run, "run", "data").tolist(), np.where(is_run, runs, 1), widths.tolist(), size), kinds, strict=True)], schema=kinds
-                )
-
-    return segments.select("series_id", "segment_id", "n_slots", "dims", "options", "body").mapInArrow(run, ddl)
+        return (slot_batch(r) for batch in batches for r in batch.to_pylist())
+
+    return segments.select("series_id", "segment_id", "n_slots", "dims", "options", "body").mapInArrow(run, STATS)
 
 
 def compressed_aggregate(segments: DataFrame) -> DataFrame:

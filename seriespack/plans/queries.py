@@ -42,6 +42,13 @@ def values(spark: SparkSession, d: str, names: list[str]) -> DataFrame:
     return spark.read.schema(made.schema).parquet(path)
 
 
+def fresh_table(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
+    """``df`` written to the shared folder and read back."""
+    path = fresh(spark, name)
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def series(spark: SparkSession, d: str, names: list[str], width: int) -> DataFrame:
     return Q.quantize(values(spark, d, names), width).select("series_id", "t", "x")
 
@@ -767,46 +774,6 @@ def q72_speed_by_columns(spark, d):
     return grid.mapInPandas(run, "method string, width_bits bigint, dims bigint, encode_mb_s double, decode_mb_s double, forecast_mb_s double, reconstruct_mb_s double, ratio double")
 
 
-def _wide_methods(spark, d, names: list[str], width: int) -> DataFrame:
-    """Sizes and rates of presets and general codecs on wide datasets; general codecs see columns, one after the other."""
-    made = None
-    for n in names:
-        x = S.WIDE[n](spark, d, width)
-        made = x if made is None else made.unionByName(x)
-    path = fresh(spark, "wide")
-    made.write.parquet(path)
-    rows = spark.read.schema(made.schema).parquet(path)
-
-    def run(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
-        import time
-
-        x, out = np.stack(frame.sort_values("t").x.to_numpy()).astype(np.int64), []
-        raw = np.ascontiguousarray(x.T).astype(f"<u{width // 8}").tobytes()
-        for name in ("speed", "balanced", "ratio"):
-            o = preset(name, width)
-            made = codec.pack_many([x], o)
-            t0 = time.perf_counter()
-            codec.unpack_many([(*made[0], len(x), x.shape[1])], o)
-            out.append((key[0], name, width, len(raw), len(made[0][0]), len(raw) / 1e6 / (time.perf_counter() - t0)))
-        for name in baselines.GENERAL:
-            packed = baselines.general_encode(name, raw)
-            t0 = time.perf_counter()
-            baselines.general_decode(name, packed, len(raw))
-            out.append((key[0], name, width, len(raw), len(packed), len(raw) / 1e6 / (time.perf_counter() - t0)))
-        return pd.DataFrame(out, columns=["dataset_id", "method", "width_bits", "raw_bytes", "enc_bytes", "speed"])
-
-    return rows.groupBy("series_id").applyInPandas(run, "dataset_id string, method string, width_bits bigint, raw_bytes bigint, enc_bytes bigint, speed double")
-
-
-@query
-def q48_pareto_wide(spark, d):
-    """Where it wins and where it loses: ratio against decoding rate, and who is on the front."""
-    sizes = _wide_methods(spark, d, ["wide18", "state3", "state2"], 16).withColumn("ratio", F.col("raw_bytes") / F.col("enc_bytes"))
-    path = fresh(spark, "pareto")
-    sizes.write.parquet(path)
-    return M.pareto(spark.read.schema(sizes.schema).parquet(path))
-
-
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The flagship: the wide dataset and a running total, encoded for ratio, decoded, compared."""
     return wide_roundtrip(spark, sf_dir, "wide18")

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from ..functions.bits import divided
 from ..operators.ordering import moving_sum, positions
 from ..operators.relayout import concat_series
+from .shared import fresh
 from .tables import load
 
 TYPES = ["click", "error", "purchase", "signup", "view"]
@@ -23,9 +24,25 @@ def cents(column: str) -> Column:
     return F.round(F.col(column) * 100).cast("bigint")
 
 
-def _events(spark: SparkSession, sf_dir: str, sums: dict[str, Column] | None = None) -> DataFrame:
+def kept(df: DataFrame, name: str) -> DataFrame:
+    """``df`` as a table in the shared folder, where a plan would otherwise compute it many times over."""
+    spark = df.sparkSession
+    path = fresh(spark, name)
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
+_DAY_MICROS = 86_400_000_000
+#: While ``corpus`` builds several series of events: the one table (position and running sum of each event) that they share.
+_shared_events: dict[str, DataFrame] = {}
+
+
+def _events(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events with cents ``c``, position ``t`` and the running sum ``run`` of cents."""
+    if sf_dir in _shared_events:
+        return _shared_events[sf_dir]
     e = load(spark, sf_dir, "events").select("event_id", "ts", "event_type", "user_id", cents("value").alias("c"))
-    return positions(e, F.unix_date(F.to_date("ts")), ["ts", "event_id"], (), sums, F.unix_micros(F.col("ts").cast("timestamp")) % 86_400_000_000)
+    return positions(e, F.unix_date(F.to_date("ts")), ["ts", "event_id"], (), {"run": F.col("c")}, F.unix_micros(F.col("ts").cast("timestamp")) % _DAY_MICROS)
 
 
 def _named(df: DataFrame, name: str, v: Column | str = "v") -> DataFrame:
@@ -42,15 +59,15 @@ def ev_value(spark, d):
 
 
 def ev_total(spark, d):
-    return _named(_events(spark, d, {"run": F.col("c")}), "ev_total", "run")
+    return _named(_events(spark, d), "ev_total", "run")
 
 
 def ev_walk(spark, d):
-    return _named(_events(spark, d, {"run": F.col("c") - 5000}), "ev_walk", "run")
+    return _named(_events(spark, d), "ev_walk", F.col("run") - 5000 * (F.col("t") + 1))
 
 
 def ev_ma64(spark, d):
-    return _named(moving_sum(_events(spark, d, {"run": F.col("c")}), "run", 64), "ev_ma64")
+    return _named(moving_sum(_events(spark, d), "run", 64), "ev_ma64")
 
 
 def ev_ma64x2(spark, d):
@@ -173,9 +190,18 @@ UNIVARIATE: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 
+OF_EVENTS = ("ev_value", "ev_total", "ev_walk", "ev_ma64", "ev_ma64x2", "ev_walk2", "ev_ts")
+
+
 def corpus(spark: SparkSession, sf_dir: str, names: list[str] | None = None) -> DataFrame:
     """All univariate datasets (or those builders) in one table."""
-    made = [UNIVARIATE[n](spark, sf_dir) for n in names or UNIVARIATE]
+    names = names or list(UNIVARIATE)
+    if sum(n in OF_EVENTS for n in names) > 1:
+        _shared_events[sf_dir] = kept(_events(spark, sf_dir), "events")
+    try:
+        made = [UNIVARIATE[n](spark, sf_dir) for n in names]
+    finally:
+        _shared_events.pop(sf_dir, None)
     out = made[0]
     for m in made[1:]:
         out = out.unionByName(m)
@@ -210,11 +236,11 @@ def _event_grid(spark: SparkSession, sf_dir: str, users: int, types: list[str],
     filled = e.groupBy("b").agg(*sums)
     span = e.agg(F.min("b").alias("lo"), F.max("b").alias("hi")).select(F.explode(F.sequence("lo", "hi")).alias("b"), "lo")
     grid = span.join(filled, "b", "left").fillna(0, columns)
-    return grid.withColumn("t", F.col("b") - F.col("lo")).drop("b", "lo"), columns
+    return kept(grid.withColumn("t", F.col("b") - F.col("lo")).drop("b", "lo"), "grid"), columns
 
 
 def _smoothed(df: DataFrame, columns: list[str], size: int) -> DataFrame:
-    p = positions(df.withColumnRenamed("t", "_old"), divided(F.col("_old"), 1024), ["_old"], (), {f"r_{c}": F.col(c) for c in columns}).drop("_old")
+    p = kept(positions(df.withColumnRenamed("t", "_old"), divided(F.col("_old"), 1024), ["_old"], (), {f"r_{c}": F.col(c) for c in columns}).drop("_old"), "running")
     earlier = p.select((F.col("t") + size).alias("t"), *[F.col(f"r_{c}").alias(f"e_{c}") for c in columns])
     out = p.join(earlier, "t", "left").where(F.col("t") >= size - 1)
     return out.select((F.col("t") - (size - 1)).alias("t"), *[(F.col(f"r_{c}") - F.coalesce(f"e_{c}", F.lit(0))).alias(c) for c in columns])
@@ -247,7 +273,7 @@ def wide18(spark, d, width: int):
     daily = li.groupBy("day").agg(*[F.coalesce(F.sum(F.when((F.col("l_returnflag") == f) & (F.col("l_linestatus") == s), cents(m))), F.lit(0)).alias(c) for c, (f, s, m) in zip(columns, WIDE18, strict=True)])
     p = positions(daily, F.trunc("day", "year"), ["day"], (), {f"r_{c}": F.col(c) for c in columns})
     sums = [f"r_{c}" for c in columns]
-    return _array(_quantized_columns(p.select("t", *sums), sums, width, True), "wide18", sums)
+    return _array(_quantized_columns(kept(p.select("t", *sums), "running"), sums, width, True), "wide18", sums)
 
 
 def li_quad(spark, d, width: int = 8):

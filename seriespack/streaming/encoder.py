@@ -23,31 +23,54 @@ OUTPUT = "kind string, series_id string, t_start bigint, n_samples int, n_slots
 STATE = "next_t bigint, newest bigint, pending array<bigint>"
 
 
-def encode_stream(samples: DataFrame, o: Options, segment: int = 1024, hold: bool = False) -> DataFrame:
+def encode_stream(samples: DataFrame, o: Options, segment: int = 1024, hold: bool = False, idle_seconds: int | None = None, keep_seconds: int | None = None) -> DataFrame:
     """Rows ``segment`` and ``late`` of a stream (series_id, ts timestamp, tie bigint, v bigint).
 
-    ``hold`` keeps an unfinished segment for later batches; without it each batch ends with a short one,
-    so nothing waits longer than a trigger.
+    ``hold`` keeps an unfinished segment for later batches; without it each batch ends with a short one, so nothing waits
+    longer than a trigger.  With ``idle_seconds`` (and a watermark on ``ts``) a held segment is sealed as it is once the
+    watermark is that much beyond the series' newest sample.  With ``keep_seconds`` the state of a series that long without
+    samples is dropped after that; should it come back, its positions go on from 0 and rows are not late by what was before.
     """
+    timed = idle_seconds is not None or keep_seconds is not None
 
     def advance(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         next_t, newest, pending = state.get if state.exists else (0, -(1 << 62), [])
-        rows = pd.concat(list(frames)).sort_values(["us", "tie"])
-        late = rows[rows.us < newest]
-        taken = rows[rows.us >= newest]
-        values = np.array([*pending, *taken.v.tolist()], np.int64)
-        out = [("late", key[0], int(next_t), 0, 0, 0, b"", int(v)) for v in late.v]
-        whole = len(values) // segment * segment if hold else len(values)
-        for a in range(0, whole, segment):
-            part = values[a : min(a + segment, whole)].reshape(-1, 1)
-            (body, slots), *_ = pack_many([part], o)
-            out.append(("segment", key[0], int(next_t), len(part), slots, zlib.crc32(body), body, None))
-            next_t += len(part)
-        state.update((int(next_t), int(max(newest, taken.us.max() if len(taken) else newest)), [int(v) for v in values[whole:]]))
+        out = []
+
+        def seal(values: np.ndarray) -> None:
+            nonlocal next_t
+            (body, slots), *_ = pack_many([values.reshape(-1, 1)], o)
+            out.append(("segment", key[0], int(next_t), len(values), slots, zlib.crc32(body), body, None))
+            next_t += len(values)
+
+        def remember(values: list[int]) -> None:
+            state.update((int(next_t), int(newest), values))
+            waits = [s for s in (idle_seconds if values else None, keep_seconds) if s is not None]
+            if timed and waits:
+                state.setTimeoutTimestamp(int(max(newest // 1000 + min(waits) * 1000, state.getCurrentWatermarkMs() + 1)))
+
+        if timed and state.hasTimedOut:
+            if len(pending):
+                seal(np.array(pending, np.int64))
+            if keep_seconds is not None and state.getCurrentWatermarkMs() >= newest // 1000 + keep_seconds * 1000:
+                state.remove()
+            else:
+                remember([])
+        else:
+            rows = pd.concat(list(frames)).sort_values(["us", "tie"])
+            late, taken = rows[rows.us < newest], rows[rows.us >= newest]
+            values = np.array([*pending, *taken.v.tolist()], np.int64)
+            out += [("late", key[0], int(next_t), 0, 0, 0, b"", int(v)) for v in late.v]
+            whole = len(values) // segment * segment if hold else len(values)
+            for a in range(0, whole, segment):
+                seal(values[a : min(a + segment, whole)])
+            newest = max(newest, taken.us.max() if len(taken) else newest)
+            remember([int(v) for v in values[whole:]])
         yield pd.DataFrame(out, columns=["kind", "series_id", "t_start", "n_samples", "n_slots", "crc", "body", "late_value"]).astype({"late_value": "Int64"})
 
-    rows = samples.select("series_id", F.unix_micros("ts").alias("us"), F.col("tie").cast("bigint").alias("tie"), F.col("v").cast("bigint").alias("v"))
-    return rows.groupBy("series_id").applyInPandasWithState(advance, OUTPUT, STATE, "append", GroupStateTimeout.NoTimeout)
+    rows = samples.select("series_id", "ts", F.unix_micros("ts").alias("us"), F.col("tie").cast("bigint").alias("tie"), F.col("v").cast("bigint").alias("v"))
+    timeout = GroupStateTimeout.EventTimeTimeout if timed else GroupStateTimeout.NoTimeout
+    return rows.groupBy("series_id").applyInPandasWithState(advance, OUTPUT, STATE, "append", timeout)
 
 
 def as_segments(encoded: DataFrame, o: Options) -> DataFrame:
@@ -63,6 +86,12 @@ def windowed(samples: DataFrame, size: str = "1 day", lateness: str = "1 hour")
     return out.select(F.unix_seconds("window.start").alias("start"), "series_id", F.col("total").cast("bigint").alias("total"), "n")
 
 
+def sessions(samples: DataFrame, gap: str = "30 minutes", lateness: str = "1 hour") -> DataFrame:
+    """Sums and counts of sessions: samples of a series less than ``gap`` apart; each out once when the watermark has passed its end."""
+    out = samples.withWatermark("ts", lateness).groupBy(F.session_window("ts", gap), "series_id").agg(F.sum("v").alias("total"), F.count(F.lit(1)).alias("n"))
+    return out.select(F.unix_micros("session_window.start").alias("start"), F.unix_micros("session_window.end").alias("end"), "series_id", F.col("total").cast("bigint").alias("total"), "n")
+
+
 def replay(spark, path: str, schema, transform, sink: str, checkpoint: str) -> None:
     """Runs all that is there now of a file stream through ``transform`` into a Parquet sink."""
     source = spark.readStream.schema(schema).parquet(path)
