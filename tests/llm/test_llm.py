@@ -276,3 +276,168 @@ def test_pipeline_stages(spark, small):
         docs = out
     assert seen[1] < seen[0] and not any(r.contaminated for r in decontam.report(docs, queries.table(spark, small, "benchmark")).collect())
     assert p.run(spark, small).count() == seen[-1]
+
+
+def test_rule_versions_are_scanned_apart(spark):
+    path = store.new_path(spark, "ledger-rules")
+    docs = spark.createDataFrame([("a", "token=abcdefgh1 ghp_" + "Zx" * 18), ("b", "none")], "path string, text string")
+    of = lambda rules: {r.path: [tuple(s) for s in r.spans] for r in secrets.scan(docs, path, rules=rules).collect()}
+    base = [("assign", 0, 15)]
+    assert of(secrets.BASE) == {"a": base, "b": []} and spark.read.parquet(path).count() == 2
+    assert of(secrets.EXTENDED) == {"a": [*base, ("hosted", 16, 56)], "b": []} and spark.read.parquet(path).count() == 4
+    own = secrets.Rules("own-1", (secrets.Rule("word", "none"),))
+    assert of(own) == {"a": [], "b": [("word", 0, 4)]} and of(secrets.BASE)["a"] == base
+    assert spark.read.parquet(path).count() == 6
+    r = secrets.report(docs.withColumnRenamed("path", "doc_id"), path, secrets.EXTENDED).where("doc_id = 'a'").first()
+    assert (r.n_assign, r.n_access, r.n_hex, r.base_sha256, r.spans) == (1, 0, 0, secrets.digest(base), "assign:0:15,hosted:16:56")
+
+
+def test_columns_with_the_operators_names_pass(spark, labels):
+    taken = ["_p_toxic", "_Severity", "_hit_words", "_hit_items", "_n_words", "_kept", "_row", "_n", "_domain", "_lang", "_source", "_epochs", "_cut", "_place", "_times", "_epoch", "_score", "rid", "shingles"]
+    rows = [(i, t, "en", "s", *[f"{c}{i}" for c in taken]) for i, t in enumerate(["a b c d e f", "a b c d e f", "x y z", None])]
+    docs = spark.createDataFrame(rows, ", ".join(["doc_id bigint", "text string", "lang string", "source string", *[f"`{c}` string" for c in taken]]))
+    bench = spark.createDataFrame([("i", "x y z")], "item_id string, text string")
+    everything = {r[0]: tuple(r) for r in rows}
+    for made, ids in (
+        (toxicity.keep_civil(docs, labels), [0, 1, 2, 3]),
+        (neardup.deduplicate(docs), [0, 2, 3]),
+        (decontam.decontaminate(docs, bench), [0, 1, 3]),
+        (mixing.mix(docs, share=(1, 1), max_epochs=1), [0, 1, 2, 3]),
+    ):
+        assert made.columns == docs.columns
+        assert sorted(map(tuple, made.collect())) == [everything[i] for i in ids]
+    assert [r.text for r in decontam.decontaminate(docs, bench, "spans").orderBy("doc_id").collect()] == ["a b c d e f", "a b c d e f", "", None]
+
+
+def test_classifiers_take_text_ids(spark):
+    docs = spark.createDataFrame([(f"id-{i}", "fine words here" if i % 2 else "awful words here") for i in range(40)], "doc_id string, text string")
+    known = docs.select("doc_id", (F.col("text") == "fine words here").cast("int").alias("quality"), (F.col("text") != "fine words here").cast("int").alias("toxic"))
+    assert {(r.toxic, int(r.doc_id[3:]) % 2) for r in toxicity.report(docs, known).collect()} == {(True, 0), (False, 1)}
+    assert {(r.predicted, int(r.doc_id[3:]) % 2) for r in quality.report(docs, known).collect()} == {(0, 0), (1, 1)}
+
+
+def test_training_sample_is_bounded(spark):
+    from seriespack.llm.labelled import fitted
+
+    row = lambda i: (f"d{i}", 1, np.arange(10, dtype="<i4").tobytes(), np.ones(10, "<f4").tobytes())
+    rows = spark.createDataFrame([row(i % 7) for i in range(50)], "doc_id string, label int, indexes binary, values binary")
+    size = lambda *bounds: fitted(rows, lambda found: {"n": len(found)}, *bounds)["n"]
+    assert (size(100, 10**6), size(20, 10**6), size(100, 95)) == (50, 20, 10)
+
+
+def test_ordinal_fit_against_a_dense_one():
+    rng = np.random.default_rng(2)
+    rows = []
+    for i in range(60):
+        at = np.flatnonzero(rng.random(12) < 0.35).astype(np.int32)
+        rows.append((str(i), int(at[:1].sum() in (0, 1, 2) and len(at) > 0), at, np.ones(len(at), np.float32)))
+    known = np.arange(12, dtype=np.int32)
+    of = (known, np.full(12, 99.0), np.arange(12) < 4)
+    model = toxicity.OrdinalModel().weigh(rows, of, 0.0, steps=40)
+    y = toxicity.grades(rows, known[:4])
+    w, first, gaps, gw, gt = np.zeros(12), 1.0, [0.0, 0.0], np.full(12, 1e-8), np.full(3, 1e-8)
+    x = np.zeros((60, 12))
+    for i, r in enumerate(rows):
+        x[i, r[2]] = 1
+    sigmoid = lambda v: 1 / (1 + np.exp(-v))
+
+    def loss(w, first, gaps):
+        total = 0.0
+        cuts = [first, first + np.exp(gaps[0]), first + np.exp(gaps[0]) + np.exp(gaps[1])]
+        for i in range(60):
+            above = [1.0, *[sigmoid(x[i] @ w - c) for c in cuts], 0.0]
+            total -= np.log(max(above[y[i]] - above[y[i] + 1], 1e-9))
+        return total / 60 + toxicity.L2 * (w @ w) / 2 / 60
+
+    for _ in range(40):
+        theta = np.array([*w, first, *gaps])
+        slope = np.array([(loss(*_split(theta + d)) - loss(*_split(theta - d))) / 2e-6 for d in np.eye(15) * 1e-6])
+        gw += slope[:12] ** 2
+        gt += slope[12:] ** 2
+        w, t = w - 0.5 * slope[:12] / np.sqrt(gw), theta[12:] - 0.5 * slope[12:] / np.sqrt(gt)
+        first, gaps = t[0], list(t[1:])
+    assert np.allclose(model.w, w, atol=2e-3) and np.allclose([model.first, *model.gaps], [first, *gaps], atol=2e-3)
+
+
+def _split(theta):
+    return theta[:12], theta[12], theta[13:]
+
+
+def test_leader_against_a_dictionary():
+    rng = np.random.default_rng(4)
+    model, z, n = quality.FollowTheLeader(bits=6), {}, {}
+    weight = lambda i: 0.0 if abs(z.get(i, 0.0)) <= 0.05 else -(z[i] - np.sign(z[i]) * 0.05) / ((1.0 + n[i] ** 0.5) / 0.3 + 0.5)
+    for _ in range(200):
+        at = rng.choice(64, 8, replace=False).astype(np.int32)
+        x, y = rng.random(8).astype(np.float32), int(rng.random() < 0.4)
+        model.learn(at, x, y)
+        pairs = [*zip(at.tolist(), x.astype(float).tolist(), strict=True), (64, 1.0)]
+        w = {i: weight(i) for i, _ in pairs}
+        g0 = 1 / (1 + np.exp(-sum(w[i] * v for i, v in pairs))) - y
+        for i, v in pairs:
+            g, before = g0 * v, n.get(i, 0.0)
+            s = ((before + g * g) ** 0.5 - before**0.5) / 0.3
+            z[i], n[i] = z.get(i, 0.0) + g - s * w[i], before + g * g
+    assert np.allclose(model.weights(), [weight(i) for i in range(65)], atol=1e-6)
+
+
+def test_media_are_stored(spark, edges):
+    table = media.stored(edges)
+    assert table.inputFiles() and all(f.endswith(".parquet") for f in table.inputFiles())
+    assert {r.doc_id: r.n_bytes for r in table.collect()} == {r.doc_id: len((r.text or "").encode()) for r in edges.collect()}
+
+
+def _brute_pipeline(rows, items, duck):
+    """What stays of (doc_id, text, lang, source) without toxic labels: groups by union, windows by lists, the mix by SQL."""
+    import pandas as pd
+
+    hashes = WordHashes()
+    sets = [set(shingle_set(hashes.of(space_words((t or "").encode()))).tolist()) for _, t, *_ in rows]
+    root = list(range(len(rows)))
+    for i in range(len(rows)):
+        for j in range(i):
+            both = len(sets[i] & sets[j])
+            if both and 100 * both >= 75 * (len(sets[i]) + len(sets[j]) - both):
+                root = [min(root[i], root[j]) if r in (root[i], root[j]) else r for r in root]
+    first = {}
+    for i, (doc_id, *_) in sorted(enumerate(rows), key=lambda r: (r[1][0] is None, r[1][0] or 0)):
+        first.setdefault(root[i], i)
+    left = [r for i, r in enumerate(rows) if first[root[i]] == i]
+    words = lambda t: decontam.alnum_words((t or "").encode())
+    windows = {tuple(w[i : i + min(10, len(w))]) for t in items if (w := words(t)) for i in range(len(w) - min(10, len(w)) + 1)}
+    clean = lambda t: not any(tuple(words(t)[i : i + len(g)]) == g for g in windows for i in range(len(words(t))))
+    docs = pd.DataFrame([r for r in left if clean(r[1])], columns=["doc_id", "text", "lang", "source"]).astype({"doc_id": "Int64"})
+    duck.register("stage_docs", docs)
+    sql = oracles.mixing_sql("stage_docs", (8, 10), 1, mixing.SEED, mixing.LANG_WEIGHTS, mixing.DOMAINS)
+    return {r[0] for r in duck.execute(f"WITH {sql} SELECT doc_id FROM mixed WHERE epochs + CASE WHEN more > 0 THEN 1 ELSE 0 END > 0").fetchall()}, docs
+
+
+def test_pipeline_against_brute_force(spark, tmp_path):
+    import duckdb
+    from tokenizers import Tokenizer
+
+    import corpus_pipeline as p
+
+    rng = np.random.default_rng(8)
+    base = [f"w{i}" for i in range(40)]
+    texts = [*TEXTS, " ".join(base), " ".join([*base, "tail"]), "has one two three four five six seven eight nine ten inside"]
+    texts += [" ".join(f"u{x}" for x in rng.integers(0, 10**6, rng.integers(1, 30))) for _ in range(40)]
+    rows = [(i, t, ["en", "fr", None][i % 3], f"src{i % 4}") for i, t in enumerate(texts)] + [(None, "no id at all", "en", None)]
+    items = ["one two three four five six seven eight nine ten", "", None]
+    schema = "doc_id bigint, text string, lang string, source string"
+    spark.createDataFrame(rows, schema).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame(list(enumerate(items)), "item_id bigint, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    spark.createDataFrame([(0, 1, 0), (5, 1, 0)], "doc_id bigint, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    want, docs = _brute_pipeline(rows, items, duckdb.connect())
+    tokenizer, at = Tokenizer.from_file(queries.tokenizer_path()), 0
+    got = p.run(spark, str(tmp_path)).orderBy(F.col("doc_id").asc_nulls_first()).collect()
+    assert {r.doc_id for r in got} == want and len(got) == len(want)
+    text_of = {r[0]: r[1] for r in rows}
+    for r in got:
+        ids = [*tokenizer.encode(text_of[r.doc_id] or "", add_special_tokens=False).ids, 2]
+        assert (r.start, r.n_tokens, r.ids_crc32) == (at, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
+        at += len(ids)
+    empty = f"{tmp_path}/empty"
+    for name in ("documents", "benchmark", "labels"):
+        spark.read.parquet(f"{tmp_path}/{name}.parquet").limit(0).write.parquet(f"{empty}/{name}.parquet")
+    assert p.run(spark, empty).count() == 0
