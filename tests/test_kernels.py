@@ -118,3 +118,11 @@ def test_presets_and_refusals():
         Options(width_bits=32, forecaster="adaptive")
     with pytest.raises(ValueError):
         Options(width_bits=12)
+
+
+def test_what_the_package_offers_is_there():
+    import seriespack
+
+    assert all(callable(getattr(seriespack, name)) for name in seriespack.__all__)
+    with pytest.raises(AttributeError):
+        seriespack.nothing
