@@ -39,12 +39,10 @@ def best_of(reps: int, *steps: Callable) -> list[list[float]]:
     return [list(column) for column in zip(*rounds, strict=True)]
 
 
-def wide_sets(spark: SparkSession, d: str, names: tuple[str, ...], width: int) -> DataFrame:
-    made = None
-    for n in names:
-        x = S.WIDE[n](spark, d, width)
-        made = x if made is None else made.unionByName(x)
-    return fresh_table(spark, made, "wide")
+def wide_both(spark: SparkSession, d: str, names: tuple[str, ...], make: Callable) -> DataFrame:
+    """``make(wide datasets at w bits, w)`` for 8 and 16 bits, over columns that are built once."""
+    columns = S.wide_columns(spark, d, names)
+    return both(lambda w: make(fresh_table(spark, S.at_width(columns, w), "wide"), w))
 
 
 def _compare(width: int):
@@ -75,12 +73,12 @@ def q48_pareto_wide(spark, d):
     """Where it wins and where it loses: ratio against decoding rate at both widths, and who is on the front."""
     ddl = "dataset_id string, method string, width_bits bigint, raw_bytes bigint, enc_bytes bigint, encode_ns bigint, decode_ns bigint"
 
-    def make(w):
-        cut = wide_sets(spark, d, WIDE_SETS, w).withColumn("segment", B.divided(F.col("t"), 1 << 14))
+    def make(x, w):
+        cut = x.withColumn("segment", B.divided(F.col("t"), 1 << 14))
         return summed(cut.groupBy("series_id", "segment").applyInPandas(_compare(w), ddl), "raw_bytes", "enc_bytes", "encode_ns", "decode_ns")
 
     rate = lambda c: F.col("raw_bytes") * 1000.0 / F.col(c)
-    points = fresh_table(spark, both(make), "pareto").withColumns({"ratio": F.col("raw_bytes") / F.col("enc_bytes"), "encode_mb_s": rate("encode_ns"), "speed": rate("decode_ns")})
+    points = fresh_table(spark, wide_both(spark, d, WIDE_SETS, make), "pareto").withColumns({"ratio": F.col("raw_bytes") / F.col("enc_bytes"), "encode_mb_s": rate("encode_ns"), "speed": rate("decode_ns")})
     return M.pareto(points.drop("encode_ns", "decode_ns"))
 
 
@@ -107,19 +105,18 @@ def q73_lossless_univariate(spark, d):
 
 @query
 def q73_lossless_wide(spark, d):
-    return both(lambda w: lossless(wide_sets(spark, d, tuple(S.WIDE), w), w))
+    return wide_both(spark, d, tuple(S.WIDE), lossless)
 
 
 @query
 def q74_wide_sizes(spark, d):
     """Bytes of the presets without an entropy stage on wide datasets, in segments of the usual length."""
 
-    def make(w):
-        x = wide_sets(spark, d, ("wide18", "state3", "state2", "wide80", "stair80"), w)
+    def make(x, w):
         parts = [codec.encode(x, p, w).groupBy("series_id").agg(F.sum("raw_bytes").alias("raw_bytes"), F.sum("body_bytes").alias("body_bytes")).select("series_id", F.lit(p).alias("preset"), F.lit(w).cast("bigint").alias("width_bits"), "raw_bytes", "body_bytes") for p in ("speed", "balanced")]
         return parts[0].unionByName(parts[1])
 
-    return both(make)
+    return wide_both(spark, d, ("wide18", "state3", "state2", "wide80", "stair80"), make)
 
 
 @query

@@ -7,6 +7,7 @@ numbers (cents, days, microseconds) before any sum.
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import cache, reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -223,13 +224,13 @@ def _quantized_columns(df: DataFrame, columns: list[str], width: int, per_column
     return out.select("t", *[divided((F.col(c) - F.col(f"lo_{c}")) * top, F.greatest(F.col(f"hi_{c}") - F.col(f"lo_{c}"), F.lit(1))).alias(c) for c in columns])
 
 
-def _event_grid(spark: SparkSession, sf_dir: str, users: int, types: list[str], seconds: int) -> tuple[DataFrame, list[str]]:
+def _event_grid(spark: SparkSession, sf_dir: str, users: int, types: tuple[str, ...], seconds: int) -> tuple[DataFrame, list[str]]:
     """Cents by user group and type in buckets from the first to the last, empty ones 0; columns are listed, not found."""
     e = load(spark, sf_dir, "events").select(F.unix_seconds(F.col("ts").cast("timestamp")).alias("s"), (F.col("user_id") % users).alias("u"), "event_type", cents("value").alias("c"))
     e = e.withColumn("b", divided(F.col("s"), seconds))
     columns, sums = [], []
     for u in range(users):
-        for k in types or [None]:
+        for k in types or (None,):
             columns.append(f"c{len(columns)}")
             of = (F.col("u") == u) if k is None else (F.col("u") == u) & (F.col("event_type") == k)
             sums.append(F.coalesce(F.sum(F.when(of, F.col("c"))), F.lit(0)).alias(columns[-1]))
@@ -246,74 +247,95 @@ def _smoothed(df: DataFrame, columns: list[str], size: int) -> DataFrame:
     return out.select((F.col("t") - (size - 1)).alias("t"), *[(F.col(f"r_{c}") - F.coalesce(f"e_{c}", F.lit(0))).alias(c) for c in columns])
 
 
-def wide80(spark, d, width: int):
-    grid, columns = _event_grid(spark, d, 16, TYPES, 600)
-    return _array(_quantized_columns(_smoothed(_smoothed(grid, columns, 144), columns, 144), columns, width, True), "wide80", columns)
+#: Columns before they are quantized: the table (t and columns), the columns, and whether each has bounds of its own (None: left as they are).
+Columns = tuple[DataFrame, list[str], bool | None]
 
 
-def wide31(spark, d, width: int):
-    grid, columns = _event_grid(spark, d, 31, [], 600)
-    return _array(_quantized_columns(_smoothed(_smoothed(grid, columns, 144), columns, 144), columns, width, True), "wide31", columns)
+def _wide80(spark, d, grid) -> Columns:
+    rows, columns = grid(16, tuple(TYPES), 600)
+    return _smoothed(_smoothed(rows, columns, 144), columns, 144), columns, True
 
 
-def stair80(spark, d, width: int):
-    grid, columns = _event_grid(spark, d, 16, TYPES, 600)
-    p = positions(grid.withColumnRenamed("t", "_old"), divided(F.col("_old"), 1024), ["_old"], (), {f"r_{c}": F.col(c) for c in columns})
-    sums = [f"r_{c}" for c in columns]
-    return _array(_quantized_columns(p.select("t", *sums), sums, width, False), "stair80", sums)
+def _wide31(spark, d, grid) -> Columns:
+    rows, columns = grid(31, (), 600)
+    return _smoothed(_smoothed(rows, columns, 144), columns, 144), columns, True
+
+
+def _stair80(spark, d, grid) -> Columns:
+    rows, columns = grid(16, tuple(TYPES), 600)
+    p = positions(rows.withColumnRenamed("t", "_old"), divided(F.col("_old"), 1024), ["_old"], (), {f"r_{c}": F.col(c) for c in columns})
+    return p, [f"r_{c}" for c in columns], False
 
 
 WIDE18 = [(f, s, m) for f in ("A", "N", "R") for s in ("F", "O") for m in ("l_quantity", "l_extendedprice", "l_discount")]
 
 
-def wide18(spark, d, width: int):
+def _wide18(spark, d, grid) -> Columns:
     """Daily running sums of three measures by return flag and line status."""
     li = load(spark, d, "lineitem").withColumn("day", F.to_date("l_shipdate"))
     columns = [f"c{i}" for i in range(len(WIDE18))]
     daily = li.groupBy("day").agg(*[F.coalesce(F.sum(F.when((F.col("l_returnflag") == f) & (F.col("l_linestatus") == s), cents(m))), F.lit(0)).alias(c) for c, (f, s, m) in zip(columns, WIDE18, strict=True)])
-    p = positions(daily, F.trunc("day", "year"), ["day"], (), {f"r_{c}": F.col(c) for c in columns})
-    sums = [f"r_{c}" for c in columns]
-    return _array(_quantized_columns(kept(p.select("t", *sums), "running"), sums, width, True), "wide18", sums)
+    return positions(daily, F.trunc("day", "year"), ["day"], (), {f"r_{c}": F.col(c) for c in columns}), [f"r_{c}" for c in columns], True
 
 
-def li_quad(spark, d, width: int = 8):
+def _li_quad(spark, d, grid) -> Columns:
     """Four small columns, at the limit of the column-major layout."""
-    return _lines(spark, d).select(F.lit("li_quad").alias("series_id"), "t", F.array(F.col("l_quantity").cast("bigint"), cents("l_discount"), cents("l_tax"), F.col("l_linenumber").cast("bigint")).alias("x"))
+    lines = _lines(spark, d).select("t", F.col("l_quantity").cast("bigint").alias("q"), cents("l_discount").alias("d"), cents("l_tax").alias("x"), F.col("l_linenumber").cast("bigint").alias("n"))
+    return lines, ["q", "d", "x", "n"], None
 
 
-def ev_pivot5(spark, d, width: int):
+def _ev_pivot5(spark, d, grid) -> Columns:
     """Hourly sums by event type, just past that limit."""
-    grid, columns = _event_grid(spark, d, 1, TYPES, 3600)
-    return _array(_quantized_columns(grid, columns, width, False), "ev_pivot5", columns)
+    return *grid(1, tuple(TYPES), 3600), False
 
 
-def state3(spark, d, width: int):
+def _state3(spark, d, grid) -> Columns:
     """Counts per minute of three rare events: isolated non-zeros."""
     e = load(spark, d, "events").select(divided(F.unix_seconds(F.col("ts").cast("timestamp")), 60).alias("b"), "event_type")
     columns = ["error", "purchase", "signup"]
     found = e.groupBy("b").agg(*[F.count(F.when(F.col("event_type") == k, 1)).alias(k) for k in columns])
     span = e.agg(F.min("b").alias("lo"), F.max("b").alias("hi")).select(F.explode(F.sequence("lo", "hi")).alias("b"), "lo")
-    grid = span.join(found, "b", "left").fillna(0, columns).withColumn("t", F.col("b") - F.col("lo"))
-    return _array(_quantized_columns(grid.select("t", *columns), columns, width, False), "state3", columns)
+    return span.join(found, "b", "left").fillna(0, columns).withColumn("t", F.col("b") - F.col("lo")), columns, False
 
 
-def state2(spark, d, width: int):
+def _state2(spark, d, grid) -> Columns:
     """Most frequent order status and priority of each day, as codes."""
     o = load(spark, d, "orders").select(F.to_date("o_orderdate").alias("day"), F.ascii("o_orderstatus").cast("bigint").alias("s"), F.ascii("o_orderpriority").cast("bigint").alias("p"))
     daily = o.groupBy("day").agg(F.max("s").alias("s"), F.min("p").alias("p"))
-    p = positions(daily, F.trunc("day", "year"), ["day"])
-    return _array(_quantized_columns(p.select("t", "s", "p"), ["s", "p"], width, True), "state2", ["s", "p"])
+    return positions(daily, F.trunc("day", "year"), ["day"]), ["s", "p"], True
 
 
-def wide64(spark, d, width: int):
+def _wide64(spark, d, grid) -> Columns:
     """Embeddings as one series of 64 columns."""
     e = load(spark, d, "embeddings").select("vec_id", *[F.round(F.col("embedding")[i].cast("double") * 1000000).cast("bigint").alias(f"c{i}") for i in range(64)])
-    p = positions(e, divided(F.col("vec_id").cast("bigint"), 4096), ["vec_id"])
-    columns = [f"c{i}" for i in range(64)]
-    return _array(_quantized_columns(p.select("t", *columns), columns, width, False), "wide64", columns)
+    return positions(e, divided(F.col("vec_id").cast("bigint"), 4096), ["vec_id"]), [f"c{i}" for i in range(64)], False
+
+
+_COLUMNS = {"wide80": _wide80, "wide31": _wide31, "wide18": _wide18, "wide64": _wide64, "stair80": _stair80, "state3": _state3, "state2": _state2, "ev_pivot5": _ev_pivot5, "li_quad": _li_quad}
+
+
+def wide_columns(spark: SparkSession, sf_dir: str, names: tuple[str, ...]) -> dict[str, Columns]:
+    """The columns of wide datasets as tables in the shared folder, for ``at_width`` to read; datasets on the same grid share it."""
+    grid = cache(lambda users, types, seconds: _event_grid(spark, sf_dir, users, types, seconds))
+    made = {}
+    for name in names:
+        rows, columns, own = _COLUMNS[name](spark, sf_dir, grid)
+        made[name] = kept(rows.select("t", *columns), name), columns, own
+    return made
+
+
+def at_width(made: dict[str, Columns], width: int) -> DataFrame:
+    """(series_id, t, x) of all datasets of ``made`` at ``width`` bits."""
+    parts = [_array(rows if own is None else _quantized_columns(rows, columns, width, own), name, columns) for name, (rows, columns, own) in made.items()]
+    return reduce(DataFrame.unionByName, parts)
+
+
+def _wide(name: str) -> Callable[[SparkSession, str, int], DataFrame]:
+    return lambda spark, sf_dir, width=8: at_width(wide_columns(spark, sf_dir, (name,)), width)
 
 
-WIDE = {"wide80": wide80, "wide31": wide31, "wide18": wide18, "wide64": wide64, "stair80": stair80, "state3": state3, "state2": state2, "ev_pivot5": ev_pivot5, "li_quad": li_quad}
+WIDE = {name: _wide(name) for name in _COLUMNS}
+li_quad, wide64 = WIDE["li_quad"], WIDE["wide64"]
 
 
 def uniform(spark: SparkSession, values: int, dims: int, width: int, seed: int = 7) -> DataFrame:
