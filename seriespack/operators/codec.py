@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.bits import divided
+from ..functions.bits import divided, header_bits
 from . import huffman
 from . import kernels as K
 from .options import Options, preset
@@ -204,6 +204,77 @@ def encode(series: DataFrame, options: Options | str = "balanced", width_bits: i
     return rows.mapInArrow(lambda batches: segment_batches(batches, o), SCHEMA)
 
 
+class _WholeSize:
+    """Bytes of one learnt column's body, whole from its first sample on, out of samples that come in order in pieces."""
+
+    def __init__(self, o: Options):
+        self.o, self.n, self.slots, self.bytes, self.zeros = o, 0, 0, 0, 0
+        self.sample, self.step, self.gain, self.rest = 0, 0, 0, np.zeros(0, np.int64)
+
+    def add(self, x: np.ndarray) -> None:
+        o, w = self.o, self.o.width_bits
+        self.n += len(x)
+        x = np.concatenate([self.rest, x])
+        whole = len(x) // o.block * o.block
+        x, self.rest = x[:whole], x[whole:]
+        if not whole:
+            return
+        step = K.wrap(np.diff(x, prepend=self.sample), w)
+        last = np.concatenate([[self.step], step[:-1]])
+        coef, self.gain = K.coefficients(step, last, o, self.gain)
+        e = K.wrap(step - K.Learner(1, o).estimate(coef, last), w)
+        self.sample, self.step = int(x[-1]), int(step[-1])
+        widths = K.widths_of(K.zigzag(e).reshape(-1, o.block, 1), o)
+        data = np.flatnonzero(widths[:, 0])
+        self.slots += len(data)
+        self.bytes += int(K.payload_sizes(widths[data], o).sum()) if len(data) else 0
+        gaps = np.diff(data, prepend=-1, append=len(widths)) - 1
+        gaps[0] += self.zeros
+        for run in gaps[:-1][gaps[:-1] > 0].tolist():
+            self._run(run)
+        self.zeros = int(gaps[-1])
+
+    def _run(self, blocks: int) -> None:
+        self.slots += 1
+        self.bytes += len(K.varint(blocks))
+
+    def close(self) -> int:
+        if self.zeros:
+            self._run(self.zeros)
+        bits, (full, rest) = header_bits(self.o.width_bits), divmod(self.slots, self.o.group)
+        return self.bytes + full * -(-self.o.group * bits // 8) + -(-rest * bits // 8) + len(self.rest) * (self.o.width_bits // 8)
+
+
+def whole_sizes(series: DataFrame, o: Options) -> DataFrame:
+    """(series_id, enc_bytes): the learnt body of each whole series (series_id, t, x), never cut.
+
+    What a sample is predicted with depends on all before it, so a series passes one task, in order and piece by piece: that takes time with its
+    length, but memory only for a piece.
+    """
+    if o.forecaster != "adaptive" or o.entropy == "huffman" or o.signed or not o.rle or o.width_bits > 16:
+        raise ValueError("whole sizes are for the learning forecaster of unsigned samples of 8 or 16 bits, without an entropy stage")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        name, open_, made = None, None, []
+        for batch in batches:
+            ids = batch.column("series_id").dictionary_encode()
+            codes, x = ids.indices.to_numpy(zero_copy_only=False), batch.column("x").to_numpy()
+            cuts = [0, *(np.flatnonzero(np.diff(codes)) + 1).tolist(), len(codes)] if len(codes) else [0]
+            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                key = ids.dictionary[int(codes[a])].as_py()
+                if open_ is None or key != name:
+                    if open_ is not None:
+                        made.append((name, open_.close()))
+                    name, open_ = key, _WholeSize(o)
+                open_.add(x[a:b])
+        if open_ is not None:
+            made.append((name, open_.close()))
+        yield pa.RecordBatch.from_arrays([pa.array([m[0] for m in made], pa.string()), pa.array([m[1] for m in made], pa.int64())], ["series_id", "enc_bytes"])
+
+    rows = series.select("series_id", F.col("t").cast("bigint").alias("t"), F.col("x").cast("bigint").alias("x"))
+    return rows.repartition("series_id").sortWithinPartitions("series_id", "t").select("series_id", "x").mapInArrow(run, "series_id string, enc_bytes bigint")
+
+
 def check(row: dict) -> None:
     """Refuses a segment of another format version or with a damaged body."""
     if row["format_version"] != FORMAT:

@@ -126,3 +126,27 @@ def test_what_the_package_offers_is_there():
     assert all(callable(getattr(seriespack, name)) for name in seriespack.__all__)
     with pytest.raises(AttributeError):
         seriespack.nothing
+
+
+@pytest.mark.parametrize("w", [8, 16])
+@pytest.mark.parametrize("change", [{}, {"grad_stride": 1}, {"grad_stride": 3}, {"update": "sample", "grad_stride": 1}, {"rate_shift": 0}, {"rate_shift": 4}, {"clamp": True}, {"round_product": True}, {"zero_rule": "case"}, {"mean_rounding": "floor"}], ids=str)
+def test_few_lanes_learn_as_many_do(w, change, monkeypatch):
+    rng, o = np.random.default_rng(w), Options(width_bits=w, forecaster="adaptive", **change)
+    for x in kinds(rng, 400, 3, w):
+        few = K.residuals(x.astype(np.int64), o)
+        with monkeypatch.context() as m:
+            m.setattr(K, "FEW_LANES", 0)
+            assert (K.residuals(x.astype(np.int64), o) == few).all()
+
+
+@pytest.mark.parametrize("w", [8, 16])
+def test_a_whole_series_has_one_size_however_it_comes(w):
+    from seriespack.operators.codec import _WholeSize
+
+    rng, o = np.random.default_rng(w), preset("balanced", w)
+    for column in (x[:, 0].astype(np.int64) for n in (0, 5, 8, 203, 3000) for x in kinds(rng, n, 1, w)):
+        for piece in (1, 7, 64, 5000):
+            size = _WholeSize(o)
+            for i in range(0, len(column), piece):
+                size.add(column[i : i + piece])
+            assert size.close() == len(pack_many([column.reshape(-1, 1)], o)[0][0])

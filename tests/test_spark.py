@@ -169,3 +169,29 @@ def test_builders_have_dense_positions(spark, small):
     for name in ("ev_ma64x2", "li_day", "part_price"):
         t = [r.t for r in S.UNIVARIATE[name](spark, small).select("t").orderBy("t").collect()]
         assert t == list(range(len(t)))
+
+
+def test_rescaling_passes_64_bits(spark):
+    """A range whose product with the levels has more than 64 bits, as running sums of large tables have."""
+    from seriespack.operators import quantize as Q
+
+    top = (1 << 63) - 1
+    rows = [("wide", v) for v in (-top, -5, 0, 3, top)] + [("near", v) for v in (0, 1, 10**15, 223_000_000_000_001, 2 * 10**15)] + [("flat", 7)]
+    x = spark.createDataFrame(rows, "series_id string, v bigint")
+    for w in (8, 16):
+        got = {(r.series_id, r.v): r.x for r in Q.quantize(x, w).collect()}
+        for name, v in rows:
+            mine = [b for a, b in rows if a == name]
+            assert got[name, v] == (v - min(mine)) * ((1 << w) - 1) // max(max(mine) - min(mine), 1)
+
+
+def test_the_learnt_size_is_of_the_whole_series(spark):
+    import numpy as np
+
+    from seriespack.operators.options import preset
+
+    rng, o = np.random.default_rng(3), preset("balanced", 16)
+    made = {f"s{i}": np.cumsum(rng.integers(-3, 4, n)) % 65536 for i, n in enumerate((1, 30, 25_000))}
+    x = spark.createDataFrame([(k, t, int(v)) for k, vs in made.items() for t, v in enumerate(vs)], "series_id string, t bigint, x bigint").repartition(7)
+    got = {r.series_id: r.enc_bytes for r in codec.whole_sizes(x, o).collect()}
+    assert got == {k: len(codec.pack_many([v.reshape(-1, 1).astype(np.int64)], o)[0][0]) for k, v in made.items()}
