@@ -195,3 +195,10 @@ def test_the_learnt_size_is_of_the_whole_series(spark):
     x = spark.createDataFrame([(k, t, int(v)) for k, vs in made.items() for t, v in enumerate(vs)], "series_id string, t bigint, x bigint").repartition(7)
     got = {r.series_id: r.enc_bytes for r in codec.whole_sizes(x, o).collect()}
     assert got == {k: len(codec.pack_many([v.reshape(-1, 1).astype(np.int64)], o)[0][0]) for k, v in made.items()}
+
+
+def test_packed_blocks_do_not_depend_on_pieces(spark, small, duck, monkeypatch):
+    whole = queries.by_kernel
+    monkeypatch.setattr(queries, "by_kernel", lambda df, make, ddl: whole(df, make, ddl, 64))
+    got = sorted(map(tuple, queries.QUERIES["q14_column_major_packed_bytes"](spark, small).select("block_id", "payload").collect()))
+    assert got == sorted(duck(small).execute(f"SELECT block_id, payload FROM ({oracles.ORACLES['q14_column_major_packed_bytes']})").fetchall())
