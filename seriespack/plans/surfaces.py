@@ -8,7 +8,6 @@ from pyspark.sql import functions as F
 
 from ..functions import bits as B
 from ..operators import analysis, codec, forecast
-from ..operators.options import Options
 from ..operators.relayout import null_policy, wide
 from ..sources import builders as S
 from ..sources import files
@@ -37,7 +36,7 @@ def _in_turns(spark, parts, transform, name: str):
 def q60_stream_late_rows(spark, d):
     """Rows that come after newer ones were sealed: told apart, and never in a block."""
     e = _arrivals(spark, d).drop("user_id")
-    o = Options(width_bits=16, forecaster="adaptive")
+    o = encoder.CENTS
     out = _in_turns(spark, [e.where("tie % 10 <> 0"), e.where("tie % 10 = 0")], lambda s: encoder.encode_stream(s, o, 256), "q60")
     return out.where("kind = 'late'").groupBy("series_id").agg(F.count(F.lit(1)).alias("n"), F.sum("late_value").alias("total"))
 
@@ -49,7 +48,7 @@ def q60_stream_idle_flush(spark, d):
     end = e.agg(F.max("ts").alias("m"))
     # one sample of a series of its own, a month later, moves the watermark past every timer
     mark = end.select(F.lit("mark").alias("series_id"), (F.col("m") + F.expr("INTERVAL 30 DAYS")).alias("ts"), F.lit(0).cast("bigint").alias("tie"), F.lit(0).cast("bigint").alias("v"))
-    o = Options(width_bits=16, forecaster="adaptive")
+    o = encoder.CENTS
     out = _in_turns(spark, [e, mark, mark], lambda s: encoder.encode_stream(s.withWatermark("ts", "1 hour"), o, 256, hold=True, idle_seconds=3600), "q60i")
     return codec.decode(encoder.as_segments(out.where("series_id <> 'mark'"), o)).select("series_id", "t", F.col("x")[0].alias("x"))
 

@@ -21,6 +21,8 @@ from ..operators.options import Options
 
 OUTPUT = "kind string, series_id string, t_start bigint, n_samples int, n_slots int, crc bigint, body binary, late_value bigint"
 STATE = "next_t bigint, newest bigint, pending array<bigint>"
+#: For amounts in cents, which 16 bits do not hold from 655.36 on; negative ones fit too.
+CENTS = Options(width_bits=32, forecaster="adaptive", clamp=True, signed=True)
 
 
 def encode_stream(samples: DataFrame, o: Options, segment: int = 1024, hold: bool = False, idle_seconds: int | None = None, keep_seconds: int | None = None) -> DataFrame:
@@ -30,8 +32,10 @@ def encode_stream(samples: DataFrame, o: Options, segment: int = 1024, hold: boo
     longer than a trigger.  With ``idle_seconds`` (and a watermark on ``ts``) a held segment is sealed as it is once the
     watermark is that much beyond the series' newest sample.  With ``keep_seconds`` the state of a series that long without
     samples is dropped after that; should it come back, its positions go on from 0 and rows are not late by what was before.
+    Samples that do not fit ``o.width_bits`` are refused, as their upper bits would be lost.
     """
     timed = idle_seconds is not None or keep_seconds is not None
+    low, high = (-(1 << (o.width_bits - 1)), 1 << (o.width_bits - 1)) if o.signed else (0, 1 << o.width_bits)
 
     def advance(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         next_t, newest, pending = state.get if state.exists else (0, -(1 << 62), [])
@@ -59,6 +63,8 @@ def encode_stream(samples: DataFrame, o: Options, segment: int = 1024, hold: boo
         else:
             rows = pd.concat(list(frames)).sort_values(["us", "tie"])
             late, taken = rows[rows.us < newest], rows[rows.us >= newest]
+            if ((taken.v < low) | (taken.v >= high)).any():
+                raise ValueError(f"samples of {key[0]} don't fit {o.width_bits} bits")
             values = np.array([*pending, *taken.v.tolist()], np.int64)
             out += [("late", key[0], int(next_t), 0, 0, 0, b"", int(v)) for v in late.v]
             whole = len(values) // segment * segment if hold else len(values)

@@ -9,7 +9,7 @@ from seriespack.operators import measures as M
 from seriespack.operators import quantize as Q
 from seriespack.operators.options import Options
 from seriespack.operators.relayout import null_policy, wide
-from seriespack.plans import oracles, queries
+from seriespack.plans import oracles, queries, surfaces  # noqa: F401  (surfaces registers queries)
 from seriespack.sources import builders as S
 
 #: Exact body sizes on the 0.01 scale: lag1 and adaptive, 8 and 16 bits.
@@ -202,3 +202,17 @@ def test_packed_blocks_do_not_depend_on_pieces(spark, small, duck, monkeypatch):
     monkeypatch.setattr(queries, "by_kernel", lambda df, make, ddl: whole(df, make, ddl, 64))
     got = sorted(map(tuple, queries.QUERIES["q14_column_major_packed_bytes"](spark, small).select("block_id", "payload").collect()))
     assert got == sorted(duck(small).execute(f"SELECT block_id, payload FROM ({oracles.ORACLES['q14_column_major_packed_bytes']})").fetchall())
+
+
+def test_streams_keep_large_amounts(spark, small, tmp_path):
+    """Cents of more than 16 bits, and negative ones, come out as they went in; a width that is too small is refused."""
+    from seriespack.streaming import encoder
+
+    amounts = F.when(F.col("event_id") % 50 == 0, F.col("value") + 700).when(F.col("event_id") % 50 == 1, -F.col("value")).otherwise(F.col("value"))
+    spark.read.parquet(f"{small}/events.parquet").withColumn("value", amounts).write.parquet(f"{tmp_path}/events.parquet")
+    want = sorted((r.event_type, r.c) for r in spark.read.parquet(f"{tmp_path}/events.parquet").select("event_type", S.cents("value").alias("c")).collect())
+    assert max(c for _, c in want) > 65535
+    for name in ("q58_stream_encode_equals_batch", "q60_stream_idle_flush"):
+        assert sorted((r.series_id, r.x) for r in queries.QUERIES[name](spark, str(tmp_path)).collect()) == want
+    with pytest.raises(Exception, match="don't fit 16 bits"):
+        queries._stream(spark, str(tmp_path), lambda s: encoder.encode_stream(s, Options(width_bits=16), 256), "narrow").count()
