@@ -216,3 +216,16 @@ def test_streams_keep_large_amounts(spark, small, tmp_path):
         assert sorted((r.series_id, r.x) for r in queries.QUERIES[name](spark, str(tmp_path)).collect()) == want
     with pytest.raises(Exception, match="don't fit 16 bits"):
         queries._stream(spark, str(tmp_path), lambda s: encoder.encode_stream(s, Options(width_bits=16), 256), "narrow").count()
+
+
+def test_byte_series_never_make_a_row_of_a_byte(spark, small):
+    """Sizes as those of segments built byte by byte, out of a plan that handles whole texts."""
+    from seriespack.operators.options import preset
+
+    made = queries.QUERIES["q75_byte_series"](spark, small)
+    assert "explode" not in made._jdf.queryExecution().optimizedPlan().toString().lower()
+    got = {(r.series_id, r.method): (r.raw_bytes, r.enc_bytes) for r in made.collect()}
+    x = S.text_bytes(spark, small).where("series_id = 'doc_bytes_de'")
+    for p in ("speed", "balanced", "ratio"):
+        want = codec.encode(x.select("series_id", "segment_id", "t", F.array("x").alias("x")), preset(p, 8)).agg(F.sum("raw_bytes"), F.sum("body_bytes")).first()
+        assert got["doc_bytes_de", p] == tuple(want)
