@@ -245,3 +245,18 @@ def test_examples_are_of_a_given_table(spark, small, duck, name):
 @pytest.mark.parametrize("name", ["q72_speed_by_columns", "q83_forecaster_speed"])
 def test_speeds_are_of_a_given_table(spark, small, name):
     assert queries.QUERIES[name](spark, small).inputFiles()
+
+
+@pytest.mark.parametrize("part", [1, 4, 7, 1 << 16])
+def test_zero_runs_go_on_over_parts(spark, part):
+    """Maximal runs, however a series is parted: within a part, over an edge, over several parts, at both ends."""
+    stored = {"a": [0] * 9 + [3, 0, 0, 5, 0, 4, 0, 0, 0, 0, 0, 0, 0, 1, 0], "b": [2, 0, 0, 0, 0, 7], "c": [0] * 8, "d": [1, 1]}
+    rows = [(k, i, v) for k, values in stored.items() for i, v in enumerate(values)]
+    got = blocks.zero_runs(spark.createDataFrame(rows, "series_id string, block_id bigint, stored bigint"), part=part)
+    assert sorted(map(tuple, got.select("series_id", "first_block", "n_blocks").collect())) == [("a", 0, 9), ("a", 10, 2), ("a", 13, 1), ("a", 15, 7), ("a", 23, 1), ("b", 1, 4), ("c", 0, 8)]
+
+
+def test_block_sizes_share_one_pass_over_the_samples(spark, small):
+    """Blocks of all lengths add up from those of four, which are made once: only blocks of width 0 pass windows after that."""
+    plan = queries.QUERIES["q56_block_size_ablation"](spark, small)._jdf.queryExecution().optimizedPlan().toString()
+    assert "lag(x" not in plan and plan.count("Window [row_number()") == 5
