@@ -23,9 +23,12 @@ from ..functions.bits import divided, header_bits
 from . import huffman
 from . import kernels as K
 from .options import Options, preset
+from .ordering import PART
 
 SEGMENT = 8192
 BATCH_VALUES = 1 << 21
+#: Samples of a series that lie in one row on their way to the task that sizes it whole, and that it takes at a time.
+PIECE, PIECES = 2048, 1 << 18
 FORMAT = 1
 OPTIONS = "struct<width_bits:int,forecaster:string,entropy:string,block:int,group:int,layout:string,signed:boolean,coef_num:bigint,rate_shift:int,update:string,grad_stride:int,zero_rule:string,mean_rounding:string,clamp:boolean,round_product:boolean,rle:boolean,entropy_order:string>"
 SCHEMA = f"series_id string, segment_id bigint, t_start bigint, n_samples int, dims int, raw_bytes bigint, body_bytes bigint, n_slots int, col_min array<bigint>, col_max array<bigint>, col_sum array<decimal(38,0)>, crc bigint, format_version int, options {OPTIONS}, body binary"
@@ -245,34 +248,50 @@ class _WholeSize:
         return self.bytes + full * -(-self.o.group * bits // 8) + -(-rest * bits // 8) + len(self.rest) * (self.o.width_bits // 8)
 
 
-def whole_sizes(series: DataFrame, o: Options) -> DataFrame:
-    """(series_id, enc_bytes): the learnt body of each whole series (series_id, t, x), never cut.
+def _in_pieces(batches: Iterator[pa.RecordBatch], columns: list[str]) -> Iterator[pa.RecordBatch]:
+    """Rows (series_id, t, columns), which lie in order, as rows of up to ``PIECE`` samples that follow each other; ``t`` is that of the first."""
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        ids, t = batch.column("series_id").dictionary_encode(), batch.column("t").to_numpy()
+        codes, data = ids.indices.to_numpy(zero_copy_only=False), [batch.column(c).to_numpy().astype("<u2") for c in columns]
+        cuts = [0, *(np.flatnonzero((np.diff(codes) != 0) | (np.diff(t) != 1)) + 1).tolist(), len(t)]
+        spans = [(i, min(i + PIECE, b)) for a, b in zip(cuts[:-1], cuts[1:], strict=True) for i in range(a, b, PIECE)]
+        made = [pa.array([ids.dictionary[int(codes[a])].as_py() for a, _ in spans], pa.string()), pa.array([int(t[a]) for a, _ in spans], pa.int64())]
+        yield pa.RecordBatch.from_arrays([*made, *[pa.array([x[a:b].tobytes() for a, b in spans], pa.binary()) for x in data]], ["series_id", "t", *columns])
+
+
+def whole_sizes(series: DataFrame, o: Options | dict[str, Options]) -> DataFrame:
+    """(series_id, enc_bytes): the learnt body of each whole series (series_id, t, x), never cut.  Of several columns of samples, each with options: (series_id, column, enc_bytes).
 
     What a sample is predicted with depends on all before it, so a series passes one task, in order and piece by piece: that takes time with its
-    length, but memory only for a piece.
+    length, but memory only for a piece.  Samples are put in order in parts of a series, in parallel; that task orders only pieces of them.
     """
-    if o.forecaster != "adaptive" or o.entropy == "huffman" or o.signed or not o.rle or o.width_bits > 16:
+    options = {"x": o} if isinstance(o, Options) else o
+    if any(p.forecaster != "adaptive" or p.entropy == "huffman" or p.signed or not p.rle or p.width_bits > 16 for p in options.values()):
         raise ValueError("whole sizes are for the learning forecaster of unsigned samples of 8 or 16 bits, without an entropy stage")
+    columns = list(options)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         name, open_, made = None, None, []
         for batch in batches:
-            ids = batch.column("series_id").dictionary_encode()
-            codes, x = ids.indices.to_numpy(zero_copy_only=False), batch.column("x").to_numpy()
-            cuts = [0, *(np.flatnonzero(np.diff(codes)) + 1).tolist(), len(codes)] if len(codes) else [0]
+            ids, data = batch.column("series_id").to_pylist(), [batch.column(c) for c in columns]
+            cuts = [0, *[i for i in range(1, len(ids)) if ids[i] != ids[i - 1]], len(ids)] if ids else [0]
             for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-                key = ids.dictionary[int(codes[a])].as_py()
-                if open_ is None or key != name:
-                    if open_ is not None:
-                        made.append((name, open_.close()))
-                    name, open_ = key, _WholeSize(o)
-                open_.add(x[a:b])
-        if open_ is not None:
-            made.append((name, open_.close()))
-        yield pa.RecordBatch.from_arrays([pa.array([m[0] for m in made], pa.string()), pa.array([m[1] for m in made], pa.int64())], ["series_id", "enc_bytes"])
-
-    rows = series.select("series_id", F.col("t").cast("bigint").alias("t"), F.col("x").cast("bigint").alias("x"))
-    return rows.repartition("series_id").sortWithinPartitions("series_id", "t").select("series_id", "x").mapInArrow(run, "series_id string, enc_bytes bigint")
+                if open_ is None or ids[a] != name:
+                    made += [(name, c, s.close()) for c, s in zip(columns, open_ or [], strict=bool(open_))]
+                    name, open_ = ids[a], [_WholeSize(options[c]) for c in columns]
+                for i in range(a, b, PIECES // PIECE):
+                    for size, x in zip(open_, data, strict=True):
+                        size.add(np.frombuffer(b"".join(x.slice(i, min(PIECES // PIECE, b - i)).to_pylist()), "<u2").astype(np.int64))
+        made += [(name, c, s.close()) for c, s in zip(columns, open_ or [], strict=bool(open_))]
+        yield pa.RecordBatch.from_arrays([pa.array([m[i] for m in made], kind) for i, kind in enumerate((pa.string(), pa.string(), pa.int64()))], ["series_id", "column", "enc_bytes"])
+
+    rows = series.select("series_id", F.col("t").cast("bigint").alias("t"), *[F.col(c).cast("bigint").alias(c) for c in columns])
+    rows = rows.repartition("series_id", divided(F.col("t"), PART)).sortWithinPartitions("series_id", "t")
+    pieces = rows.mapInArrow(lambda batches: _in_pieces(batches, columns), f"series_id string, t bigint, {', '.join(f'{c} binary' for c in columns)}")
+    out = pieces.repartition("series_id").sortWithinPartitions("series_id", "t").mapInArrow(run, "series_id string, column string, enc_bytes bigint")
+    return out.drop("column") if isinstance(o, Options) else out
 
 
 def check(row: dict) -> None:

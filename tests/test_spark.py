@@ -260,3 +260,19 @@ def test_block_sizes_share_one_pass_over_the_samples(spark, small):
     """Blocks of all lengths add up from those of four, which are made once: only blocks of width 0 pass windows after that."""
     plan = queries.QUERIES["q56_block_size_ablation"](spark, small)._jdf.queryExecution().optimizedPlan().toString()
     assert "lag(x" not in plan and plan.count("Window [row_number()") == 5
+
+
+def test_whole_sizes_of_two_columns_come_in_pieces(spark, monkeypatch):
+    """Both widths of a series in one pass, over edges of parts and pieces; the task that sizes a series gets pieces, no row for each sample."""
+    import numpy as np
+
+    from seriespack.operators.options import preset
+
+    monkeypatch.setattr(codec, "PART", 3000)
+    rng, o = np.random.default_rng(5), {f"x{w}": preset("balanced", w) for w in (8, 16)}
+    made = {f"s{i}": np.cumsum(rng.integers(-3, 4, n)) % 65536 for i, n in enumerate((5, 2048, 20_000))}
+    x = spark.createDataFrame([(k, t, int(v) >> 8, int(v)) for k, vs in made.items() for t, v in enumerate(vs)], "series_id string, t bigint, x8 bigint, x16 bigint").repartition(7)
+    sizes = codec.whole_sizes(x, o)
+    assert sizes._jdf.queryExecution().optimizedPlan().toString().count("MapInArrow") == 2
+    want = {(k, c): len(codec.pack_many([(v >> (16 - p.width_bits)).reshape(-1, 1).astype(np.int64)], p)[0][0]) for k, v in made.items() for c, p in o.items()}
+    assert {(r.series_id, r.column): r.enc_bytes for r in sizes.collect()} == want
