@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.bits import divided, header_bits
-from . import huffman
+from . import baselines, huffman
 from . import kernels as K
 from .options import Options, preset
 from .ordering import PART
@@ -208,7 +208,7 @@ def encode(series: DataFrame, options: Options | str = "balanced", width_bits: i
 
 
 class _WholeSize:
-    """Bytes of one learnt column's body, whole from its first sample on, out of samples that come in order in pieces."""
+    """Bytes of one column's body, whole from its first sample on, out of samples that come in order in pieces."""
 
     def __init__(self, o: Options):
         self.o, self.n, self.slots, self.bytes, self.zeros = o, 0, 0, 0, 0
@@ -222,10 +222,13 @@ class _WholeSize:
         x, self.rest = x[:whole], x[whole:]
         if not whole:
             return
-        step = K.wrap(np.diff(x, prepend=self.sample), w)
+        e = step = K.wrap(np.diff(x, prepend=self.sample), w)
         last = np.concatenate([[self.step], step[:-1]])
-        coef, self.gain = K.coefficients(step, last, o, self.gain)
-        e = K.wrap(step - K.Learner(1, o).estimate(coef, last), w)
+        if o.forecaster == "adaptive":
+            coef, self.gain = K.coefficients(step, last, o, self.gain)
+            e = K.wrap(step - K.Learner(1, o).estimate(coef, last), w)
+        elif o.forecaster == "fixed":
+            e = K.wrap(step - (o.coef_num * last >> w), w)
         self.sample, self.step = int(x[-1]), int(step[-1])
         widths = K.widths_of(K.zigzag(e).reshape(-1, o.block, 1), o)
         data = np.flatnonzero(widths[:, 0])
@@ -233,21 +236,36 @@ class _WholeSize:
         self.bytes += int(K.payload_sizes(widths[data], o).sum()) if len(data) else 0
         gaps = np.diff(data, prepend=-1, append=len(widths)) - 1
         gaps[0] += self.zeros
-        for run in gaps[:-1][gaps[:-1] > 0].tolist():
-            self._run(run)
+        self._runs(gaps[:-1][gaps[:-1] > 0])
         self.zeros = int(gaps[-1])
 
-    def _run(self, blocks: int) -> None:
-        self.slots += 1
-        self.bytes += len(K.varint(blocks))
+    def _runs(self, blocks: np.ndarray) -> None:
+        self.slots += len(blocks)
+        self.bytes += int(K.varint_sizes(blocks).sum())
 
     def close(self) -> int:
         if self.zeros:
-            self._run(self.zeros)
+            self._runs(np.array([self.zeros]))
         bits, (full, rest) = header_bits(self.o.width_bits), divmod(self.slots, self.o.group)
         return self.bytes + full * -(-self.o.group * bits // 8) + -(-rest * bits // 8) + len(self.rest) * (self.o.width_bits // 8)
 
 
+class _PackedSize:
+    """The same of binary packing."""
+
+    def __init__(self):
+        self.n, self.bytes, self.rest = 0, 0, np.zeros(0, np.int64)
+
+    def add(self, x: np.ndarray) -> None:
+        self.n += len(x)
+        x = np.concatenate([self.rest, x])
+        whole = len(x) // baselines.PACK * baselines.PACK
+        self.bytes, self.rest = self.bytes + baselines.bp128_size(x[:whole]), x[whole:]
+
+    def close(self) -> int:
+        return self.bytes + baselines.bp128_size(self.rest)
+
+
 def _in_pieces(batches: Iterator[pa.RecordBatch], columns: list[str]) -> Iterator[pa.RecordBatch]:
     """Rows (series_id, t, columns), which lie in order, as rows of up to ``PIECE`` samples that follow each other; ``t`` is that of the first."""
     for batch in batches:
@@ -261,36 +279,50 @@ def _in_pieces(batches: Iterator[pa.RecordBatch], columns: list[str]) -> Iterato
         yield pa.RecordBatch.from_arrays([*made, *[pa.array([x[a:b].tobytes() for a, b in spans], pa.binary()) for x in data]], ["series_id", "t", *columns])
 
 
-def whole_sizes(series: DataFrame, o: Options | dict[str, Options]) -> DataFrame:
-    """(series_id, enc_bytes): the learnt body of each whole series (series_id, t, x), never cut.  Of several columns of samples, each with options: (series_id, column, enc_bytes).
+def _ordered(series: DataFrame, columns: list[str], length: int) -> DataFrame:
+    """(series_id, t, columns) with ``length`` samples of a series in one task, in order."""
+    rows = series.select(F.col("series_id").cast("string").alias("series_id"), F.col("t").cast("bigint").alias("t"), *[F.col(c).cast("bigint").alias(c) for c in columns])
+    return rows.repartition("series_id", divided(F.col("t"), length)).sortWithinPartitions("series_id", "t")
+
+
+def method_sizes(series: DataFrame, methods: dict[str, dict[str, Options | None]]) -> DataFrame:
+    """(series_id, column, method, n_samples, enc_bytes): bodies of each whole series (series_id, t, columns), never cut, by column of samples and method; options of None stand for binary packing.
 
-    What a sample is predicted with depends on all before it, so a series passes one task, in order and piece by piece: that takes time with its
-    length, but memory only for a piece.  Samples are put in order in parts of a series, in parallel; that task orders only pieces of them.
+    What the learning forecaster predicts a sample with depends on all before it, so a series passes one task, in order and piece by piece: that takes
+    time with its length, but memory only for a piece.  Samples are put in order in parts of a series, in parallel; that task orders only pieces of them.
     """
-    options = {"x": o} if isinstance(o, Options) else o
-    if any(p.forecaster != "adaptive" or p.entropy == "huffman" or p.signed or not p.rle or p.width_bits > 16 for p in options.values()):
-        raise ValueError("whole sizes are for the learning forecaster of unsigned samples of 8 or 16 bits, without an entropy stage")
-    columns = list(options)
+    if any(p and (p.entropy == "huffman" or p.signed or not p.rle or p.width_bits > 16) for of in methods.values() for p in of.values()):
+        raise ValueError("whole sizes are for unsigned samples of 8 or 16 bits, without an entropy stage")
+    columns, fields = list(methods), ["series_id", "column", "method", "n_samples", "enc_bytes"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        name, open_, made = None, None, []
+        name, open_, made = None, [], []
+
+        def close() -> None:
+            made.extend((name, c, m, s.n, s.close()) for c, of in zip(columns, open_, strict=bool(open_)) for m, s in of)
+
         for batch in batches:
             ids, data = batch.column("series_id").to_pylist(), [batch.column(c) for c in columns]
             cuts = [0, *[i for i in range(1, len(ids)) if ids[i] != ids[i - 1]], len(ids)] if ids else [0]
             for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-                if open_ is None or ids[a] != name:
-                    made += [(name, c, s.close()) for c, s in zip(columns, open_ or [], strict=bool(open_))]
-                    name, open_ = ids[a], [_WholeSize(options[c]) for c in columns]
+                if not open_ or ids[a] != name:
+                    close()
+                    name, open_ = ids[a], [[(m, _WholeSize(p) if p else _PackedSize()) for m, p in methods[c].items()] for c in columns]
                 for i in range(a, b, PIECES // PIECE):
-                    for size, x in zip(open_, data, strict=True):
-                        size.add(np.frombuffer(b"".join(x.slice(i, min(PIECES // PIECE, b - i)).to_pylist()), "<u2").astype(np.int64))
-        made += [(name, c, s.close()) for c, s in zip(columns, open_ or [], strict=bool(open_))]
-        yield pa.RecordBatch.from_arrays([pa.array([m[i] for m in made], kind) for i, kind in enumerate((pa.string(), pa.string(), pa.int64()))], ["series_id", "column", "enc_bytes"])
-
-    rows = series.select("series_id", F.col("t").cast("bigint").alias("t"), *[F.col(c).cast("bigint").alias(c) for c in columns])
-    rows = rows.repartition("series_id", divided(F.col("t"), PART)).sortWithinPartitions("series_id", "t")
-    pieces = rows.mapInArrow(lambda batches: _in_pieces(batches, columns), f"series_id string, t bigint, {', '.join(f'{c} binary' for c in columns)}")
-    out = pieces.repartition("series_id").sortWithinPartitions("series_id", "t").mapInArrow(run, "series_id string, column string, enc_bytes bigint")
+                    for of, x in zip(open_, data, strict=True):
+                        samples = np.frombuffer(b"".join(x.slice(i, min(PIECES // PIECE, b - i)).to_pylist()), "<u2").astype(np.int64)
+                        for _, size in of:
+                            size.add(samples)
+        close()
+        yield pa.RecordBatch.from_arrays([pa.array([m[i] for m in made], kind) for i, kind in enumerate((pa.string(), pa.string(), pa.string(), pa.int64(), pa.int64()))], fields)
+
+    pieces = _ordered(series, columns, PART).mapInArrow(lambda batches: _in_pieces(batches, columns), f"series_id string, t bigint, {', '.join(f'{c} binary' for c in columns)}")
+    return pieces.repartition("series_id").sortWithinPartitions("series_id", "t").mapInArrow(run, "series_id string, column string, method string, n_samples bigint, enc_bytes bigint")
+
+
+def whole_sizes(series: DataFrame, o: Options | dict[str, Options]) -> DataFrame:
+    """(series_id, enc_bytes) of ``method_sizes`` for the samples ``x`` and one method.  Of several columns of samples, each with options: (series_id, column, enc_bytes)."""
+    out = method_sizes(series, {c: {"": p} for c, p in ({"x": o} if isinstance(o, Options) else o).items()}).drop("method", "n_samples")
     return out.drop("column") if isinstance(o, Options) else out
 
 

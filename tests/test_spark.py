@@ -276,3 +276,36 @@ def test_whole_sizes_of_two_columns_come_in_pieces(spark, monkeypatch):
     assert sizes._jdf.queryExecution().optimizedPlan().toString().count("MapInArrow") == 2
     want = {(k, c): len(codec.pack_many([(v >> (16 - p.width_bits)).reshape(-1, 1).astype(np.int64)], p)[0][0]) for k, v in made.items() for c, p in o.items()}
     assert {(r.series_id, r.column): r.enc_bytes for r in sizes.collect()} == want
+
+
+def test_whole_sizes_of_all_methods_come_in_pieces(spark, monkeypatch):
+    """Forecasters without a state and binary packing ride along with the learner: no window over samples, no row for a block."""
+    import numpy as np
+
+    from seriespack.operators import baselines
+    from seriespack.operators.options import preset
+
+    monkeypatch.setattr(codec, "PART", 3000)
+    rng = np.random.default_rng(6)
+    of = {w: {m: Options(width_bits=w, forecaster="fixed", coef_num=c) for m, c in queries.coefficients(w).items()} | {"balanced": preset("balanced", w), "bp128": None} for w in (8, 16)}
+    made = {f"s{i}": np.cumsum(rng.integers(-3, 4, n) * (rng.random(n) < 0.1)) % 65536 for i, n in enumerate((1, 130, 20_003))}
+    x = spark.createDataFrame([(k, t, int(v) >> 8, int(v)) for k, vs in made.items() for t, v in enumerate(vs)], "series_id string, t bigint, x8 bigint, x16 bigint").repartition(7)
+    sizes = codec.method_sizes(x, {f"x{w}": m for w, m in of.items()})
+    assert "Window" not in sizes._jdf.queryExecution().optimizedPlan().toString()
+    want = {}
+    for k, v in made.items():
+        for w, methods in of.items():
+            column = (v >> (16 - w)).astype(np.int64)
+            want |= {(k, f"x{w}", m): (len(v), len(codec.pack_many([column.reshape(-1, 1)], o)[0][0] if o else baselines.bp128_encode(column))) for m, o in methods.items()}
+    assert {(r.series_id, r.column, r.method): (r.n_samples, r.enc_bytes) for r in sizes.collect()} == want
+
+
+def test_lines_are_ordered_by_what_tells_them_apart(spark, small, monkeypatch):
+    """Ship days need no order of lines at all, quantities none by the columns after them; both are those of all lines in order."""
+    monkeypatch.setattr(S, "RANGE_ROWS", 2)
+    lines = spark.read.parquet(f"{small}/lineitem.parquet").selectExpr("*", "unix_date(to_date(l_shipdate)) day").orderBy("day", *S.LINE_ORDER).collect()
+    for name, column in (("li_day", "day"), ("li_qty", "l_quantity")):
+        made = S.UNIVARIATE[name](spark, small)
+        assert [(r.t, r.v) for r in made.orderBy("t").collect()] == [(t, int(r[column])) for t, r in enumerate(lines)]
+        plan = made._jdf.queryExecution().optimizedPlan().toString()
+        assert "l_tax" not in plan.split("Relation")[0] and (name == "li_qty" or "Join" not in plan)
