@@ -12,7 +12,7 @@ refused (see ``null_policy`` in ``relayout``); a change of the number of columns
 from __future__ import annotations
 
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -326,6 +326,52 @@ def whole_sizes(series: DataFrame, o: Options | dict[str, Options]) -> DataFrame
     return out.drop("column") if isinstance(o, Options) else out
 
 
+def _segments_in_order(batches: Iterator[pa.RecordBatch], columns: list[str], length: int) -> Iterator[tuple]:
+    """(series_id, first position, samples of each column) of segments of ``length`` positions, out of rows in order."""
+    key, parts = None, []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        ids, place = batch.column("series_id").dictionary_encode(), batch.column("t").to_numpy() // length
+        codes, data = ids.indices.to_numpy(zero_copy_only=False), [batch.column(c).to_numpy() for c in columns]
+        cuts = [0, *(np.flatnonzero((np.diff(codes) != 0) | (np.diff(place) != 0)) + 1).tolist(), len(place)]
+        for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+            at = ids.dictionary[int(codes[a])].as_py(), int(place[a]) * length
+            if at != key:
+                if key is not None:
+                    yield *key, *[np.concatenate(p) for p in parts]
+                key, parts = at, [[] for _ in columns]
+            for part, x in zip(parts, data, strict=True):
+                part.append(x[a:b])
+    if key is not None:
+        yield *key, *[np.concatenate(p) for p in parts]
+
+
+def by_segments(series: DataFrame, columns: list[str], make: Callable[[list[tuple]], Iterator[tuple]], ddl: str, length: int, most: int = 1) -> DataFrame:
+    """Rows that ``make`` yields for segments (series_id, first position, samples of each column) of at most ``length`` samples; it gets them until there are ``most`` samples.
+
+    One exchange brings samples together and in order: a segment's, or those of a part of a series that holds whole segments.
+    """
+    schema = arrow_schema(ddl)
+
+    def rows(segments: list[tuple]) -> pa.RecordBatch:
+        made = list(make(segments))
+        return pa.RecordBatch.from_arrays([pa.array([m[i] for m in made], f.type) for i, f in enumerate(schema)], schema=schema)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, n = [], 0
+        for segment in _segments_in_order(batches, columns, length):
+            held.append(segment)
+            n += len(segment[2])
+            if n >= most:
+                yield rows(held)
+                held, n = [], 0
+        if held:
+            yield rows(held)
+
+    return _ordered(series, columns, length if length >= PART else PART // length * length).mapInArrow(run, ddl)
+
+
 def check(row: dict) -> None:
     """Refuses a segment of another format version or with a damaged body."""
     if row["format_version"] != FORMAT:

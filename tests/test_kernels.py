@@ -150,3 +150,12 @@ def test_a_whole_series_has_one_size_however_it_comes(w):
             for i in range(0, len(column), piece):
                 size.add(column[i : i + piece])
             assert size.close() == len(pack_many([column.reshape(-1, 1)], o)[0][0])
+
+
+@pytest.mark.parametrize("name", list(baselines.INTEGER))
+def test_sizes_are_those_of_the_encoders(name):
+    rng = np.random.default_rng(4)
+    for n in (0, 1, 127, 128, 129, 239, 240, 241, 3000):
+        kinds_ = (rng.integers(0, 256, n), np.zeros(n, int), np.where(rng.random(n) < 0.03, 60000, rng.integers(0, 8, n)), rng.integers(0, 1 << 31, n) >> rng.integers(0, 32, n), (rng.random(n) < 0.01).astype(int))
+        for v in kinds_:
+            assert baselines.SIZES[name](v.astype(np.int64)) == len(baselines.INTEGER[name][0](v.astype(np.int64)))

@@ -309,3 +309,26 @@ def test_lines_are_ordered_by_what_tells_them_apart(spark, small, monkeypatch):
         assert [(r.t, r.v) for r in made.orderBy("t").collect()] == [(t, int(r[column])) for t, r in enumerate(lines)]
         plan = made._jdf.queryExecution().optimizedPlan().toString()
         assert "l_tax" not in plan.split("Relation")[0] and (name == "li_qty" or "Join" not in plan)
+
+
+def test_all_methods_size_segments_of_both_widths_in_one_pass(spark, monkeypatch):
+    import numpy as np
+
+    from seriespack.operators import baselines
+    from seriespack.operators.options import preset
+
+    monkeypatch.setattr(queries, "KERNEL", 1 << 16)
+    rng, presets = np.random.default_rng(7), ("speed", "balanced", "ratio", "speed_huffman")
+    v = np.cumsum(rng.integers(-3, 4, (1 << 16) + 77)) % 65536
+    x = spark.createDataFrame([(t, int(u) >> 8, int(u)) for t, u in enumerate(v)], "t bigint, x8 bigint, x16 bigint").repartition(5).selectExpr("'s' series_id", "*")
+    sizes = queries.all_methods(x, presets)
+    plan = sizes._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("MapInArrow") == 1 and "InPandas" not in plan
+    want = {}
+    for w in (8, 16):
+        parts = [p.astype(np.int64) for p in np.split(v >> (16 - w), [1 << 16])]
+        raws = [p.astype(f"<u{w // 8}").tobytes() for p in parts]
+        want |= {(m, w): sum(len(enc(p)) for p in parts) for m, (enc, _) in baselines.INTEGER.items()}
+        want |= {(m, w): sum(len(baselines.general_encode(m, r)) for r in raws) for m in baselines.GENERAL}
+        want |= {(m, w): sum(len(codec.pack_many([p.reshape(-1, 1)], preset(m, w))[0][0]) for p in parts) for m in presets}
+    assert {(r.method, r.width_bits): r.enc_bytes for r in sizes.collect()} == want
