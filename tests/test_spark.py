@@ -332,3 +332,20 @@ def test_all_methods_size_segments_of_both_widths_in_one_pass(spark, monkeypatch
         want |= {(m, w): sum(len(baselines.general_encode(m, r)) for r in raws) for m in baselines.GENERAL}
         want |= {(m, w): sum(len(codec.pack_many([p.reshape(-1, 1)], preset(m, w))[0][0]) for p in parts) for m in presets}
     assert {(r.method, r.width_bits): r.enc_bytes for r in sizes.collect()} == want
+
+
+def test_entropy_stages_share_a_forecast(spark, monkeypatch):
+    import numpy as np
+
+    from seriespack.operators.options import preset
+
+    rng = np.random.default_rng(8)
+    v = np.cumsum(rng.integers(-3, 4, 5003)) % 65536
+    x = spark.createDataFrame([("s", t, int(u)) for t, u in enumerate(v)], "series_id string, t bigint, x bigint").repartition(3)
+    monkeypatch.setattr(queries, "series", lambda *_: x)
+    made = queries.q68_entropy_ablation(spark, "")
+    assert "InPandas" not in made._jdf.queryExecution().optimizedPlan().toString()
+    got, column = {r.stage: r.bytes for r in made.collect()}, v.reshape(-1, 1).astype(np.int64)
+    kinds = {"none": preset("balanced", 16), "after": preset("ratio", 16), "before": preset("ratio", 16, entropy_order="before")}
+    assert {k: got[k] for k in kinds} == {k: len(codec.pack_many([column], o)[0][0]) for k, o in kinds.items()}
+    assert got["bound"] <= got["none"] and len(got) == 4
