@@ -159,3 +159,13 @@ def test_sizes_are_those_of_the_encoders(name):
         kinds_ = (rng.integers(0, 256, n), np.zeros(n, int), np.where(rng.random(n) < 0.03, 60000, rng.integers(0, 8, n)), rng.integers(0, 1 << 31, n) >> rng.integers(0, 32, n), (rng.random(n) < 0.01).astype(int))
         for v in kinds_:
             assert baselines.SIZES[name](v.astype(np.int64)) == len(baselines.INTEGER[name][0](v.astype(np.int64)))
+
+
+@pytest.mark.parametrize("w", [8, 16])
+@pytest.mark.parametrize("change", [{}, {"update": "sample", "grad_stride": 1}, {"clamp": True}, {"rle": False}, {"block": 16, "group": 3}, {"forecaster": "lag1"}], ids=str)
+def test_sizes_are_those_of_packed_segments(w, change):
+    from seriespack.operators.codec import size_many
+
+    rng, o = np.random.default_rng(w), Options(width_bits=w, **{"forecaster": "adaptive"} | change)
+    segments = [x.astype(np.int64) for n in (0, 1, 8, 9, 400, 401, 700, 1000) for lanes in (1, 3) for x in kinds(rng, n, lanes, w)]
+    assert size_many(segments, o) == [len(body) for body, _ in pack_many(segments, o)]
