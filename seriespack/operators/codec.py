@@ -45,12 +45,18 @@ KINDS = pa.schema([
 ])
 
 
+def unpacked(x: np.ndarray, z: np.ndarray, o: Options) -> bytes:
+    """One segment's zigzagged residuals and raw tail as they are, for an entropy stage before packing."""
+    item = f"<u{o.width_bits // 8}"
+    return z.astype(item).tobytes() + (x[len(z) * o.block :] & ((1 << o.width_bits) - 1)).astype(item).tobytes()
+
+
 def pack_segment(x: np.ndarray, z: np.ndarray, o: Options) -> tuple[bytes, int]:
     """Body and number of slots of one segment: packed blocks, raw tail, entropy stage."""
     whole = len(z) * o.block
     item = f"<u{o.width_bits // 8}"
     if o.entropy == "huffman" and o.entropy_order == "before":
-        return huffman.encode(z.astype(item).tobytes() + (x[whole:] & ((1 << o.width_bits) - 1)).astype(item).tobytes()), len(z)
+        return huffman.encode(unpacked(x, z, o)), len(z)
     body, slots = K.pack(z, o)
     body += (x[whole:] & ((1 << o.width_bits) - 1)).astype(item).tobytes()
     return (huffman.encode(body) if o.entropy == "huffman" else body), slots

@@ -169,3 +169,11 @@ def test_sizes_are_those_of_packed_segments(w, change):
     rng, o = np.random.default_rng(w), Options(width_bits=w, **{"forecaster": "adaptive"} | change)
     segments = [x.astype(np.int64) for n in (0, 1, 8, 9, 400, 401, 700, 1000) for lanes in (1, 3) for x in kinds(rng, n, lanes, w)]
     assert size_many(segments, o) == [len(body) for body, _ in pack_many(segments, o)]
+
+
+def test_huffman_sizes_are_those_of_encoded_bodies():
+    rng = np.random.default_rng(9)
+    for n in (0, 1, 39, 40, 511, 512, 513, 5000):
+        for v in (np.zeros(n), rng.integers(0, 2, n), rng.integers(0, 256, n), rng.geometric(0.3, n) % 256, np.where(rng.random(n) < 0.001, 200, 7)):
+            body = v.astype(np.uint8).tobytes()
+            assert huffman.encoded_size(body) == len(huffman.encode(body))
