@@ -139,6 +139,20 @@ def test_few_lanes_learn_as_many_do(w, change, monkeypatch):
             assert (K.residuals(x.astype(np.int64), o) == few).all()
 
 
+@pytest.mark.parametrize("w", [8, 16])
+@pytest.mark.parametrize("change", [{}, {"grad_stride": 1}, {"grad_stride": 3}, {"block": 16}, {"update": "sample", "grad_stride": 1}, {"update": "sample"}, {"rate_shift": 0}, {"rate_shift": 4}, {"clamp": True}, {"round_product": True}, {"zero_rule": "case"}, {"mean_rounding": "floor"}], ids=str)
+def test_few_lanes_are_restored_as_many_are(w, change, monkeypatch):
+    rng, o = np.random.default_rng(w), Options(width_bits=w, forecaster="adaptive", **change)
+    for t in (0, 5, 8, 400, 403):
+        e = rng.integers(-(1 << (w - 1)), 1 << (w - 1), (t, 3))
+        for e in (e, e // 50, *(K.residuals(x.astype(np.int64), o) for x in kinds(rng, t // 8 * 8, 3, w))):
+            few = K.reconstruct(e, o)
+            with monkeypatch.context() as m:
+                m.setattr(K, "FEW_LANES", 0)
+                many = K.reconstruct(e, o)
+            assert few.shape == many.shape and few.dtype == many.dtype and (few == many).all()
+
+
 @pytest.mark.parametrize("w", [8, 16])
 def test_a_whole_series_has_one_size_however_it_comes(w):
     from seriespack.operators.codec import _WholeSize

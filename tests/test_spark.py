@@ -247,6 +247,28 @@ def test_speeds_are_of_a_given_table(spark, small, name):
     assert queries.QUERIES[name](spark, small).inputFiles()
 
 
+def test_forecasters_are_timed_on_all_bits_in_their_columns(spark, small, monkeypatch):
+    """Every byte of every float passes at either width, padding left out, in as many columns as a row says; no seconds but the columns are told."""
+    monkeypatch.setattr(experiments, "best_of", lambda reps, *steps: [[float(step(steps[0](None)).shape[1])] for step in steps])
+    monkeypatch.setattr(M, "timing_spread", lambda timing: timing)
+    got = experiments.q83_forecaster_speed(spark, small).collect()
+    stored = 4 * spark.read.parquet(f"{small}/embeddings.parquet").agg(F.sum(F.size("embedding"))).head()[0]
+    assert len(got) == 64 and {r.bytes for r in got} == {stored}
+    assert all(r.ns == r.dims * 10**9 for r in got)
+
+
+@pytest.mark.parametrize("w", [8, 16])
+def test_all_bits_of_floats_are_samples(w):
+    import numpy as np
+    import pandas as pd
+
+    given = [np.array([0.25, -1e-9, 3e38], np.float32), np.array([-0.0, np.inf, 123456.789], np.float32)]
+    samples = queries.all_bits(pd.DataFrame({"vec_id": [7, 3], "v": given}), w)
+    assert samples.dtype == np.int64 and samples.min() >= 0 and samples.max() < 1 << w
+    back = samples.reshape(32 // w, -1).T.astype(f"u{w // 8}").copy().view(np.uint32).ravel()
+    assert back.tolist() == np.concatenate(given[::-1]).view(np.uint32).tolist()
+
+
 @pytest.mark.parametrize("part", [1, 4, 7, 1 << 16])
 def test_zero_runs_go_on_over_parts(spark, part):
     """Maximal runs, however a series is parted: within a part, over an edge, over several parts, at both ends."""
